@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import langid, mixing
+from . import langid, mixing, toxicity
 from .common import table
 
 
@@ -17,7 +17,11 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(table(spark, sf_dir, "documents", "doc_id", "text", "lang"))
 
 
-QUERIES = {f.__name__: f for f in (op5_language_id, op7_mixing_to_targets)}
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.score(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "toxic"))
+
+
+QUERIES = {f.__name__: f for f in (op5_language_id, op6_toxicity, op7_mixing_to_targets)}
 
 #: DuckDB SQL by query name.
 ORACLES: dict[str, str] = {}
