@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import langid, mixing, toxicity
+from . import langid, mixing, pii, toxicity
 from .common import table
 
 
@@ -21,7 +21,11 @@ def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "labels", "doc_id", "toxic"))
 
 
-QUERIES = {f.__name__: f for f in (op5_language_id, op6_toxicity, op7_mixing_to_targets)}
+def op1_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.personal_data(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+QUERIES = {f.__name__: f for f in (op1_personal_data, op5_language_id, op6_toxicity, op7_mixing_to_targets)}
 
 #: DuckDB SQL by query name.
 ORACLES: dict[str, str] = {}
