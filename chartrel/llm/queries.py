@@ -2,10 +2,17 @@
 
 from __future__ import annotations
 
+import os
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from . import langid, mixing, pii, quality, tokencounts, toxicity
+from .common import shared_dir, table
 
-from . import langid, mixing, pii, toxicity
-from .common import table
+#: Folder of the public vocabularies.
+TOKENIZERS = os.environ.get("CHARTREL_TOKENIZERS", "/opt/tokenizers")
 
 
 def op7_mixing_to_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -25,7 +32,22 @@ def op1_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.personal_data(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
-QUERIES = {f.__name__: f for f in (op1_personal_data, op5_language_id, op6_toxicity, op7_mixing_to_targets)}
+def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents by words and by the byte-level vocabulary, one batch each; the first batch is replayed and changes nothing."""
+    docs = table(spark, sf_dir, "documents", "doc_id", "source", "lang", "text")
+    rollup = tokencounts.Rollup(spark, f"{shared_dir(spark)}/token-rollup-{uuid.uuid4().hex}")
+    bpe = tokencounts.counted(docs, f"{TOKENIZERS}/byte_bpe_50k.tiktoken")
+    insert = F.lit("insert").alias("op")
+    for batch, rows, name in (("words", tokencounts.words(docs), "words"), ("bpe", bpe, "byte_bpe_50k"), ("words", tokencounts.words(docs), "words")):
+        rollup.apply(batch, tokencounts.deltas(rows.select("source", "lang", "tokens", F.lit(None).cast("long").alias("old_tokens"), insert), name))
+    return rollup.totals()
+
+
+def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.classify(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+QUERIES = {f.__name__: f for f in (op1_personal_data, op2_token_counts, op3_quality, op5_language_id, op6_toxicity, op7_mixing_to_targets)}
 
 #: DuckDB SQL by query name.
 ORACLES: dict[str, str] = {}
