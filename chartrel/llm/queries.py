@@ -8,7 +8,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import langid, mixing, pii, quality, tokencounts, toxicity
+from . import decontam, langid, linededup, mixing, pii, quality, tokencounts, toxicity
 from .common import shared_dir, table
 
 #: Folder of the public vocabularies.
@@ -47,7 +47,19 @@ def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
-QUERIES = {f.__name__: f for f in (op1_personal_data, op2_token_counts, op3_quality, op5_language_id, op6_toxicity, op7_mixing_to_targets)}
+def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return linededup.dedup_lines(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontam.matches(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
+
+
+_ALL = (
+    op1_personal_data, op2_token_counts, op3_quality, op5_language_id, op6_toxicity, op7_mixing_to_targets, op8_line_dedup,
+    op9_decontamination,
+)
+QUERIES = {f.__name__: f for f in _ALL}
 
 #: DuckDB SQL by query name.
 ORACLES: dict[str, str] = {}
