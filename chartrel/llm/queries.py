@@ -8,7 +8,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, langid, linededup, mixing, pii, quality, tokencounts, toxicity
+from . import decontam, embeddup, langid, linededup, mixing, pii, quality, tokencounts, toxicity
 from .common import shared_dir, table
 
 #: Folder of the public vocabularies.
@@ -55,9 +55,13 @@ def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.matches(table(spark, sf_dir, "documents", "doc_id", "text"), table(spark, sf_dir, "benchmark", "item_id", "text"))
 
 
+def op10_embedding_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embeddup.near_duplicates(table(spark, sf_dir, "embeddings", "vec_id", "embedding"))
+
+
 _ALL = (
     op1_personal_data, op2_token_counts, op3_quality, op5_language_id, op6_toxicity, op7_mixing_to_targets, op8_line_dedup,
-    op9_decontamination,
+    op9_decontamination, op10_embedding_neardup,
 )
 QUERIES = {f.__name__: f for f in _ALL}
 
