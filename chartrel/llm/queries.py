@@ -8,7 +8,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, embeddup, langid, linededup, mixing, pii, quality, tokencounts, toxicity
+from . import decontam, embeddup, langid, linededup, minhash, mixing, pii, quality, tokencounts, toxicity
 from .common import shared_dir, table
 
 #: Folder of the public vocabularies.
@@ -47,6 +47,10 @@ def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.classify(table(spark, sf_dir, "documents", "doc_id", "text"))
 
 
+def op4_minhash_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.classes(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.dedup_lines(table(spark, sf_dir, "documents", "doc_id", "text"))
 
@@ -60,7 +64,7 @@ def op10_embedding_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _ALL = (
-    op1_personal_data, op2_token_counts, op3_quality, op5_language_id, op6_toxicity, op7_mixing_to_targets, op8_line_dedup,
+    op1_personal_data, op2_token_counts, op3_quality, op4_minhash_neardup, op5_language_id, op6_toxicity, op7_mixing_to_targets, op8_line_dedup,
     op9_decontamination, op10_embedding_neardup,
 )
 QUERIES = {f.__name__: f for f in _ALL}
