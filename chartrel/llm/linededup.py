@@ -1,6 +1,6 @@
 """Line dedup by a fixed-depth log-template tree, in DataFrame operations only.
 
-A line is cut into blank-delimited tokens; tokens that hold a digit are variable fields and become one wildcard. The
+A line is cut at spaces into tokens; tokens that hold a digit are variable fields and become one wildcard. The
 tree routes a line by its token count and its leading tokens; at the leaf, templates that agree outside one of four
 runs of positions are one template, so each line carries the hash of its full template and of the four with one run
 left open. A template that occurs in two or more documents is recurring: its lines stay in the first document (smallest
@@ -21,38 +21,35 @@ from .common import stored
 
 #: Tree depth below the token count, tokens of the shortest line that counts, runs of positions at a leaf.
 LEADING, MIN_TOKENS, RUNS = 3, 8, 4
-_BLANKS = r"[\x20\x09-\x0D]+"
 
 
 def tokens_of(line: Column) -> Column:
     """Tokens of a line with variable fields replaced by the wildcard."""
     masked = F.when(line.rlike("[0-9]"), F.regexp_replace(line, r"[^\x20\x09-\x0D0-9]*+[0-9][^\x20\x09-\x0D]*+", "<*>")).otherwise(line)
-    return F.split(F.regexp_replace(masked, r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$", ""), _BLANKS)
+    return F.array_remove(F.split(masked, " "), "")
 
 
-def template_keys(tokens: Column, leading: int = LEADING, runs: int = RUNS) -> Column:
-    """Hashes of the full template and of those with one run of positions open, all under the tree's path."""
-    n = F.size(tokens)
-    path = [n, F.array_join(F.slice(tokens, 1, leading), " ")]
-    body = n - leading
-    # Run r covers body positions [r * body / runs, (r + 1) * body / runs), counted from 1 behind the leading tokens.
-    edge = [F.lit(leading + 1) + F.floor(body * r / runs).cast("int") for r in range(runs + 1)]
-    piece = [F.xxhash64(F.lit(r), F.slice(tokens, edge[r], edge[r + 1] - edge[r])) for r in range(runs)]
-    keys = [F.xxhash64(F.lit(runs), *path, *piece)]
-    keys += [F.xxhash64(F.lit(r), *path, *(p for k, p in enumerate(piece) if k != r)) for r in range(runs)]
-    return F.array(*keys)
+def lines_with_keys(docs: DataFrame, min_tokens: int = MIN_TOKENS, leading: int = LEADING, runs: int = RUNS) -> DataFrame:
+    """doc_id, line (position from 0), key: one row per template key of each line that counts.
 
-
-def lines_with_keys(docs: DataFrame, min_tokens: int = MIN_TOKENS) -> DataFrame:
-    """doc_id, line (position from 0), key: one row per template key of each line that counts."""
+    A line's keys are the hash of its full template and those of the template with one run of positions left open, all
+    under the tree's path. Each run is hashed once, in a column of its own.
+    """
     lines = docs.filter("doc_id is not null").select("doc_id", F.posexplode(F.split("text", "\n")).alias("line", "_text"))
-    lines = lines.filter(F.length("_text") >= 2 * min_tokens - 1).select("doc_id", "line", tokens_of(F.col("_text")).alias("_tokens"))
-    return lines.filter(F.size("_tokens") >= min_tokens).select("doc_id", "line", F.explode(template_keys(F.col("_tokens"))).alias("key"))
+    lines = lines.filter(F.octet_length("_text") >= 2 * min_tokens - 1).select("doc_id", "line", tokens_of(F.col("_text")).alias("_t"))
+    n = F.size("_t")
+    # Run r covers positions from edge r up to edge r + 1 behind the leading tokens; slices count from 1.
+    edge = [F.lit(leading + 1) + F.floor((n - leading) * r / runs).cast("int") for r in range(runs + 1)]
+    piece = [F.xxhash64(F.lit(r), F.slice("_t", edge[r], edge[r + 1] - edge[r])).alias(f"_p{r}") for r in range(runs)]
+    lines = lines.select("doc_id", "line", F.when(n >= min_tokens, F.struct(F.xxhash64(n, F.slice("_t", 1, leading)).alias("_path"), *piece)).alias("_k"))
+    hashed = [F.xxhash64(F.lit(runs), "_k._path", *(f"_k._p{r}" for r in range(runs)))]
+    hashed += [F.xxhash64(F.lit(r), "_k._path", *(f"_k._p{k}" for k in range(runs) if k != r)) for r in range(runs)]
+    return lines.select("doc_id", "line", F.explode(F.when(F.col("_k").isNotNull(), F.array(*hashed))).alias("key"))
 
 
 def dropped_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS) -> DataFrame:
     """doc_id, lines: positions to drop, for documents that lose any."""
-    keys = lines_with_keys(docs, min_tokens)
+    keys = stored(lines_with_keys(docs, min_tokens), "template-keys")
     recurring = keys.groupBy("key").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).filter("first < last").select("key", "first")
     recurring = stored(recurring, "recurring-templates")
     hit = keys.join(recurring.hint("merge"), "key").filter("doc_id > first")
