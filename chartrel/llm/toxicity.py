@@ -311,3 +311,25 @@ def score(docs: DataFrame, labels: DataFrame, folds: int = 4, held: int = 2) ->
     shared = docs.sparkSession.sparkContext.broadcast(train(docs, labels, folds, held))  # a fixed table and small matrices
     rows = docs.select("doc_id", (fold("doc_id", folds) == held).alias("held_out"), "text")
     return rows.mapInArrow(scorer(shared), "doc_id long, held_out boolean, score double, predicted int, windows long")
+
+
+def _passing(shared):
+    def run(batches):
+        net: Network = shared.value
+        vocab = Vocabulary(net)
+        for batch in batches:
+            texts = batch.column("text").to_pylist()
+            keep = np.ones(len(texts), bool)
+            if net is not None:
+                for a, b in slices([len(t or "") for t in texts], 8 * TOKENS):
+                    best, many = strongest(net, vocab, [(t or "").split() for t in texts[a:b]])
+                    keep[a:b] = (many == 0) | (_sigmoid(np.clip(net.slope * best + net.shift, -30, 30)) < THRESHOLD)
+            yield batch.filter(pa.array(keep))
+
+    return run
+
+
+def without_toxic(docs: DataFrame, labels: DataFrame, folds: int = 4, held: int = 2) -> DataFrame:
+    """``docs`` with all their columns, less the documents predicted toxic."""
+    shared = docs.sparkSession.sparkContext.broadcast(train(docs, labels, folds, held))
+    return docs.mapInArrow(_passing(shared), docs.schema)
