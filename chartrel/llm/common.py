@@ -5,6 +5,7 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -39,6 +40,18 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+@contextmanager
+def arrow_rows(spark: SparkSession, n: int):
+    """Rows per Arrow batch while something is written: few where a row holds whole texts. The session's own number returns."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    old = spark.conf.get(key)
+    spark.conf.set(key, n)
+    try:
+        yield
+    finally:
+        spark.conf.set(key, old)
+
+
 def discard(df: DataFrame) -> None:
     """Deletes what ``stored`` wrote, once nothing reads it any more."""
     jvm, conf = df.sparkSession._jvm, df.sparkSession._jsc.hadoopConfiguration()
@@ -57,6 +70,14 @@ def fold(col: str, n: int) -> Column:
     return F.coalesce(F.crc32(F.col(col).cast("string")) % n, F.lit(0))
 
 
+def hashed_sample(rows: DataFrame, n: int, *keys: str, salt: int = 0) -> DataFrame:
+    """About ``n`` rows (2n at most) by a bound on the hash of ``keys``: no sort, and only the sample leaves the executors."""
+    total = rows.count()
+    if total <= n:
+        return rows
+    return rows.filter(F.pmod(F.xxhash64(F.lit(salt), *keys), F.lit(1 << 30)) < int(n / total * (1 << 30))).limit(2 * n)
+
+
 def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:
     """64-bit finaliser with full avalanche (public splitmix constants), elementwise."""
     with np.errstate(over="ignore"):

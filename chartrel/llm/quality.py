@@ -12,6 +12,7 @@ columns are ignored.
 
 from __future__ import annotations
 
+import re
 import zlib
 from dataclasses import dataclass
 
@@ -20,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix
+from .common import hashed_sample
 
 LABELLERS = ("symbols", "pipes", "word_length", "variety", "short_words", "size", "repeated_lines", "sentences")
 SLOTS = 1 << 16
@@ -28,7 +29,7 @@ SLOTS = 1 << 16
 TRAIN_ROWS, TRAIN_CHARS = 2500, 30_000
 #: Score from which a document is kept: low, as a clean text lost costs more than a poor one kept.
 KEEP = 0.3
-_PUNCT = str.maketrans("", "", ".,;:!?'\"()-’¿¡")
+_ODD = re.compile(r"[^\w\s.,;:!?'\"()\-’¿¡]")
 
 
 def votes(text: str) -> tuple[int, ...]:
@@ -36,14 +37,13 @@ def votes(text: str) -> tuple[int, ...]:
     words = text.split()
     if not words:
         return (-1,) * len(LABELLERS)
-    n, chars = len(words), sum(map(len, words))
-    plain = text.translate(_PUNCT)
-    letters = sum(len(w) if w.isalpha() else sum(map(str.isalnum, w)) for w in plain.split())
-    odd = 1 - letters / max(1, len(plain) - plain.count(" ") - plain.count("\n"))
+    size = np.fromiter(map(len, words), np.int64, len(words))
+    n, chars = len(words), int(size.sum())
+    odd = len(_ODD.findall(text)) / chars
     pipes = words.count("|") / n
     mean = chars / n
     variety = len(set(words)) / n
-    short = sum(len(w) <= 3 for w in words) / n
+    short = int((size <= 3).sum()) / n
     lines = [x for x in text.split("\n") if x.strip()]
     twice = 1 - len(set(lines)) / len(lines)
     ended = sum(x.rstrip()[-1:] in ".!?" for x in lines) / len(lines)
@@ -82,19 +82,30 @@ def estimate(patterns: np.ndarray, counts: np.ndarray, rounds: int = 60) -> tupl
     return post, table, prior
 
 
-def slots(text: str, cache: dict[str, int]) -> np.ndarray:
-    """Hashed slot of every word, its outer marks as part of its shape."""
-    if len(cache) > 300_000:
-        cache.clear()
-    words = text.split()
-    at = np.fromiter((cache[w] if w in cache else cache.setdefault(w, _slot(w)) for w in words), np.int64, len(words))
-    twice = sum(a == b for a, b in zip(words, words[1:])) + max(0, len(words) - 4 * len(set(words))) if len(words) > 1 else 0
-    return np.concatenate((at, np.full(twice, SLOTS - 1)))  # the last slot: words said again at once, or over four times
+class Slots(dict):
+    """Word to hashed slot, outer marks as part of its shape; emptied when it holds too many."""
+
+    def __missing__(self, word):
+        self[word] = at = _slot(word)
+        return at
+
+    def of(self, text: str) -> np.ndarray:
+        if len(self) > 300_000:
+            self.clear()
+        words = text.split()
+        at = np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+        if len(words) < 2:
+            return at
+        twice = sum(map(str.__eq__, words, words[1:])) + max(0, len(words) - 4 * len(set(words)))
+        return np.concatenate((at, np.full(twice, SLOTS - 1)))  # the last slot: words said again at once, or over four times
 
 
 def _slot(word: str) -> int:
-    core = "".join("9" if c.isdigit() else c for c in word.lower() if c.isalnum())
-    marks = "".join(c for c in word if not c.isalnum())[:4]
+    if word.isalpha():
+        core, marks = word.lower(), ""
+    else:
+        core = "".join("9" if c.isdigit() else c for c in word.lower() if c.isalnum())
+        marks = "".join(c for c in word if not c.isalnum())[:4]
     # Half of the slots hold marks and lengths, which every language shares, half hold words.
     return zlib.crc32(f"{marks}|{min(12, len(core))}".encode("utf-8", "replace")) % (SLOTS // 2) + (SLOTS // 2 - 1) * (not marks and zlib.crc32(core.encode("utf-8", "replace")) % 2)
 
@@ -106,8 +117,8 @@ class Scorer:
     posterior: dict[str, float]
     accuracy: list[float]
 
-    def score(self, text: str, cache: dict[str, int]) -> float:
-        at = slots(text, cache)
+    def score(self, text: str, cache: Slots) -> float:
+        at = cache.of(text)
         if not at.size:
             return 0.0
         return float(1 / (1 + np.exp(-np.clip(self.weight[at].sum() / at.size * 8 + self.bias, -30, 30))))
@@ -115,8 +126,8 @@ class Scorer:
 
 def fit(texts: list[str], soft: np.ndarray, rounds: int = 300) -> tuple[np.ndarray, float]:
     """Weights of the hashed linear model for soft labels; each text's slots count by their share."""
-    cache: dict[str, int] = {}
-    each = [slots(t, cache) for t in texts]
+    cache = Slots()
+    each = [cache.of(t) for t in texts]
     at = np.concatenate(each)
     share = np.repeat([8 / max(1, len(e)) for e in each], [len(e) for e in each])
     row = np.repeat(np.arange(len(each)), [len(e) for e in each])
@@ -148,9 +159,8 @@ def train(docs: DataFrame) -> Scorer | None:
     patterns = np.array([["-0+".index(c) - 1 for c in r["votes"]] for r in found])
     post, table, _ = estimate(patterns, np.array([float(r["n"]) for r in found]))
     posterior = {r["votes"]: float(p) for r, p in zip(found, post)}
-    eligible = rows.filter(F.length("text").between(1, TRAIN_CHARS)).withColumn("k", F.xxhash64(F.lit(2), "doc_id"))
-    texts = [r["text"] for r in eligible.orderBy("k", "text").limit(TRAIN_ROWS).collect()]
-    texts = [t for t in texts if t.split()]
+    texts = [r["text"] for r in hashed_sample(rows, TRAIN_ROWS, "doc_id", salt=2).filter(F.length("text").between(1, TRAIN_CHARS)).collect()]
+    texts = sorted(t for t in texts if t.split())
     if not texts:
         return None
     soft = np.array([posterior["".join("-0+"[v + 1] for v in votes(t))] for t in texts])
@@ -161,7 +171,7 @@ def train(docs: DataFrame) -> Scorer | None:
 def scorer(shared):
     def run(batches):
         model: Scorer = shared.value
-        cache: dict[str, int] = {}
+        cache = Slots()
         for batch in batches:
             texts = [t or "" for t in batch.column("text").to_pylist()]
             seen = ["".join("-0+"[v + 1] for v in votes(t)) for t in texts]
