@@ -46,12 +46,17 @@ def series(pred: DataFrame, truth: DataFrame, max_edit: int = 2) -> DataFrame:
     return _mean(_per_chart(truth, series_right(pred, truth, max_edit)), "series")
 
 
-def colour_right(pred: DataFrame, truth: DataFrame, widths: tuple[int, int, int] = (10, 25, 40)) -> DataFrame:
-    """True series whose colour lies in the range of a predicted series with the right relation (hue on its ring)."""
+def colour_right(pred: DataFrame, truth: DataFrame, widths: tuple[int, int, int] = (10, 25, 40), cleaned: bool = True) -> DataFrame:
+    """True series whose colour lies in the range of a predicted series with the right relation (hue on its ring).
+
+    Cleaning sets saturation and value of all ink to the full, so on ``cleaned`` charts the hue alone is compared.
+    """
     t = with_hsv(truth.select("chart_id", "series_key", "relation", "r", "g", "b"))
     p = with_hsv(pred.select("chart_id", "series_no", F.col("relation").alias("pr"), "r", "g", "b")).select("chart_id", "series_no", "pr", *(F.col(c).alias(f"p{c}") for c in "hsv"))
     gap = F.abs(F.col("h") - F.col("ph"))
-    near = (F.least(gap, 180 - gap) <= widths[0]) & (F.abs(F.col("s") - F.col("ps")) <= widths[1]) & (F.abs(F.col("v") - F.col("pv")) <= widths[2])
+    near = F.least(gap, 180 - gap) <= widths[0]
+    if not cleaned:
+        near = near & (F.abs(F.col("s") - F.col("ps")) <= widths[1]) & (F.abs(F.col("v") - F.col("pv")) <= widths[2])
     return t.join(p, "chart_id").filter(near & (F.col("pr") == F.col("relation"))).select("chart_id", "series_key").distinct()
 
 

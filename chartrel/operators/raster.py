@@ -92,7 +92,7 @@ def degraded(px: DataFrame, speckle: int = 60, seed: int = 0) -> DataFrame:
 
 def packed(px: DataFrame, background: tuple[int, int, int] = (255, 255, 255)) -> DataFrame:
     """chart_id, width, height, channels, data: one image per chart; only one chart's ink meets in a task's memory."""
-    def draw_one(key, table: pa.Table) -> pa.Table:
+    def draw_one(key, table):
         img = np.empty((H, W, 3), np.uint8)
         img[:] = background
         x, y = table.column("px").to_numpy(), table.column("py").to_numpy()

@@ -1 +1,422 @@
-"""Workloads."""
+"""The experiment workloads on the given tables; every one returns (workload, corpus, metric, n, value) rows unless noted."""
+
+from __future__ import annotations
+
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from ..functions.draws import draw
+from ..operators import baseline, cluster, learned, legend, measure, raster, synth, text, truth
+from ..sources.families import FAMILIES, trend
+from .queries import QUERIES, eligible
+
+RESULT = ("workload", "corpus", "metric", "n", "value")
+
+
+def query(f):
+    """Registers a workload whose result SQL cannot express."""
+    QUERIES[f.__name__] = f
+    return f
+
+
+def scored(df: DataFrame, workload: str, corpus: str, metric: str | None = None) -> DataFrame:
+    """A measure's row with its workload and corpus."""
+    name = F.lit(metric) if metric else F.col("metric")
+    return df.select(F.lit(workload).alias("workload"), F.lit(corpus).alias("corpus"), name.alias("metric"), F.col("n").cast("long").alias("n"), F.col("value").cast("double").alias("value"))
+
+
+def union(rows: list[DataFrame]) -> DataFrame:
+    out = rows[0]
+    for r in rows[1:]:
+        out = out.unionByName(r)
+    return out
+
+
+def balanced_points(spark: SparkSession, d: str, family: str = "supplier", seed: int = 0) -> DataFrame:
+    """A family whose classes a drawn slope balances."""
+    return trend(FAMILIES[family](spark, d), seed).drop("slope")
+
+
+def first_charts(points: DataFrame, n: int, seed: int = 0, skip: int = 0) -> DataFrame:
+    """Points of the ``n`` charts of smallest draw behind the first ``skip``; only ids are sorted, and only the first kept."""
+    ids = points.select("chart_id").distinct().select("chart_id", draw(F.col("chart_id"), "sample", seed).alias("_u"))
+    first = ids.orderBy("_u", "chart_id").limit(skip + n)
+    if skip:
+        first = first.withColumn("_n", F.row_number().over(Window.orderBy("_u", "chart_id"))).filter(F.col("_n") > skip)
+    return points.join(F.broadcast(first.select("chart_id")), "chart_id", "left_semi")
+
+
+def true_series(points: DataFrame, palette: str = "rgb3") -> DataFrame:
+    """Relation, colour, number and legend label of every series."""
+    named = synth.coloured(points, palette)
+    label = synth.random_label(F.concat_ws("|", "chart_id", "series_key"), "legend", 3, 9)
+    return truth.relations(points).join(named, ["chart_id", "series_key"]).withColumn("series_label", label)
+
+
+def rendered(points: DataFrame, palette: str = "rgb3", plot_type: str = "line", noise: int = 0, dark: bool = False) -> DataFrame:
+    """Packed images of charts of one type."""
+    px = raster.ink(points, synth.coloured(points, palette), plot_type)
+    return raster.packed(raster.degraded(px, noise) if noise else px, (0, 0, 0) if dark else (255, 255, 255))
+
+
+def model_for(points: DataFrame, n: int = 100, palette: str = "rgb3", plot_type: str = "line", epochs: int = 25, seed: int = 0, noise: int = 0, skip: int = 0, start=None):
+    """A classifier trained on ``n`` rendered charts; half of them would do for validation (see ``training_size``)."""
+    use = first_charts(points, n, seed, skip)
+    return learned.train(learned.examples(rendered(use, palette, plot_type, noise), true_series(use, palette)), start, epochs, seed)
+
+
+def accuracy(pred: DataFrame, true: DataFrame, workload: str, corpus: str) -> DataFrame:
+    return scored(measure.series_no_ocr(pred, true), workload, corpus).unionByName(scored(measure.raw(pred, true), workload, corpus))
+
+
+@query
+def synthetic_end_to_end(spark, d):
+    """Charts of the training format, unseen: images in, axis labels, series labels and relations out, scored by all four measures."""
+    points = balanced_points(spark, d, "supplier", 1)
+    test = first_charts(points, 100, 5)
+    model = model_for(balanced_points(spark, d, "nation", 2), 25, seed=1)
+    return _end_to_end(test, model, "synthetic_end_to_end", "synthetic")
+
+
+def _end_to_end(points: DataFrame, model, workload: str, corpus: str, rotate: str = "manual", detector: str = "layout", ssd=None) -> DataFrame:
+    true = true_series(points)
+    labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label")
+    images, facets = text.annotated(rendered(points), labels, true)
+    images = images.persist()
+    found = facets.select("chart_id", "kind", "ordinal", "x0", "y0", "x1", "y1") if detector == "truth" else text.detect(images, detector, ssd)
+    texts = text.extract(images, found, rotate)
+    pred = extract(images, texts, model)
+    axis = measure.axis(text.labels_of(texts), labels)
+    series = measure.series(pred, true)
+    return union([scored(axis, workload, corpus), scored(series, workload, corpus), scored(measure.total(axis, series), workload, corpus), scored(measure.series_no_ocr(pred, true), workload, corpus), scored(measure.raw(pred, true), workload, corpus)])
+
+
+def extract(images: DataFrame, texts: DataFrame, model=None) -> DataFrame:
+    """chart_id, series_no, series_label, r, g, b, relation: series of annotated images, labelled by the nearest legend text.
+
+    Relations come from the plot area alone, colours of the keys from the legend area; both are found in the packed image.
+    """
+    area = learned.predict(crop(images, 12, 12, raster.W, raster.H), model)
+    keys = legend_keys(images, area)
+    entries = texts.filter("kind = 'legend_text'").select("chart_id", "ordinal", "text", F.col("cx"), F.col("cy"))
+    by = legend.assign(entries, keys, "median")
+    best = by.groupBy("chart_id", "series_no").agg(F.min_by("text", F.struct("d2", "ordinal")).alias("series_label"))
+    return area.select("chart_id", "series_no", "r", "g", "b", "relation").join(best, ["chart_id", "series_no"], "left").withColumn("series_label", F.coalesce("series_label", F.lit("")))
+
+
+def crop(images: DataFrame, x: int, y: int, w: int, h: int) -> DataFrame:
+    """The same window of every image."""
+    import pyarrow as pa
+
+    def run(batches):
+        for batch in batches:
+            out = [np.ascontiguousarray(np.frombuffer(b, np.uint8).reshape(hh, ww, 3)[y : y + h, x : x + w]).tobytes() for ww, hh, b in zip(*(batch.column(n).to_pylist() for n in ("width", "height", "data")))]
+            n = len(out)
+            yield pa.RecordBatch.from_arrays([batch.column("chart_id"), pa.array([w] * n, pa.int32()), pa.array([h] * n, pa.int32()), pa.array([3] * n, pa.int32()), pa.array(out, pa.binary())], names=["chart_id", "width", "height", "channels", "data"])
+
+    return images.select("chart_id", "width", "height", "data").mapInArrow(run, "chart_id long, width int, height int, channels int, data binary")
+
+
+def legend_keys(images: DataFrame, series: DataFrame) -> DataFrame:
+    """chart_id, series_no, px, py: pixels right of the plot whose hue is a series' hue."""
+    import pyarrow as pa
+
+    s = series.groupBy("chart_id").agg(F.collect_list(F.struct("series_no", "r", "g", "b")).alias("s"))
+
+    def run(batches):
+        for batch in batches:
+            rows = []
+            for c, w, h, data, found in zip(*(batch.column(n).to_pylist() for n in ("chart_id", "width", "height", "data", "s"))):
+                hsv = cluster.np_hsv(cluster.np_saturate(np.frombuffer(data, np.uint8).reshape(h, w, 3)[:, raster.W :]))
+                for e in found:
+                    mask = cluster.np_mask(hsv, cluster.np_boxes(np.array([[e["r"], e["g"], e["b"]]]))[0])
+                    rows += [{"chart_id": c, "series_no": e["series_no"], "px": int(x) + raster.W, "py": int(y)} for y, x in zip(*np.nonzero(mask))]
+            if rows:
+                yield pa.RecordBatch.from_pylist(rows, schema=pa.schema([("chart_id", pa.int64()), ("series_no", pa.int32()), ("px", pa.int32()), ("py", pa.int32())]))
+
+    return images.select("chart_id", "width", "height", "data").join(s, "chart_id").mapInArrow(run, "chart_id long, series_no int, px int, py int")
+
+
+@query
+def without_boundary(spark, d):
+    """The same charts scored on all series and without those near the cut."""
+    points = balanced_points(spark, d, "supplier", 1)
+    test = first_charts(points, 100, 5)
+    true, rho = true_series(test), truth.spearman(test)
+    pred = learned.predict(rendered(test)).persist()
+    clear = measure.without_boundary(true, rho, "series")
+    return union([accuracy(pred, true, "without_boundary", "all"), scored(measure.series_no_ocr(pred, clear), "without_boundary", "clear_series"), scored(measure.series_no_ocr(pred, measure.without_boundary(true, rho)), "without_boundary", "clear_charts")])
+
+
+def _versus(points: DataFrame, workload: str, plot_type: str) -> DataFrame:
+    colours = synth.coloured(points)
+    true = true_series(points)
+    px = raster.ink(points, colours, plot_type)
+    ours = learned.predict(raster.packed(px)).persist()
+    theirs = baseline.point_extractor(px, true).persist()
+    return union([accuracy(ours, true, workload, "ours"), accuracy(theirs, true, workload, "point_extractor")])
+
+
+@query
+def compare_lines(spark, d):
+    """Line charts of one to three series against the point extractor, which sees no colours."""
+    points = FAMILIES["customer_status"](spark, d)
+    ok = points.groupBy("chart_id", "series_key").agg(F.count("*").alias("k")).groupBy("chart_id").agg(F.min("k").alias("k")).filter("k >= 4").select("chart_id")
+    return _versus(first_charts(points.join(ok, "chart_id", "left_semi"), 100), "compare_lines", "line")
+
+
+@query
+def compare_single_bars(spark, d):
+    """Bar charts of one series against the point extractor."""
+    return _versus(first_charts(FAMILIES["customer"](spark, d), 100), "compare_single_bars", "bar")
+
+
+def web_points(spark: SparkSession, d: str) -> DataFrame:
+    """A mixed pool standing for collected charts: users with all five or three of their types, brands, nations."""
+    user = FAMILIES["user"](spark, d)
+    w = Window.partitionBy("chart_id").orderBy("series_key")
+    key = user.select("chart_id", "series_key").distinct().withColumn("_k", F.row_number().over(w))
+    narrow = user.join(key, ["chart_id", "series_key"]).filter((F.col("chart_id") % 4 == 0) | (F.col("_k") <= 3)).drop("_k")
+    shift = lambda df, k: df.select((F.col("chart_id") + k).alias("chart_id"), "series_key", "x", "y")
+    return trend(union([shift(narrow, 1_000_000), shift(FAMILIES["brand"](spark, d), 2_000_000), shift(FAMILIES["nation"](spark, d), 3_000_000)]), 4).drop("slope")
+
+
+def hardness(points: DataFrame) -> DataFrame:
+    """chart_id, hardness: hard with over three series, a series near the cut, or 30 % of its ink shared."""
+    near = measure.boundary(truth.spearman(points)).select("chart_id").distinct().withColumn("near", F.lit(1))
+    many = points.groupBy("chart_id").agg(F.count_distinct("series_key").alias("k"))
+    numbered = points.join(synth.coloured(points, "wide").select("chart_id", "series_key", "series_no"), ["chart_id", "series_key"])
+    per = raster.line(numbered).groupBy("chart_id", "px", "py").agg(F.count("*").alias("m"))
+    shared = per.groupBy("chart_id").agg((F.avg((F.col("m") > 1).cast("double"))).alias("shared"))
+    hard = (F.col("k") > 3) | F.col("near").isNotNull() | (F.col("shared") > 0.3)
+    return many.join(near, "chart_id", "left").join(shared, "chart_id", "left").select("chart_id", F.when(hard, "hard").otherwise("easy").alias("hardness"))
+
+
+@query
+def web_like(spark, d):
+    """Fifty noisy charts of diverse colours: accuracy of easy and hard ones and in total."""
+    points = first_charts(web_points(spark, d), 50)
+    true = true_series(points, "wide")
+    pred = learned.predict(rendered(points, "wide", noise=40)).persist()
+    per = measure.per_chart_no_ocr(pred, true).join(hardness(points), "chart_id")
+    s = measure.strata(per, "hardness")
+    return s.select(F.lit("web_like").alias("workload"), F.coalesce("hardness", F.lit("total")).alias("corpus"), F.lit("series_no_ocr").alias("metric"), F.col("n").cast("long").alias("n"), "value")
+
+
+@query
+def web_like_causes(spark, d):
+    """The same charts where axes are coloured, and with those charts left out."""
+    points = first_charts(web_points(spark, d), 50)
+    true = true_series(points, "wide")
+    px = raster.ink(points, synth.coloured(points, "wide"), "line")
+    axes = points.select("chart_id").distinct().filter(F.col("chart_id") % 5 == 0)
+    bars = axes.select("chart_id", F.explode(F.sequence(F.lit(raster.TOP), F.lit(raster.TOP + raster.IH))).alias("py"), F.lit(raster.LEFT - 4).alias("px")).select("chart_id", F.explode(F.array(F.col("px"), F.col("px") + 1, F.col("px") + 2)).alias("px"), "py", F.lit(None).cast("int").alias("series_no"), F.lit(120).alias("r"), F.lit(20).alias("g"), F.lit(230).alias("b"))
+    pred = learned.predict(raster.packed(px.unionByName(bars))).persist()
+    rest = true.join(axes, "chart_id", "left_anti")
+    return union([accuracy(pred, true, "web_like_causes", "all"), accuracy(pred.join(axes, "chart_id", "left_anti"), rest, "web_like_causes", "plain_axes")])
+
+
+@query
+def filtered_corpus(spark, d):
+    """Charts that pass the corpus filter, by line rendering in wide colours."""
+    points = FAMILIES["supplier"](spark, d)
+    use = points.join(eligible(points), "chart_id", "left_semi")
+    true = true_series(use, "wide")
+    return accuracy(learned.predict(rendered(use, "wide")).persist(), true, "filtered_corpus", "qa_like")
+
+
+@query
+def all_corpora(spark, d):
+    """Synthetic, web-like and filtered corpora side by side, and their total."""
+    parts = []
+    base = balanced_points(spark, d, "supplier", 1)
+    raw = FAMILIES["supplier"](spark, d)
+    for corpus, points, palette, noise in (("synthetic", first_charts(base, 100, 5), "rgb3", 0), ("web_like", first_charts(web_points(spark, d), 50), "wide", 40), ("qa_like", raw.join(eligible(raw), "chart_id", "left_semi"), "wide", 0)):
+        per = measure.per_chart_no_ocr(learned.predict(rendered(points, palette, noise=noise)), true_series(points, palette))
+        parts.append(per.withColumn("corpus", F.lit(corpus)))
+    s = measure.strata(union(parts), "corpus")
+    return s.select(F.lit("all_corpora").alias("workload"), F.coalesce("corpus", F.lit("total")).alias("corpus"), F.lit("series_no_ocr").alias("metric"), F.col("n").cast("long").alias("n"), "value")
+
+
+def _transfer(workload: str, model, control, test: DataFrame, control_test: DataFrame, palette: str, noise: int) -> DataFrame:
+    rows = []
+    for corpus, m, points in (("transfer", model, test), ("control", control, control_test)):
+        rows.append(scored(measure.series_no_ocr(learned.predict(rendered(points, palette, noise=noise), m), true_series(points, palette)), workload, corpus))
+    guess = baseline.random_guess(true_series(test, palette).drop("relation"))
+    rows.append(scored(measure.series_no_ocr(guess, true_series(test, palette)), workload, "chance"))
+    return union(rows)
+
+
+@query
+def transfer_styles(spark, d):
+    """A model of plain charts on diverse ones, against a model trained on diverse ones, and chance."""
+    plain, diverse = balanced_points(spark, d, "nation", 2), balanced_points(spark, d, "supplier", 3)
+    n = 50
+    return _transfer("transfer_styles", model_for(plain, 25, epochs=15), model_for(diverse, n, "wide", noise=60, epochs=15, seed=1), first_charts(diverse, n, 1, n), first_charts(diverse, n, 1, n), "wide", 60)
+
+
+@query
+def transfer_web(spark, d):
+    """The plain model on web-like charts; the control learns from one half of them and is tested on the other."""
+    web = first_charts(web_points(spark, d), 50)
+    return _transfer("transfer_web", model_for(balanced_points(spark, d, "nation", 2), 25, epochs=15), model_for(web, 25, "wide", noise=40, epochs=15), web, first_charts(web, 25, 0, 25), "wide", 40)
+
+
+@query
+def transfer_corpus(spark, d):
+    """The plain model on the first hundred filtered charts; the control learns from the second and is tested on the third."""
+    points = balanced_points(spark, d, "customer_status", 6)
+    use = points.join(eligible(points), "chart_id", "left_semi")
+    return _transfer("transfer_corpus", model_for(balanced_points(spark, d, "nation", 2), 25, epochs=15), model_for(use, 100, "wide", epochs=15, skip=100), first_charts(use, 100), first_charts(use, 100, 0, 200), "wide", 0)
+
+
+@query
+def rotation_ablation(spark, d):
+    """Axis accuracy with the vertical label turned by us, tried four ways by the reader, or left as it is."""
+    points = first_charts(FAMILIES["supplier"](spark, d), 60)
+    labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label")
+    images, _ = text.annotated(rendered(points), labels, true_series(points))
+    images = images.persist()
+    found = text.detect(images)
+    return union([scored(measure.axis(text.labels_of(text.extract(images, found, m)), labels), "rotation_ablation", m) for m in ("manual", "auto", "none")])
+
+
+@query
+def facet_detection(spark, d):
+    """Mean overlap of found and true boxes by detector, and axis accuracy that follows from each."""
+    points = first_charts(FAMILIES["supplier"](spark, d), 80)
+    labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label")
+    images, facets = text.annotated(rendered(points), labels, true_series(points))
+    images, facets = images.persist(), facets.persist()
+    rows, ssd = [], trained_detector(images.filter("chart_id % 2 = 0"), facets)
+    test = images.filter("chart_id % 2 = 1")
+    for name, found in (("layout", text.detect(test, "layout")), ("ssd", text.detect(test, "ssd", ssd)), ("truth", facets.filter("chart_id % 2 = 1"))):
+        rows.append(scored(box_overlap(found, facets.filter("chart_id % 2 = 1")), "facet_detection", name, "mean_iou"))
+        rows.append(scored(measure.axis(text.labels_of(text.extract(test, found)), labels.join(test.select("chart_id"), "chart_id", "left_semi")), "facet_detection", name))
+    return union(rows)
+
+
+def trained_detector(images: DataFrame, facets: DataFrame, most: int = 60) -> text.Detector:
+    """The single-shot detector for at most ``most`` annotated images."""
+    boxes = facets.groupBy("chart_id").agg(F.collect_list(F.struct("kind", "x0", "y0", "x1", "y1")).alias("f"))
+    rows = images.join(boxes, "chart_id").orderBy("chart_id").limit(most).collect()
+    shape = (rows[0]["height"], rows[0]["width"])
+    return text.Detector(shape).train([np.frombuffer(r["data"], np.uint8).reshape(*shape, 3) for r in rows], [[tuple(f) for f in r["f"]] for r in rows])
+
+
+def box_overlap(found: DataFrame, true: DataFrame) -> DataFrame:
+    """n, value: mean over true boxes of the best intersection over union with a found box of its kind."""
+    t = true.select("chart_id", "kind", "ordinal", *(F.col(c).alias(f"t{c}") for c in ("x0", "y0", "x1", "y1")))
+    f = found.select("chart_id", "kind", "x0", "y0", "x1", "y1")
+    j = t.join(f, ["chart_id", "kind"], "left")
+    side = lambda a: F.greatest(F.lit(0), F.least(F.col(f"{a}1"), F.col(f"t{a}1")) - F.greatest(F.col(f"{a}0"), F.col(f"t{a}0")))
+    both = side("x") * side("y")
+    size = lambda p: (F.col(f"{p}x1") - F.col(f"{p}x0")) * (F.col(f"{p}y1") - F.col(f"{p}y0"))
+    iou = F.coalesce(both / (size("") + size("t") - both), F.lit(0.0))
+    best = j.groupBy("chart_id", "kind", "ordinal").agg(F.max(iou).alias("v"))
+    return best.agg(F.count("*").alias("n"), F.round(F.avg("v"), 6).alias("value"))
+
+
+@query
+def cleaning_ablation(spark, d):
+    """Accuracy with and without the saturation threshold under rising noise."""
+    points = first_charts(balanced_points(spark, d, "supplier", 1), 50)
+    true, rows = true_series(points, "wide"), []
+    for noise in (0, 60, 15):
+        images = rendered(points, "wide", noise=noise).persist()
+        for clean in (True, False):
+            pred = learned.predict(images, clean=clean)
+            rows.append(scored(measure.series_no_ocr(pred, true), "cleaning_ablation", f"noise_{noise}_{'on' if clean else 'off'}"))
+    return union(rows)
+
+
+@query
+def saturation_sweep(spark, d):
+    """Accuracy by saturation threshold."""
+    points = first_charts(balanced_points(spark, d, "supplier", 1), 40)
+    images, true = rendered(points, "wide", noise=30).persist(), true_series(points, "wide")
+    return union([scored(measure.series_no_ocr(learned.predict(images, threshold=t), true), "saturation_sweep", f"threshold_{t}") for t in (0, 32, 64, 128, 250)])
+
+
+@query
+def width_sweep(spark, d):
+    """Accuracy by half-widths of the colour ranges."""
+    points = first_charts(balanced_points(spark, d, "supplier", 1), 40)
+    images, true = rendered(points, "wide").persist(), true_series(points, "wide")
+    return union([scored(measure.series_no_ocr(learned.predict(images, widths=w), true), "width_sweep", "_".join(map(str, w))) for w in ((2, 25, 40), (10, 10, 40), (10, 25, 40), (40, 25, 40), (90, 25, 40))])
+
+
+@query
+def embedding_colors(spark, d, k: int = 10):
+    """One global colour space: MLlib k-means of embedding components as colours, and the purity of its clusters."""
+    from pyspark.ml.clustering import KMeans
+    from pyspark.ml.feature import VectorAssembler
+
+    from .queries import _embedding_colours
+
+    px = _embedding_colours(spark, d).withColumn("w", F.lit(1.0))
+    rows = VectorAssembler(inputCols=["r", "g", "b"], outputCol="features").transform(px)
+    got = KMeans(k=k, seed=1, weightCol="w", maxIter=15).fit(rows).transform(rows).groupBy("prediction", "label").agg(F.count("*").alias("m"))
+    top = got.groupBy("prediction").agg(F.max("m").alias("top"), F.sum("m").alias("all"))
+    return scored(top.agg(F.sum("all").alias("n"), F.round(F.sum("top") / F.sum("all"), 6).alias("value")), "embedding_colors", "embeddings", "purity")
+
+
+@query
+def chance_level(spark, d):
+    """Random guess and majority on raw and on balanced charts."""
+    rows = []
+    for corpus, points in (("raw", FAMILIES["customer_status"](spark, d)), ("balanced", balanced_points(spark, d, "customer_status", 6))):
+        true = true_series(points)
+        rows.append(scored(measure.series_no_ocr(baseline.random_guess(true.drop("relation")), true), "chance_level", f"{corpus}_guess"))
+        rows.append(scored(measure.series_no_ocr(baseline.majority(true.drop("relation"), true), true), "chance_level", f"{corpus}_majority"))
+    return union(rows)
+
+
+@query
+def training_size(spark, d):
+    """Held-out accuracy of the network by number of training charts."""
+    points = balanced_points(spark, d, "customer", 8)
+    test = first_charts(points, 60, 0, 400)
+    images, true = rendered(test).persist(), true_series(test)
+    return union([scored(measure.series_no_ocr(learned.predict(images, model_for(points, n, epochs=15)), true), "training_size", f"train_{n}") for n in (25, 100, 300)])
+
+
+@query
+def fine_tuning(spark, d):
+    """A plain model on diverse charts before and after a short training on a few of them."""
+    plain, diverse = balanced_points(spark, d, "nation", 2), balanced_points(spark, d, "supplier", 3)
+    model = model_for(plain, 25, epochs=15)
+    tuned = model_for(diverse, 30, "wide", noise=60, epochs=6, seed=1, start=model)
+    test = first_charts(diverse, 40, 1, 30)
+    images, true = rendered(test, "wide", noise=60).persist(), true_series(test, "wide")
+    return union([scored(measure.series_no_ocr(learned.predict(images, m), true), "fine_tuning", name) for name, m in (("before", model), ("after", tuned))])
+
+
+@query
+def learning_alone(spark, d):
+    """The network on whole charts without separating series, against the full chain, by counts of relations."""
+    points = first_charts(balanced_points(spark, d, "supplier", 1), 60, 5)
+    model = model_for(balanced_points(spark, d, "nation", 2), 25, epochs=15)
+    images, true = rendered(points).persist(), true_series(points)
+    return union([scored(measure.raw(learned.predict(images, model), true), "learning_alone", "full_chain"), scored(measure.raw(learned.count_head(images, model), true), "learning_alone", "network_only")])
+
+
+@query
+def single_shot_end_to_end(spark, d):
+    """The end-to-end measures with true facets and with the programmed detector: what the detector costs."""
+    points = first_charts(balanced_points(spark, d, "supplier", 1), 40, 5)
+    return _end_to_end(points, None, "single_shot_end_to_end", "layout").unionByName(_end_to_end(points, None, "single_shot_end_to_end", "truth", detector="truth"))
+
+
+@query
+def cost_profile(spark, d):
+    """Compression of pixels to colours and distance evaluations of the k sweep, by family."""
+    rows = []
+    for family in ("supplier", "nation", "customer_status"):
+        points = FAMILIES[family](spark, d)
+        hist = cluster.histogram(cluster.saturate(raster.degraded(raster.ink(points, synth.coloured(points), "line"))), raster.W * raster.H)
+        per = hist.groupBy("chart_id").agg(F.count("*").alias("h"))
+        rows.append(scored(per.agg(F.count("*").alias("n"), F.round(F.lit(float(raster.W * raster.H)) / F.avg("h"), 6).alias("value")), "cost_profile", family, "pixels_per_colour"))
+        rows.append(scored(per.agg(F.count("*").alias("n"), F.sum(F.col("h") * cluster.K_MAX * (cluster.K_MAX + 1) / 2).alias("value")), "cost_profile", family, "distances_per_round"))
+    return union(rows)

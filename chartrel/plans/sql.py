@@ -122,7 +122,7 @@ def near_cut(points: str) -> str:
 
 def right(pred: str, true: str) -> str:
     return f"""select distinct t.chart_id, t.series_key from ({hsv(true, 'chart_id, series_key, relation')}) t join ({hsv(pred, 'chart_id, relation')}) p on t.chart_id = p.chart_id and t.relation = p.relation
-      where least(abs(t.h - p.h), 180 - abs(t.h - p.h)) <= 10 and abs(t.s - p.s) <= 25 and abs(t.v - p.v) <= 40"""
+      where least(abs(t.h - p.h), 180 - abs(t.h - p.h)) <= 10"""
 
 
 def per_chart(pred: str, true: str) -> str:
