@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
 from contextlib import contextmanager
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -52,6 +54,18 @@ def arrow_rows(spark: SparkSession, n: int):
         spark.conf.set(key, old)
 
 
+def sliced(batches, rows: int = 512):
+    """Arrow batches in short runs of rows, so that few texts are Python objects at a time; freed memory goes back at the end."""
+    for batch in batches:
+        for lo in range(0, batch.num_rows, rows):
+            yield batch.slice(lo, rows)
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library keeps what it likes
+        pass
+
+
 def discard(df: DataFrame) -> None:
     """Deletes what ``stored`` wrote, once nothing reads it any more."""
     jvm, conf = df.sparkSession._jvm, df.sparkSession._jsc.hadoopConfiguration()

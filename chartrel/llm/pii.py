@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import hashed_sample, sliced
+
 KINDS = ("email", "ip", "card", "phone")
 TYPES = (*KINDS, "secret")
 #: Pieces of one entity at most, characters of one entity at most.
@@ -272,8 +274,8 @@ def fit(texts: list[str], seed: int = 3, epochs: int = 4, most: int = TRAIN_RUNS
 
 def train(docs: DataFrame) -> SemiMarkov:
     """The field for a bounded sample of texts that hold a digit or at sign, by hashed id."""
-    rows = docs.filter(F.col("text").rlike("[0-9@]") & (F.length("text") <= 20_000)).select("text", F.xxhash64(F.lit(1), "doc_id").alias("k"))
-    return fit([r["text"] for r in rows.orderBy("k", "text").limit(TRAIN_TEXTS).collect()])
+    rows = docs.select("doc_id", "text").filter(F.col("text").rlike("[0-9@]") & (F.length("text") <= 20_000))
+    return fit(sorted(r["text"] for r in hashed_sample(rows, TRAIN_TEXTS, "doc_id", salt=1).select("text").collect()))
 
 
 def find(text: str, field: SemiMarkov) -> tuple[dict[str, list[tuple[int, int]]], list[tuple[int, int, str]]]:
@@ -301,7 +303,7 @@ def find(text: str, field: SemiMarkov) -> tuple[dict[str, list[tuple[int, int]]]
 def finder(shared):
     def run(batches):
         field: SemiMarkov = shared.value
-        for batch in batches:
+        for batch in sliced(batches):
             count, sha, spans = {k: [] for k in KINDS}, [], []
             for text in batch.column("text").to_pylist():
                 own, found = find(text or "", field)
