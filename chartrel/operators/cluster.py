@@ -12,6 +12,8 @@ from ..functions.color import full_hue, np_full_hue, np_hsv, with_hsv
 #: Defaults (fixed values of the method): largest k, share of the error that a k must explain, half-widths of ranges.
 K_MAX, EXPLAINED, SATURATION = 8, 0.985, 64
 WIDTHS = (10, 25, 40)
+#: Distinct colours up to which k-means is solved exactly.
+EXACT = 6
 _HIST = "chart_id long, cells array<struct<r:int,g:int,b:int,w:long>>"
 
 
@@ -45,8 +47,31 @@ def distances(x: np.ndarray, c: np.ndarray) -> np.ndarray:
     return ((x[:, None, :] - c[None]) ** 2).sum(axis=2)
 
 
+def _groupings(n: int) -> list[tuple[int, ...]]:
+    """Every way to group n things, as labels in order of first use."""
+    out: list[tuple[int, ...]] = [()]
+    for _ in range(n):
+        out = [(*g, j) for g in out for j in range(max(g, default=-1) + 2)]
+    return out
+
+
 def fit(x: np.ndarray, w: np.ndarray, k: int, rounds: int = 25) -> tuple[np.ndarray, np.ndarray, float]:
-    """Weighted Lloyd from a farthest-first start; x sorted heaviest first, ties to the earlier row and lower centre."""
+    """Weighted k-means; x sorted heaviest first.
+
+    Cleaned hues lie equally far from white and from each other, where Lloyd's rule stops at ties, so up to ``EXACT``
+    colours the best of all groupings is taken. More are fitted by Lloyd from a farthest-first start, ties to the lower centre.
+    """
+    if len(x) <= EXACT:
+        best = None
+        for g in _groupings(len(x)):
+            if max(g) + 1 == min(k, len(x)):
+                own = np.array(g)
+                total = np.bincount(own, weights=w)
+                c = np.stack([np.bincount(own, weights=w * x[:, i]) / total for i in range(3)], axis=1)
+                e = float((((x - c[own]) ** 2).sum(axis=1) * w).sum())
+                if best is None or e < best[2] - 1e-9:
+                    best = (c, own, e)
+        return best
     at = [0]
     near = ((x - x[0]) ** 2).sum(axis=1)
     for _ in range(1, min(k, len(x))):
