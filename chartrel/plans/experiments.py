@@ -161,7 +161,7 @@ def _versus(points: DataFrame, workload: str, plot_type: str) -> DataFrame:
 @query
 def compare_lines(spark, d):
     """Line charts of one to three series against the point extractor, which sees no colours."""
-    points = FAMILIES["customer_status"](spark, d)
+    points = balanced_points(spark, d, "customer_status", 6)
     ok = points.groupBy("chart_id", "series_key").agg(F.count("*").alias("k")).groupBy("chart_id").agg(F.min("k").alias("k")).filter("k >= 4").select("chart_id")
     return _versus(first_charts(points.join(ok, "chart_id", "left_semi"), 100), "compare_lines", "line")
 
@@ -265,10 +265,11 @@ def transfer_web(spark, d):
 
 @query
 def transfer_corpus(spark, d):
-    """The plain model on the first hundred filtered charts; the control learns from the second and is tested on the third."""
+    """The plain model on the first part of the filtered charts; the control learns from the second and is tested on the third."""
     points = balanced_points(spark, d, "customer_status", 6)
-    use = points.join(eligible(points), "chart_id", "left_semi")
-    return _transfer("transfer_corpus", model_for(balanced_points(spark, d, "nation", 2), 25, epochs=15), model_for(use, 100, "wide", epochs=15, skip=100), first_charts(use, 100), first_charts(use, 100, 0, 200), "wide", 0)
+    ids = eligible(FAMILIES["customer_status"](spark, d))
+    use, n = points.join(ids, "chart_id", "left_semi"), max(1, min(100, ids.count() // 3))
+    return _transfer("transfer_corpus", model_for(balanced_points(spark, d, "nation", 2), 25, epochs=15), model_for(use, n, "wide", epochs=15, skip=n), first_charts(use, n), first_charts(use, n, 0, 2 * n), "wide", 0)
 
 
 @query
