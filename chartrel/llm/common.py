@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import gc
 import os
 import tempfile
 import uuid
@@ -15,6 +16,8 @@ from pyspark.sql import functions as F
 
 #: What ends a word everywhere in this subpackage: ASCII space and the five ASCII controls 9 to 13.
 WORD = r"[^\x20\x09-\x0D]+"
+#: Rows of an Arrow batch that holds whole texts.
+TEXT_ROWS = 1000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
@@ -54,11 +57,9 @@ def arrow_rows(spark: SparkSession, n: int):
         spark.conf.set(key, old)
 
 
-def sliced(batches, rows: int = 512):
-    """Arrow batches in short runs of rows, so that few texts are Python objects at a time; freed memory goes back at the end."""
-    for batch in batches:
-        for lo in range(0, batch.num_rows, rows):
-            yield batch.slice(lo, rows)
+def trim() -> None:
+    """Gives freed memory back to the system: a worker that is used again starts small."""
+    gc.collect()
     pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL("libc.so.6").malloc_trim(0)
@@ -66,6 +67,22 @@ def sliced(batches, rows: int = 512):
         pass
 
 
+def sliced(batches, rows: int = 512):
+    """Arrow batches in short runs of rows, so that few texts are Python objects at a time."""
+    trim()
+    for batch in batches:
+        for lo in range(0, batch.num_rows, rows):
+            yield batch.slice(lo, rows)
+    trim()
+
+
+def text_batches(spark: SparkSession) -> None:
+    """Holds this session's Arrow batches to TEXT_ROWS rows, as whole texts make the default's batches large on both sides."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= TEXT_ROWS:
+        spark.conf.set(key, TEXT_ROWS)
+
+
 def discard(df: DataFrame) -> None:
     """Deletes what ``stored`` wrote, once nothing reads it any more."""
     jvm, conf = df.sparkSession._jvm, df.sparkSession._jsc.hadoopConfiguration()

@@ -18,17 +18,20 @@ def _tied(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
     return rows.join(low.hint("merge"), "a"), low
 
 
+def _stars(edges: DataFrame) -> bool:
+    """Whether every node points at one root and no root points on."""
+    if edges.join(edges.select(F.col("b").alias("a")).distinct().hint("merge"), "a", "left_semi").limit(1).count():
+        return False
+    return not edges.groupBy("a").agg(F.count("*").alias("n")).filter("n > 1").limit(1).count()
+
+
 def components(edges: DataFrame) -> DataFrame:
     """node, component (its smallest node) of every node that has an edge; edges: a, b (long)."""
-    now, before = stored(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges"), None
-    while True:
-        mark = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
-        if tuple(mark) == before or not mark[0]:
-            break
-        before = tuple(mark)
+    now = stored(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
+    while not _stars(now):
         tied, low1 = _tied(_both(now))  # large star: larger neighbours move to the smallest
-        large = stored(tied.filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct(), "large-star")
-        tied, low2 = _tied(large.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")))  # small star: smaller ones move
+        large = stored(tied.filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")), "large-star")
+        tied, low2 = _tied(large)  # small star: smaller ones move
         small = tied.select(F.col("b").alias("x"), "m").unionByName(tied.select(F.col("a").alias("x"), "m")).filter("x <> m")
         new = stored(small.select(F.col("x").alias("a"), F.col("m").alias("b")).distinct(), "small-star")
         for old in (now, low1, large, low2):

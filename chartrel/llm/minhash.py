@@ -1,12 +1,12 @@
 """Near-dedup by improved consistent weighted sampling over TF-IDF shingles, banded, verified by weighted Jaccard.
 
-Words are blank-delimited and lower-cased, shingles are five words in a row (all words of a shorter text). A shingle
+Words are blank-delimited, their ASCII letters lower-cased; shingles are five words in a row (all words of a shorter text). A shingle
 weighs its count in the text times an inverse document frequency that saturates: every shingle in less than one document
 of a thousand has the same, highest one. So only the widespread shingles need exact counts: a pass over all texts adds
 their shingles up in a fixed number of buckets, and a second pass counts, over all texts, exactly the shingles of those
 buckets that reach the bound. What is broadcast is thereby limited by the shingles of a mean text times a thousand.
 
-Each signature entry is a consistent weighted sample: random variates come from tables indexed by sixteen bits of the
+Each signature entry is a consistent weighted sample: random variates come from tables indexed by fourteen bits of the
 shingle's hash, ties within a table row fall to the rest of the hash. Equal texts are one class beforehand. Bands of four
 entries make buckets; in each bucket members are compared with one leader, then, as long as a bucket still holds several
 classes, with members of its largest class, and what remains is compared in full, so no link between different texts is
@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import mix, parts, slices, stored
+from .common import arrow_rows, mix, sliced, slices, stored, text_batches
 from .components import components
 
 WIDTH, SIMILARITY = 5, 0.8
@@ -36,85 +36,124 @@ BANDS, ROWS = 12, 4
 ENTRIES = BANDS * ROWS
 #: Document share below which the inverse document frequency no longer grows; buckets of the first pass, in ranges.
 SHARE, BUCKETS, RANGES = 1e-3, 1 << 22, 64
-SLOTS = 1 << 16
-ROUNDS = 6
-WORDS = 400_000
-
-
-def _word_hashes(words: list[str]) -> np.ndarray:
-    text = "".join(words)
-    codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
-    size = np.array([len(w) for w in words])
-    start = np.cumsum(size) - size
-    place = np.arange(len(codes)) - np.repeat(start, size)
+SLOTS = 1 << 14
+ROUNDS = 8
+#: Pairs per distinct text up to which the open buckets are compared in full at once.
+PAIRS_PER_TEXT = 100
+#: Pairs of a bucket beyond which it is compared in blocks of so many texts; shingles that a verifier keeps.
+BLOCK_PAIRS, BLOCK, CACHED = 2000, 256, 2_000_000
+#: Bytes of text that are hashed at once.
+PIECE = 1 << 18
+#: Pairs of whole texts that are brought to Python at once.
+PAIR_ROWS = 256
+
+
+_rng = np.random.default_rng(29)
+_BYTE = _rng.integers(1, 1 << 64, 256, np.uint64) | np.uint64(1)
+_BYTE[65:91] = _BYTE[97:123]  # ASCII letters are lower-cased
+_PLACE = _rng.integers(1, 1 << 64, 256, np.uint64) | np.uint64(1)
+_BLANK = np.zeros(256, bool)
+_BLANK[[9, 10, 11, 12, 13, 32]] = True
+
+
+def _word_hashes(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hash and first byte of every blank-delimited word of UTF-8 bytes."""
+    ink = ~_BLANK[data]
+    edge = np.flatnonzero(np.diff(np.concatenate(([False], ink, [False]))))
+    start, end = edge[::2], edge[1::2]
+    if not len(start):
+        return np.zeros(0, np.uint64), start
+    first = np.concatenate(([0], start))
+    place = np.arange(len(data)) - np.repeat(first, np.diff(np.append(first, len(data))))
     with np.errstate(over="ignore"):
-        return mix(np.add.reduceat(mix(codes) * (mix(place, 1) | np.uint64(1)), start))
-
-
-class Words(dict):
-    """Word to row of a table of hashes; new words are hashed together."""
-
-    def __init__(self):
-        super().__init__()
-        self.new, self.rows = [], np.zeros(0, np.uint64)
-
-    def __missing__(self, word):
-        self[word] = at = len(self)
-        self.new.append(word)
-        return at
-
-    def hashes(self, words: list[str]) -> np.ndarray:
-        if len(self) > WORDS:
-            self.clear()
-            self.rows = self.rows[:0]
-        at = np.fromiter(map(self.__getitem__, words), np.int64, len(words))
-        if self.new:
-            self.rows = np.concatenate((self.rows, _word_hashes(self.new)))
-            self.new = []
-        return self.rows[at]
-
-
-def shingled(texts: list[str], words: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Text number, hash and count of every distinct shingle, by text and hash."""
-    each = [t.lower().split() for t in texts]
-    size = np.array([len(e) for e in each], np.int64)
-    x = words.hashes([w for e in each for w in e])
+        v = _BYTE[data] * _PLACE[place & 255]
+        if place.max() > 255:  # beyond the table a long word's places get numbers of their own
+            far = place > 255
+            v[far] += mix(place[far])
+        v[~ink] = 0
+        return mix(np.add.reduceat(v, start)), start
+
+
+def shingled(data: np.ndarray, offsets: np.ndarray, distinct: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Text number, 48-bit hash and count of the shingles of texts laid end to end, by text and hash.
+
+    Not ``distinct``: every occurrence in the order of the texts, counted once. At most 65536 texts at a time.
+    """
+    got = []
+    lo = int(offsets[0])
+    while lo < offsets[-1]:  # bounded pieces, cut behind a blank
+        hi = min(int(offsets[-1]), lo + PIECE)
+        if hi < offsets[-1]:
+            gap = np.flatnonzero(_BLANK[data[lo:hi]])
+            ends = offsets[(offsets > lo) & (offsets <= hi)]
+            cut = max(lo + int(gap[-1]) + 1 if len(gap) else lo, int(ends[-1]) if len(ends) else lo)
+            hi = cut if cut > lo else int(offsets[-1])
+        got.append((lo, hi))
+        lo = hi
+    x, at = [], []
+    for lo, hi in got:
+        part = data[lo:hi]
+        inner = offsets[(offsets > lo) & (offsets < hi)] - lo
+        if len(inner):  # a blank between texts keeps their words apart
+            part = np.insert(part, inner, 32)
+        h, start = _word_hashes(part)
+        x.append(h)
+        at.append(start - np.searchsorted(inner + np.arange(len(inner)), start, side="left") + lo if len(inner) else start + lo)
     none = np.zeros(0, np.int64)
+    x, at = (np.concatenate(x), np.concatenate(at)) if x else (np.zeros(0, np.uint64), none)
     if not len(x):
         return none, np.zeros(0, np.uint64), none
-    text = np.repeat(np.arange(len(texts)), size)
+    size = np.diff(np.searchsorted(at, offsets))
+    text = np.repeat(np.arange(len(size)), size)
     left = np.repeat(np.cumsum(size), size) - np.arange(len(x))
-    place = np.repeat(size, size) - left
     with np.errstate(over="ignore"):
         h = np.zeros(len(x), np.uint64)
         for j in range(WIDTH):
-            # Behind the end of a short text nothing is added; only its first place stands for it.
-            nxt = np.zeros(len(x), np.uint64)
-            nxt[: max(0, len(x) - j)] = x[j:]
-            h = h * np.uint64(0x9DDFEA08EB382D69) + np.where(left > j, nxt, np.uint64(1))
-    use = (left >= WIDTH) | (place == 0)
-    h, text = mix(h[use]), text[use]
-    order = np.lexsort((h, text))
-    h, text = h[order], text[order]
-    first = np.flatnonzero(np.concatenate(([True], (h[1:] != h[:-1]) | (text[1:] != text[:-1]))))
-    return text[first], h[first], np.diff(np.append(first, len(h)))
-
-
-def _chunks(batch, column: str = "text") -> Iterator[tuple[int, int, list[str]]]:
-    texts = [t or "" for t in batch.column(column).to_pylist()]
-    for a, b in slices([len(t) for t in texts], 1_500_000):
-        yield a, b, texts[a:b]
+            h *= np.uint64(0x9DDFEA08EB382D69)
+            h[: max(0, len(x) - j)] += x[j:]
+        short = np.flatnonzero((left < WIDTH) & (np.repeat(size, size) == left))  # the whole of a text with fewer words
+        for i in short.tolist():
+            v = np.uint64(left[i])
+            for j in range(int(left[i])):
+                v = v * np.uint64(0x9DDFEA08EB382D69) + x[i + j]
+            h[i] = v
+        use = left >= WIDTH
+        use[short] = True
+        h, text = mix(h[use]) >> np.uint64(16), text[use]
+    if not distinct:
+        return text, h, np.ones(len(h), np.int64)
+    key = np.sort((text.astype(np.uint64) << np.uint64(48)) | h)
+    first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+    key = key[first]
+    return (key >> np.uint64(48)).astype(np.int64), key & np.uint64((1 << 48) - 1), np.diff(np.append(first, len(h)))
+
+
+def encoded(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Bytes and offsets of texts."""
+    raw = [t.encode("utf-8", "surrogatepass") for t in texts]
+    return np.frombuffer(b"".join(raw), np.uint8), np.cumsum([0, *map(len, raw)])
+
+
+def _chunks(batch) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """Runs of a batch's texts as bytes and offsets, straight from Arrow's buffers; nulls are empty."""
+    column = batch.column("text").cast(pa.large_string())
+    _, ends, body = column.buffers()
+    offsets = np.frombuffer(ends, np.int64)[column.offset : column.offset + len(column) + 1] if len(column) else np.zeros(1, np.int64)
+    data = np.frombuffer(body, np.uint8) if body is not None else np.zeros(0, np.uint8)
+    for a, b in slices(np.diff(offsets).tolist(), PIECE):
+        yield a, b, data, offsets[a : b + 1]
 
 
 def _bucket_counts(batches):
-    words, total = Words(), np.zeros(BUCKETS, np.int64)
-    for batch in batches:
-        for _, _, texts in _chunks(batch):
-            _, h, _ = shingled(texts, words)
-            total += np.bincount((h >> np.uint64(42)).astype(np.int64), minlength=BUCKETS)
-    step, salt = BUCKETS // RANGES, int(total.sum() % 16)
+    total = np.zeros(BUCKETS, np.int32)
+    for batch in sliced(batches, 4096):
+        for _, _, data, offsets in _chunks(batch):
+            _, h, _ = shingled(data, offsets, distinct=False)
+            at, n = np.unique((h >> np.uint64(26)).astype(np.int32), return_counts=True)
+            total[at] += n.astype(np.int32)
+    step, salt = BUCKETS // RANGES, int(total[::97].sum() % 16)
     full = [r for r in range(RANGES) if total[r * step : (r + 1) * step].any()]
-    yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array([salt] * len(full), pa.int32()), pa.array([zlib.compress(total[r * step : (r + 1) * step].tobytes(), 1) for r in full], pa.binary())], names=["range", "salt", "counts"])
+    yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array([salt] * len(full), pa.int32()), pa.array([zlib.compress(total[r * step : (r + 1) * step].astype(np.int64).tobytes(), 1) for r in full], pa.binary())], names=["range", "salt", "counts"])
 
 
 def _added(table: pa.Table) -> pa.Table:
@@ -134,14 +173,15 @@ def _heavy(least: int):
 
 def _candidates(shared):
     def run(batches):
-        mask, words = np.zeros(BUCKETS, bool), Words()
+        mask = np.zeros(BUCKETS, bool)
         mask[shared.value] = True
-        for batch in batches:
-            found = []
-            for _, _, texts in _chunks(batch):
-                _, h, _ = shingled(texts, words)
-                found.append(h[mask[(h >> np.uint64(42)).astype(np.int64)]])
-            h, n = np.unique(np.concatenate(found), return_counts=True) if found else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+        for batch in sliced(batches, 4096):
+            found = [np.zeros(0, np.uint64)]
+            for _, _, data, offsets in _chunks(batch):
+                text, h, _ = shingled(data, offsets, distinct=False)
+                hit = mask[(h >> np.uint64(26)).astype(np.int64)]
+                found.append(np.unique((text[hit].astype(np.uint64) << np.uint64(48)) | h[hit]) & np.uint64((1 << 48) - 1))
+            h, n = np.unique(np.concatenate(found), return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(n.astype(np.int64))], names=["h", "n"])
 
     return run
@@ -201,7 +241,7 @@ def _usual(seed: int, log_w: float) -> np.ndarray:
 
 def signatures(h: np.ndarray, w: np.ndarray, start: np.ndarray, usual: float, seed: int = 13) -> np.ndarray:
     """Texts x ENTRIES consistent samples of shingles sorted by text; ``usual``: the weight that most shingles have."""
-    slot, rest = (h & np.uint64(SLOTS - 1)).astype(np.int64), (h >> np.uint64(16)) & np.uint64(0xFFFFFFFF)
+    slot, rest = (h & np.uint64(SLOTS - 1)).astype(np.int64), h >> np.uint64(16)
     table, (r, c, beta) = _usual(seed, float(np.float32(np.log(usual)))), _variates(seed)
     other = np.flatnonzero(w != usual)
     log_w, other_slot = np.log(w[other]).astype(np.float32), slot[other]
@@ -218,13 +258,13 @@ def signatures(h: np.ndarray, w: np.ndarray, start: np.ndarray, usual: float, se
 def _signer(shared):
     def run(batches):
         known: Weights = shared.value
-        words = Words()
-        for batch in batches:
-            raw = batch.column("text").to_pylist()
-            same = [None if t is None else hashlib.blake2b(t.encode("utf-8", "surrogatepass"), digest_size=16).digest() for t in raw]
-            keys: list = [None] * len(raw)
-            for a, b, texts in _chunks(batch):
-                text, h, tf = shingled(texts, words)
+        for batch in sliced(batches, 4096):
+            null = batch.column("text").is_null().to_pylist()
+            same: list = []
+            keys: list = [None] * batch.num_rows
+            for a, b, data, offsets in _chunks(batch):
+                same += [None if null[a + i] else hashlib.blake2b(data[offsets[i] : offsets[i + 1]], digest_size=16).digest() for i in range(b - a)]
+                text, h, tf = shingled(data, offsets)
                 if not len(h):
                     continue
                 who, start = np.unique(text, return_index=True)
@@ -255,17 +295,21 @@ def weighted_jaccard(one: tuple[np.ndarray, np.ndarray], two: tuple[np.ndarray,
 def _verifier(shared, least: float):
     def run(batches):
         known: Weights = shared.value
-        words, cache = Words(), {}
+        cache: dict = {}
+        held = 0
 
         def vector(i, text):
+            nonlocal held
             if i not in cache:
-                if len(cache) > 256:
+                if held > CACHED:
                     cache.clear()
-                _, h, tf = shingled([text], words)
+                    held = 0
+                _, h, tf = shingled(*encoded([text]))
                 cache[i] = (h, tf * known.of(h))
+                held += len(h)
             return cache[i]
 
-        for batch in batches:
+        for batch in sliced(batches):
             a, b, ta, tb = (batch.column(n).to_pylist() for n in ("a", "b", "ta", "tb"))
             ok = [weighted_jaccard(vector(i, x), vector(j, y)) >= least - 1e-9 for i, j, x, y in zip(a, b, ta, tb)]
             keep = [k for k, good in enumerate(ok) if good]
@@ -274,8 +318,56 @@ def _verifier(shared, least: float):
     return run
 
 
+def similarities(texts: list[str], known: Weights, one: np.ndarray, two: np.ndarray) -> np.ndarray:
+    """Weighted Jaccard of each text of ``one`` with each of ``two`` (indexes into texts), by matrix products.
+
+    A shingle that occurs n times is n features, so the sum of minima is a dot product of 0/1 features times their weight.
+    """
+    text, h, tf = shingled(*encoded(texts))
+    idf = known.of(h)
+    total = np.bincount(text, weights=tf * idf, minlength=len(texts))
+    row = np.repeat(np.arange(len(h)), tf)
+    level = np.arange(len(row)) - np.repeat(np.cumsum(tf) - tf, tf)
+    key, feature = np.unique(mix(h[row] + level.astype(np.uint64) * np.uint64(1 << 48)), return_inverse=True)
+    order = np.argsort(feature, kind="stable")
+    feature, text, root = feature[order], text[row][order], np.sqrt(idf[row][order])
+    both = np.zeros((len(one), len(two)))
+    for lo in range(0, len(key), 4096):
+        a, b = np.searchsorted(feature, (lo, lo + 4096))
+        dense = np.zeros((len(texts), min(4096, len(key) - lo)))
+        dense[text[a:b], feature[a:b] - lo] = root[a:b]
+        both += dense[one] @ dense[two].T
+    return both / np.maximum(total[one][:, None] + total[two][None] - both, 1e-12)
+
+
+def _block_linker(shared, least: float):
+    def run(table: pa.Table) -> pa.Table:
+        role, rep, comp = (table.column(n).to_numpy() for n in ("role", "rep", "comp"))
+        one, two = np.flatnonzero(role == 1), np.flatnonzero(role == 0)
+        links: list[tuple[int, int]] = []
+        if len(one) and len(two):
+            near = similarities(table.column("text").to_pylist(), shared.value, one, two) >= least - 1e-9
+            near &= comp[one][:, None] != comp[two][None]
+            parent: dict[int, int] = {}
+
+            def root(v):
+                while parent.setdefault(v, v) != v:
+                    parent[v] = v = parent[parent[v]]
+                return v
+
+            for i, j in zip(*(x.tolist() for x in np.nonzero(near))):
+                x, y = root(int(comp[one[i]])), root(int(comp[two[j]]))
+                if x != y:
+                    parent[max(x, y)] = min(x, y)
+                    links.append((int(rep[one[i]]), int(rep[two[j]])))
+        return pa.table({"a": pa.array([a for a, _ in links], pa.int64()), "b": pa.array([b for _, b in links], pa.int64())})
+
+    return run
+
+
 def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """doc_id, class_id (smallest id of its class), kept: one row per document."""
+    text_batches(docs.sparkSession)
     rows = docs.select("doc_id", "text")
     shared = docs.sparkSession.sparkContext.broadcast(weights(rows))
     signed = stored(rows.mapInArrow(_signer(shared), "doc_id long, same binary, keys array<long>"), "signatures")
@@ -290,31 +382,47 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
         right = texts.select(F.col("id").alias("b"), F.col("text").alias("tb"))
         left = texts.select(F.col("id").alias("a"), F.col("text").alias("ta"))
         full = pairs.hint("merge").join(right.hint("merge"), "b").hint("merge").join(left.hint("merge"), "a")
-        return stored(full.select("a", "b", "ta", "tb").mapInArrow(_verifier(shared, similarity), "a long, b long"), "verified")
-
-    def grouped(edges: DataFrame) -> DataFrame:
-        """key, rep, comp of the buckets that still hold several classes, and the largest class of each."""
+        with arrow_rows(docs.sparkSession, PAIR_ROWS):
+            return stored(full.select("a", "b", "ta", "tb").mapInArrow(_verifier(shared, similarity), "a long, b long"), "verified")
+
+    def blocks(large: DataFrame) -> DataFrame:
+        """Links of crowded buckets, block against block, so that a text is sent once per block and not once per pair."""
+        salt = lambda n, k: F.pmod(F.xxhash64(F.lit(k), "rep"), F.col(n)).cast("int")
+        each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+        n = large.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("ms"), F.ceil(F.sum((F.col("comp") != F.col("main")).cast("int")) / BLOCK).cast("int").alias("ss"))
+        rows = large.join(stored(n, "crowds").hint("merge"), "key")
+        inside = rows.withColumn("i", salt("ms", 1)).withColumn("j", each("ss")).withColumn("role", F.lit(0))
+        asking = rows.filter("comp <> main").withColumn("j", salt("ss", 2)).withColumn("i", each("ms")).withColumn("role", F.lit(1))
+        columns = ["key", "i", "j", "role", "rep", "comp"]
+        full = inside.select(columns).unionByName(asking.select(columns)).join(texts.withColumnRenamed("id", "rep").hint("merge"), "rep")
+        return stored(full.groupBy("key", "i", "j").applyInArrow(_block_linker(shared, similarity), "a long, b long"), "block-links")
+
+    def grouped(edges: DataFrame) -> tuple[DataFrame, int]:
+        """key, rep, comp, main (the largest class) of buckets that still hold several classes, and a bound on their pairs."""
         tree = stored(components(edges), "classes")
         own = band.select("key", "rep").join(tree.withColumnRenamed("node", "rep").hint("merge"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("comp"))
         own = stored(own, "bucket-classes")
         each = own.groupBy("key", "comp").agg(F.count("*").alias("n"))
-        open_ = stored(each.groupBy("key").agg(F.max_by("comp", F.struct("n", -F.col("comp"))).alias("main"), F.count("*").alias("comps")).filter("comps > 1").select("key", "main"), "open-buckets")
-        return stored(own.join(open_.hint("merge"), "key"), "open-members")
+        many = each.groupBy("key").agg(F.max_by("comp", F.struct("n", -F.col("comp"))).alias("main"), F.count("*").alias("comps"), F.sum("n").alias("n"), F.max("n").alias("most"))
+        many = stored(many.filter("comps > 1").select("key", "main", ((F.col("n") - F.col("most")) * F.col("n")).alias("pairs")), "open-buckets")
+        pairs = many.agg(F.sum("pairs")).first()[0] or 0
+        return stored(own.join(many.hint("merge"), "key"), "open-members"), pairs
 
     edges = verified(band.filter("rep <> lead").select(F.col("lead").alias("a"), F.col("rep").alias("b")).distinct())
-    tried, left, before = None, grouped(edges), None
+    (left, pairs), few, before = grouped(edges), PAIRS_PER_TEXT * reps.count(), None
     for k in range(ROUNDS):
-        n = left.filter("comp <> main").count()
-        if not n or n == before:
+        if pairs <= few or before and pairs > 0.8 * before:
             break
-        before = n
+        before = pairs
         pick = stored(left.filter("comp = main").groupBy("key").agg(F.min_by("rep", F.xxhash64(F.lit(k), "rep")).alias("lead")), "leaders")
         more = verified(left.filter("comp <> main").join(pick.hint("merge"), "key").select(F.least("rep", "lead").alias("a"), F.greatest("rep", "lead").alias("b")).distinct())
         edges = stored(edges.unionByName(more), "links")
-        left = grouped(edges)
-    # What leaders did not join: every pair of different classes in a bucket, each once over all buckets.
-    strange = left.filter("comp <> main").select("key", F.col("rep").alias("x"), F.col("comp").alias("cx"))
-    rest = strange.join(left.select("key", "rep", "comp"), "key").filter("comp <> cx").select(F.least("rep", "x").alias("a"), F.greatest("rep", "x").alias("b")).distinct()
+        left, pairs = grouped(edges)
+    # What leaders did not join: members outside a bucket's largest class against all its members of other classes.
+    small, large = left.filter(F.col("pairs") <= BLOCK_PAIRS), left.filter(F.col("pairs") > BLOCK_PAIRS)
+    strange = small.filter("comp <> main").select("key", F.col("rep").alias("x"), F.col("comp").alias("cx"))
+    rest = strange.join(small.select("key", "rep", "comp"), "key").filter("comp <> cx").select(F.least("rep", "x").alias("a"), F.greatest("rep", "x").alias("b")).distinct()
+    edges = edges.unionByName(blocks(large))
     edges = edges.unionByName(verified(rest))
     tree = stored(components(edges), "classes")
     named = stored(reps.join(tree.withColumnRenamed("node", "rep").hint("merge"), "rep", "left").select("same", F.coalesce("component", "rep").alias("class_id")), "class-of-text")
@@ -324,5 +432,5 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
 
 def dedup(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """``docs`` less all but one document of each class."""
-    gone = stored(classes(docs, similarity).filter("not kept").select(F.col("doc_id").alias("_gone")).distinct(), "near-copies")
-    return docs.join(gone.hint("merge"), F.col("doc_id") == F.col("_gone"), "left_anti")
+    gone = stored(classes(docs, similarity).filter("not kept").select(F.col("doc_id").alias("__chartrel_gone")).distinct(), "near-copies")
+    return docs.join(gone.hint("merge"), F.col("doc_id") == F.col("__chartrel_gone"), "left_anti")
