@@ -58,9 +58,9 @@ def dropped_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS) -> DataFrame:
 
 def dedup_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS) -> DataFrame:
     """``docs`` with the text less its dropped lines, and ``dropped_lines``, the number dropped."""
-    gone = dropped_lines(docs.select("doc_id", "text"), min_tokens).withColumnRenamed("doc_id", "_id").withColumnRenamed("lines", "_gone")
-    kept = F.array_join(F.filter(F.split("text", "\n"), lambda _, i: ~F.array_contains("_gone", i)), "\n")
+    gone = dropped_lines(docs.select("doc_id", "text"), min_tokens).withColumnRenamed("doc_id", "__chartrel_id").withColumnRenamed("lines", "__chartrel_gone")
+    kept = F.array_join(F.filter(F.split("text", "\n"), lambda _, i: ~F.array_contains("__chartrel_gone", i)), "\n")
     names = [c for c in docs.columns if c != "dropped_lines"]
-    return docs.join(gone, F.col("doc_id") == F.col("_id"), "left").select(
-        *(F.when(F.col("_gone").isNull(), F.col("text")).otherwise(kept).alias(c) if c == "text" else F.col(f"`{c}`") for c in names),
-        F.coalesce(F.size("_gone"), F.lit(0)).cast("long").alias("dropped_lines"))
+    return docs.join(gone, F.col("doc_id") == F.col("__chartrel_id"), "left").select(
+        *(F.when(F.col("__chartrel_gone").isNull(), F.col("text")).otherwise(kept).alias(c) if c == "text" else F.col(f"`{c}`") for c in names),
+        F.coalesce(F.size("__chartrel_gone"), F.lit(0)).cast("long").alias("dropped_lines"))

@@ -45,6 +45,7 @@ def targets(sizes: dict, weights=(1, 2, 3), cap: float = 3.0) -> dict:
             left -= out[s]
         free = [s for s in free if s not in over]
     return out
+    return out
 
 
 class SplittingTree:
