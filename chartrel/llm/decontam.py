@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from .common import stored
 
-SHINGLE, SIMILARITY, BITS, RADIUS = 5, 0.8, 64, 20
+SHINGLE, SIMILARITY, BITS, RADIUS = 5, 0.8, 64, 24
 #: Item shingles that may be broadcast (some 40 bytes each).
 BROADCAST_SHINGLES = 1_000_000
 #: Candidate documents whose ids may be broadcast (8 bytes each).
@@ -110,6 +110,6 @@ def matches(docs: DataFrame, items: DataFrame, similarity: float = SIMILARITY, r
 
 def decontaminate(docs: DataFrame, items: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """``docs`` without the documents that hold a benchmark item."""
-    leaks = stored(matches(docs.select("doc_id", "text"), items, similarity).select(F.col("doc_id").alias("_leak")).distinct(), "leaks")
+    leaks = stored(matches(docs.select("doc_id", "text"), items, similarity).select(F.col("doc_id").alias("__chartrel_leak")).distinct(), "leaks")
     few = F.broadcast(leaks) if leaks.count() <= BROADCAST_IDS else leaks
-    return docs.join(few, F.col("doc_id") == F.col("_leak"), "left_anti")
+    return docs.join(few, F.col("doc_id") == F.col("__chartrel_leak"), "left_anti")
