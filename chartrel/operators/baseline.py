@@ -43,9 +43,20 @@ def as_of(grid: DataFrame, turns: DataFrame) -> DataFrame:
     return u.withColumn("y", F.last("ty", ignorenulls=True).over(w)).filter("k = 1").select("chart_id", "x", "y")
 
 
-def point_extractor(px: DataFrame, truth: DataFrame, step: int = 2) -> DataFrame:
-    """chart_id, series_no, relation: one trace per chart stands for each of its series, since colour is not seen."""
-    rel = exact.relations(interpolated(turning_points(column_trace(px)), step)).select("chart_id", "relation")
+def bar_heights(px: DataFrame) -> DataFrame:
+    """chart_id, series_key, x, y: the top of the ink of every column."""
+    return px.groupBy("chart_id", F.col("px").cast("long").alias("x")).agg((-F.min("py")).cast("long").alias("y")).select("chart_id", F.lit("all").alias("series_key"), "x", "y")
+
+
+def point_extractor(px: DataFrame, truth: DataFrame, step: int = 2, plot_type: str = "line") -> DataFrame:
+    """chart_id, series_no, relation: one trace per chart stands for each of its series, since colour is not seen.
+
+    Lines are read by interpolated turning points, bars by their heights; scatter charts are refused.
+    """
+    if plot_type == "scatter":
+        raise ValueError("the point extractor reads lines and bars only")
+    points = bar_heights(px) if plot_type == "bar" else interpolated(turning_points(column_trace(px)), step)
+    rel = exact.relations(points).select("chart_id", "relation")
     return truth.select("chart_id", "series_key", "series_no", "r", "g", "b").join(rel, "chart_id")
 
 

@@ -154,7 +154,7 @@ def _versus(points: DataFrame, workload: str, plot_type: str) -> DataFrame:
     true = true_series(points)
     px = raster.ink(points, colours, plot_type)
     ours = learned.predict(raster.packed(px)).persist()
-    theirs = baseline.point_extractor(px, true).persist()
+    theirs = baseline.point_extractor(px, true, plot_type=plot_type).persist()
     return union([accuracy(ours, true, workload, "ours"), accuracy(theirs, true, workload, "point_extractor")])
 
 
