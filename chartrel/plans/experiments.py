@@ -421,3 +421,57 @@ def cost_profile(spark, d):
         rows.append(scored(per.agg(F.count("*").alias("n"), F.round(F.lit(float(raster.W * raster.H)) / F.avg("h"), 6).alias("value")), "cost_profile", family, "pixels_per_colour"))
         rows.append(scored(per.agg(F.count("*").alias("n"), F.sum(F.col("h") * cluster.K_MAX * (cluster.K_MAX + 1) / 2).alias("value")), "cost_profile", family, "distances_per_round"))
     return union(rows)
+
+
+def crafted() -> dict[str, tuple[np.ndarray, int]]:
+    """Small charts on which the method is known to fail or to need its special cases, and the number of series it finds."""
+    from ..functions.color import np_full_hue
+
+    hue = lambda h: np_full_hue(np.array([h]))[0]
+
+    def blank(colour=(255, 255, 255)):
+        return np.full((raster.H, raster.W, 3), colour, np.uint8)
+
+    def line(img, colour, at=80, step=1):
+        for x in range(20, 140, step):
+            img[at - x // 4, x] = colour
+        return img
+
+    axes = line(blank(), (255, 0, 0))
+    axes[100, 10:150] = axes[10:100, 10] = (0, 0, 255)
+    two_tone = blank()
+    two_tone[:, raster.W // 2 :] = (255, 255, 0)
+    near = line(line(blank(), hue(60)), hue(66), 110)
+    wrap = line(line(blank(), hue(178)), hue(2), 80, 2)
+    return {
+        "plain_line": (line(blank(), (255, 0, 0)), 1),
+        "coloured_axes_become_a_series": (axes, 2),
+        "gray_line_is_lost": (line(blank(), (90, 90, 90)), 0),
+        "two_tone_background_becomes_a_series": (line(two_tone, (255, 0, 0)), 2),
+        "dark_noise_survives": (line(blank(), (10, 0, 0)), 1),
+        "near_hues_merge": (near, 1),
+        "red_wraps_around": (wrap, 1),
+        "blank": (blank(), 0),
+    }
+
+
+@query
+def failure_catalog(spark, d):
+    """case, expected and found number of series, and the largest share of one mask that another one covers."""
+    import pyarrow as pa
+
+    cases = crafted()
+    rows = [(k, v[0].tobytes(), v[1]) for k, v in cases.items()]
+    df = spark.createDataFrame(rows, "case string, data binary, expected int")
+
+    def run(batches):
+        for batch in batches:
+            out = []
+            for case, data, want in zip(*(batch.column(n).to_pylist() for n in ("case", "data", "expected"))):
+                _, found = cluster.np_series(np.frombuffer(data, np.uint8).reshape(raster.H, raster.W, 3), "repeat")
+                shared = max((float((a & b).sum() / a.sum()) for i, (_, a) in enumerate(found) for j, (_, b) in enumerate(found) if i != j), default=0.0)
+                out.append({"case": case, "expected": want, "found": len(found), "shared": round(shared, 6)})
+            if out:
+                yield pa.RecordBatch.from_pylist(out, schema=pa.schema([("case", pa.string()), ("expected", pa.int32()), ("found", pa.int32()), ("shared", pa.float64())]))
+
+    return df.mapInArrow(run, "case string, expected int, found int, shared double")

@@ -321,3 +321,8 @@ def test_easy_beats_hard(spark):
 def test_rotation_helps(spark):
     s = {r["corpus"]: r["value"] for r in QUERIES["rotation_ablation"](spark, "/root/testdata/sf0.001").collect()}
     assert s["manual"] >= s["auto"] > s["none"]
+
+
+def test_failure_catalog(spark, small):
+    rows = QUERIES["failure_catalog"](spark, small).collect()
+    assert len(rows) == 8 and all(r["found"] == r["expected"] for r in rows)
