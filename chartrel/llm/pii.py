@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hashed_sample, sliced
+from .common import hashed_sample, sliced, text_batches
 
 KINDS = ("email", "ip", "card", "phone")
 TYPES = (*KINDS, "secret")
@@ -274,6 +274,7 @@ def fit(texts: list[str], seed: int = 3, epochs: int = 4, most: int = TRAIN_RUNS
 
 def train(docs: DataFrame) -> SemiMarkov:
     """The field for a bounded sample of texts that hold a digit or at sign, by hashed id."""
+    text_batches(docs.sparkSession)
     rows = docs.select("doc_id", "text").filter(F.col("text").rlike("[0-9@]") & (F.length("text") <= 20_000))
     return fit(sorted(r["text"] for r in hashed_sample(rows, TRAIN_TEXTS, "doc_id", salt=1).select("text").collect()))
 

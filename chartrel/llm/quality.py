@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hashed_sample
+from .common import hashed_sample, sliced, text_batches
 
 LABELLERS = ("symbols", "pipes", "word_length", "variety", "short_words", "size", "repeated_lines", "sentences")
 SLOTS = 1 << 16
@@ -145,13 +145,14 @@ def fit(texts: list[str], soft: np.ndarray, rounds: int = 300) -> tuple[np.ndarr
 
 
 def _vote_rows(batches):
-    for batch in batches:
+    for batch in sliced(batches):
         texts = batch.column("text").to_pylist()
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(["".join("-0+"[v + 1] for v in votes(t or "")) for t in texts], pa.string())], names=["doc_id", "votes"])
 
 
 def train(docs: DataFrame) -> Scorer | None:
     """Estimates over the votes on all documents; linear model from a bounded sample of them."""
+    text_batches(docs.sparkSession)
     rows = docs.select("doc_id", "text")
     found = rows.mapInArrow(_vote_rows, "doc_id long, votes string").groupBy("votes").agg(F.count("*").alias("n")).collect()  # 3^8 rows at most
     if not found:
@@ -172,7 +173,7 @@ def scorer(shared):
     def run(batches):
         model: Scorer = shared.value
         cache = Slots()
-        for batch in batches:
+        for batch in sliced(batches):
             texts = [t or "" for t in batch.column("text").to_pylist()]
             seen = ["".join("-0+"[v + 1] for v in votes(t)) for t in texts]
             score = [model.score(t, cache) if model else 0.0 for t in texts]

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WORD
+from .common import WORD, sliced, text_batches
 
 DELTA = "source string, lang string, tokenizer string, docs long, tokens long"
 #: The pattern by which the public byte-level vocabularies cut text before merging (fixed values).
@@ -39,11 +39,12 @@ def _encoding(path: str):
 
 def counted(docs: DataFrame, vocabulary: str) -> DataFrame:
     """Columns of ``docs`` but the text, with ``tokens``: byte-level BPE tokens of the whole text."""
+    text_batches(docs.sparkSession)
     names = [c for c in docs.columns if c not in ("text", "tokens")]
 
     def run(batches):
         enc = _encoding(vocabulary)
-        for batch in batches:
+        for batch in sliced(batches):
             n = [len(enc.encode_ordinary(t)) if t else 0 for t in batch.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names), pa.array(n, pa.int64())], names=[*names, "tokens"])
 

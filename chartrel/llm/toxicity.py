@@ -19,15 +19,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold, mix, slices
+from .common import fold, mix, sliced, slices, text_batches, trim
 
 WINDOW, STRIDE, HIDDEN, HASHED = 32, 24, 8, 12
 GRAMS = (3, 4, 5)
 TABLE = 1 << 20
 #: Bounds of the training sample: toxic rows, other rows, and the characters up to which a text is eligible for it.
-POSITIVES, NEGATIVES, TRAIN_CHARS = 1500, 3000, 20_000
+POSITIVES, NEGATIVES, TRAIN_CHARS = 1000, 2000, 20_000
 THRESHOLD = 0.3
-VOCABULARY, TOKENS = 300_000, 150_000
+#: Words of a worker's table, words brought to it at once, windows scored at once.
+VOCABULARY, TOKENS, AT_ONCE = 60_000, 50_000, 1024
 INPUTS = 4 + HASHED
 
 
@@ -96,7 +97,7 @@ class Vocabulary(dict):
     def __init__(self, net: Network, limit: int = VOCABULARY):
         super().__init__()
         self.net, self.new, self.limit = net, [], limit
-        self.rows = np.zeros((1, INPUTS), np.float32)
+        self.store, self.rows = np.zeros((1024, INPUTS), np.float32), np.zeros((1, INPUTS), np.float32)
 
     def __missing__(self, word):
         self[word] = at = len(self) + 1
@@ -109,7 +110,11 @@ class Vocabulary(dict):
             self.rows = self.rows[:1]
         at = np.fromiter(map(self.__getitem__, words), np.int64, len(words))
         if self.new:
-            self.rows = np.vstack((self.rows, self.net.inputs(self.new)))
+            n = len(self.rows) + len(self.new)
+            if n > len(self.store):
+                self.store = np.concatenate((self.rows, np.zeros((n, INPUTS), np.float32)))
+            self.store[len(self.rows) : n] = self.net.inputs(self.new)
+            self.rows = self.store[:n]
             self.new = []
         return at
 
@@ -139,13 +144,17 @@ def _direction(x, mask, w, u, b, back: bool, keep: bool):
     return out, tape
 
 
-def forward(net: Network, rows: np.ndarray, idx: np.ndarray, keep: bool = False):
+def project(net: Network, rows: np.ndarray) -> dict[str, np.ndarray]:
+    """Input parts of all gates for every row of the table, per direction."""
+    return {d: rows @ net.weights["w" + d] + net.weights["c" + d] for d in "fb"}
+
+
+def forward(net: Network, rows: np.ndarray, idx: np.ndarray, keep: bool = False, projected: dict | None = None):
     """Logits of windows; idx: windows x WINDOW rows of ``rows`` (0: padding)."""
     w, mask = net.weights, idx > 0
     xs, hs, tapes = [], [], []
     for d in ("f", "b"):
-        p = rows @ w["w" + d] + w["c" + d]
-        x = p[idx]
+        x = (projected or project(net, rows))[d][idx]
         h, tape = _direction(x, mask, w["w" + d], w["u" + d], w["c" + d], d == "b", keep)
         hs.append(h)
         tapes.append(tape)
@@ -202,20 +211,25 @@ def strongest(net: Network, vocab: Vocabulary, texts: list[list[str]]) -> tuple[
         sizes = np.array([len(t) for t in texts[a:b]])
         ids = np.concatenate((vocab.ids([w for t in texts[a:b] for w in t]), [0]))
         at, text = windows(sizes)
-        for lo in range(0, len(at), 4096):
-            logit, _ = forward(net, vocab.rows, ids[at[lo : lo + 4096]])
-            np.maximum.at(best, a + text[lo : lo + 4096], logit)
+        projected = project(net, vocab.rows)
+        for lo in range(0, len(at), AT_ONCE):
+            logit, _ = forward(net, vocab.rows, ids[at[lo : lo + AT_ONCE]], projected=projected)
+            np.maximum.at(best, a + text[lo : lo + AT_ONCE], logit)
         many[a:b] = np.bincount(text, minlength=b - a)
     return best, many
 
 
+def _logits(net: Network, rows: np.ndarray, idx: np.ndarray) -> np.ndarray:
+    projected = project(net, rows)
+    return np.concatenate([forward(net, rows, idx[i : i + AT_ONCE], projected=projected)[0] for i in range(0, len(idx), AT_ONCE)])
+
+
 def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int = 10, least_steps: int = 500) -> Network:
     """The network for labelled texts (0 or 1), both classes present."""
     rng = np.random.default_rng(seed)
-    words = [t.split() for t in texts]
     bag = {1: np.zeros(TABLE, np.int32), 0: np.zeros(TABLE, np.int32)}
-    for ws, y in zip(words, labels.tolist()):
-        whole, grams, _ = _hashed(sorted({_plain(w)[:200] or "\x04" for w in ws}))
+    for t, y in zip(texts, labels.tolist()):
+        whole, grams, _ = _hashed(sorted({_plain(w)[:200] or "\x04" for w in t.split()}))
         bag[y][np.unique(np.concatenate((whole, grams)) & np.uint64(TABLE - 1)).astype(np.int64)] += 1
     pos, neg = int(labels.sum()), int((1 - labels).sum())
     seen = bag[0] + bag[1]
@@ -227,10 +241,10 @@ def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int =
     net = Network(odds.astype(np.float32), weights)
     vocab = Vocabulary(net, limit=1 << 40)
     idx, text = [], []
-    for i, ws in enumerate(words):
+    for i, ws in enumerate(map(str.split, texts)):
         ids = np.concatenate((vocab.ids(ws), [0]))
         at, _ = windows(np.array([len(ws)]))
-        idx.append(ids[at])
+        idx.append(ids[at].astype(np.int32))
         text += [i] * len(at)
     idx, text = np.concatenate(idx), np.array(text)
     first = np.searchsorted(text, np.unique(text))
@@ -243,20 +257,24 @@ def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int =
     epochs = max(least_epochs, -(-least_steps // batches))
     for epoch in range(epochs):
         if epoch and epoch % max(3, epochs // 4) == 0:
-            score = np.concatenate([forward(net, rows, idx[i : i + 4096])[0] for i in range(0, len(idx), 4096)])
+            score = _logits(net, rows, idx)
         chosen = np.array([a + int(score[a:b].argmax()) for a, b in zip(bounds[:-1], bounds[1:])])
         extra = rng.integers(bounds[:-1], bounds[1:])[y_of == 0]
         use, y = np.concatenate((chosen, extra)), np.concatenate((y_of, np.zeros(len(extra))))
         for part in np.array_split(rng.permutation(len(use)), batches):
-            logit, tape = forward(net, rows, idx[use[part]], keep=True)
-            grad = backward(net, rows, tape, ((_sigmoid(logit) - y[part]) / len(part)).astype(np.float32))
+            seen, own = np.unique(idx[use[part]], return_inverse=True)  # only the rows that the batch has
+            own, few = own.reshape(idx[use[part]].shape), rows[seen]
+            if seen[0] != 0:  # row 0 stays padding
+                own, few = own + 1, np.concatenate((rows[:1], few))
+            logit, tape = forward(net, few, own, keep=True)
+            grad = backward(net, few, tape, ((_sigmoid(logit) - y[part]) / len(part)).astype(np.float32))
             step += 1
             for k, g in grad.items():
                 m1, m2 = m[k]
                 m1 += 0.1 * (g - m1)
                 m2 += 0.001 * (g * g - m2)
                 weights[k] -= (0.01 * (m1 / (1 - 0.9**step)) / (np.sqrt(m2 / (1 - 0.999**step)) + 1e-8)).astype(np.float32)
-    score = np.concatenate([forward(net, rows, idx[i : i + 4096])[0] for i in range(0, len(idx), 4096)])
+    score = _logits(net, rows, idx)
     top = np.maximum.reduceat(score, first)
     a, b = 1.0, 0.0
     for _ in range(200):  # two-parameter logistic calibration with a mild pull to the raw logit
@@ -282,10 +300,13 @@ def sample(docs: DataFrame, labels: DataFrame, folds: int, held: int) -> tuple[l
 
 
 def train(docs: DataFrame, labels: DataFrame, folds: int = 4, held: int = 2) -> Network | None:
+    text_batches(docs.sparkSession)
     texts, y, share = sample(docs.select("doc_id", "text"), labels.select("doc_id", "toxic"), folds, held)
     if len(y) == 0 or y.min() == y.max():
         return None
     net = fit(texts, y)
+    del texts
+    trim()
     return net
 
 
@@ -293,11 +314,11 @@ def scorer(shared):
     def run(batches):
         net: Network = shared.value
         vocab = Vocabulary(net)
-        for batch in batches:
+        for batch in sliced(batches):
             texts = batch.column("text").to_pylist()
             score, many = np.zeros(len(texts)), np.zeros(len(texts), np.int64)
             if net is not None:
-                for a, b in slices([len(t or "") for t in texts], 8 * TOKENS):
+                for a, b in slices([len(t or "") for t in texts], 4 * TOKENS):
                     best, many[a:b] = strongest(net, vocab, [(t or "").split() for t in texts[a:b]])
                     score[a:b] = np.where(many[a:b] > 0, _sigmoid(np.clip(net.slope * best + net.shift, -30, 30)), 0.0)
             names = [n for n in batch.schema.names if n != "text"]
@@ -317,11 +338,11 @@ def _passing(shared):
     def run(batches):
         net: Network = shared.value
         vocab = Vocabulary(net)
-        for batch in batches:
+        for batch in sliced(batches):
             texts = batch.column("text").to_pylist()
             keep = np.ones(len(texts), bool)
             if net is not None:
-                for a, b in slices([len(t or "") for t in texts], 8 * TOKENS):
+                for a, b in slices([len(t or "") for t in texts], 4 * TOKENS):
                     best, many = strongest(net, vocab, [(t or "").split() for t in texts[a:b]])
                     keep[a:b] = (many == 0) | (_sigmoid(np.clip(net.slope * best + net.shift, -30, 30)) < THRESHOLD)
             yield batch.filter(pa.array(keep))
