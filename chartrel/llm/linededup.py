@@ -7,8 +7,12 @@ left open. A template that occurs in two or more documents is recurring: its lin
 id) and are dropped from all others. Recurrence is a minimum and a maximum of document ids per template, so a template
 of any number of lines is combined before it is shuffled.
 
-Defined results: lines are separated by line feeds. Lines of fewer than ``min_tokens`` tokens are never dropped, and a
-null or empty text is returned as it is. Rows of equal id count as one document and lose the same lines; a null id takes
+Lines of fewer tokens than leading tokens and runs have their full template only. A line of fewer than ``MIN_TOKENS``
+tokens whose fields hide more than ``HIDDEN`` bytes, or leave no letter outside, is its own template: a lone number or an
+unspaced passage with a digit in it recurs only where it recurs as it is.
+
+Defined results: lines are separated by line feeds. Blank lines and lines of fewer than ``min_tokens`` tokens are never
+dropped (the queries take every line, from one token), and a null or empty text is returned as it is. Rows of equal id count as one document and lose the same lines; a null id takes
 no part and is returned unchanged. A text of which every line is dropped becomes empty. Other columns pass through.
 """
 
@@ -19,14 +23,19 @@ from pyspark.sql import functions as F
 
 from .common import stored
 
-#: Tree depth below the token count, tokens of the shortest line that counts, runs of positions at a leaf.
+#: Tree depth below the token count, tokens from which fields are always variable, runs of positions at a leaf.
 LEADING, MIN_TOKENS, RUNS = 3, 8, 4
+#: Bytes that the fields of a shorter line may hide.
+HIDDEN = 64
 
 
 def tokens_of(line: Column) -> Column:
     """Tokens of a line with variable fields replaced by the wildcard."""
     masked = F.when(line.rlike("[0-9]"), F.regexp_replace(line, r"[^\x20\x09-\x0D0-9]*+[0-9][^\x20\x09-\x0D]*+", "<*>")).otherwise(line)
-    return F.array_remove(F.split(masked, " "), "")
+    tokens, own = F.array_remove(F.split(masked, " "), ""), F.array_remove(F.split(line, " "), "")
+    rest = F.replace(masked, F.lit("<*>"), F.lit(""))
+    bare = line.rlike("[0-9]") & (F.size(own) < MIN_TOKENS) & (~rest.rlike(r"\p{L}") | (F.octet_length(line) - F.octet_length(rest) > HIDDEN))
+    return F.when(bare, own).otherwise(tokens)
 
 
 def lines_with_keys(docs: DataFrame, min_tokens: int = MIN_TOKENS, leading: int = LEADING, runs: int = RUNS) -> DataFrame:
@@ -36,15 +45,15 @@ def lines_with_keys(docs: DataFrame, min_tokens: int = MIN_TOKENS, leading: int
     under the tree's path. Each run is hashed once, in a column of its own.
     """
     lines = docs.filter("doc_id is not null").select("doc_id", F.posexplode(F.split("text", "\n")).alias("line", "_text"))
-    lines = lines.filter(F.octet_length("_text") >= 2 * min_tokens - 1).select("doc_id", "line", tokens_of(F.col("_text")).alias("_t"))
+    lines = lines.filter((F.octet_length("_text") >= 2 * min_tokens - 1) & F.col("_text").rlike(r"[^\x20\x09-\x0D]")).select("doc_id", "line", tokens_of(F.col("_text")).alias("_t"))
     n = F.size("_t")
     # Run r covers positions from edge r up to edge r + 1 behind the leading tokens; slices count from 1.
-    edge = [F.lit(leading + 1) + F.floor((n - leading) * r / runs).cast("int") for r in range(runs + 1)]
+    edge = [F.lit(leading + 1) + F.floor(F.greatest(n - leading, F.lit(0)) * r / runs).cast("int") for r in range(runs + 1)]
     piece = [F.xxhash64(F.lit(r), F.slice("_t", edge[r], edge[r + 1] - edge[r])).alias(f"_p{r}") for r in range(runs)]
-    lines = lines.select("doc_id", "line", F.when(n >= min_tokens, F.struct(F.xxhash64(n, F.slice("_t", 1, leading)).alias("_path"), *piece)).alias("_k"))
+    lines = lines.select("doc_id", "line", F.when(n >= min_tokens, F.struct((n >= leading + runs).alias("_open"), F.xxhash64(n, F.slice("_t", 1, leading)).alias("_path"), *piece)).alias("_k"))
     hashed = [F.xxhash64(F.lit(runs), "_k._path", *(f"_k._p{r}" for r in range(runs)))]
     hashed += [F.xxhash64(F.lit(r), "_k._path", *(f"_k._p{k}" for k in range(runs) if k != r)) for r in range(runs)]
-    return lines.select("doc_id", "line", F.explode(F.when(F.col("_k").isNotNull(), F.array(*hashed))).alias("key"))
+    return lines.select("doc_id", "line", F.explode(F.when(F.col("_k._open"), F.array(*hashed)).when(F.col("_k").isNotNull(), F.array(hashed[0]))).alias("key"))
 
 
 def dropped_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS) -> DataFrame:

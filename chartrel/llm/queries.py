@@ -52,7 +52,7 @@ def op4_minhash_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return linededup.dedup_lines(table(spark, sf_dir, "documents", "doc_id", "text"))
+    return linededup.dedup_lines(table(spark, sf_dir, "documents", "doc_id", "text"), min_tokens=1)
 
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -8,6 +8,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+import corpus_pipeline
 from chartrel.llm import decontam, embeddup, langid, linededup, minhash, mixing, pii, quality, queries, tokencounts, toxicity
 from chartrel.llm.common import table
 from chartrel.llm.components import components
@@ -299,6 +300,39 @@ def test_line_dedup_equals_brute_force(spark, mid):
     assert got[5003] == "short line 3" and got[5000].startswith("Order 0")
 
 
+def brute_every_line(rows):
+    """As ``brute_lines``, for lines down to one token."""
+    seen, cut = {}, {}
+    for i, t in rows:
+        for k, line in enumerate((t or "").split("\n")):
+            masked = re.sub(r"[^\x20\x09-\x0D]*[0-9][^\x20\x09-\x0D]*", "<*>", line)
+            own, w, rest = [x for x in line.split(" ") if x], [x for x in masked.split(" ") if x], masked.replace("<*>", "")
+            if not line.strip(" \t\n\v\f\r"):
+                continue
+            if len(w) < 8 and re.search("[0-9]", line) and (not any(c.isalpha() for c in rest) or len(line.encode()) - len(rest.encode()) > 64):
+                w = own
+            keys = [(len(w), tuple(w))]
+            if len(w) >= 7:
+                edge = [3 + (len(w) - 3) * r // 4 for r in range(5)]
+                keys += [(len(w), r, tuple(w[:a]), tuple(w[b:])) for r, (a, b) in enumerate(zip(edge, edge[1:]))]
+            for key in keys:
+                seen.setdefault(key, set()).add(i)
+                cut.setdefault((i, k), []).append(key)
+    gone = {at for at, keys in cut.items() if any(min(seen[k]) < at[0] for k in keys)}
+    return {i: "\n".join(x for k, x in enumerate(t.split("\n")) if (i, k) not in gone) for i, t in rows}
+
+
+def test_line_dedup_takes_every_line(spark, mid, tmp_path):
+    rows = [(r["doc_id"], r["text"]) for r in docs(spark, mid).collect()]
+    rows += [(6000 + i, f"All rights reserved.\nown{chr(97 + i)} words\n\n\r\n{i}{i}\n7\n| {i} | {i * 3} |\nChapter {i}\nYou can find it{chr(97 + i)}.\nsee 年{i}{'月' * 30}{i}\nOnly") for i in range(4)]
+    frame(spark, rows).write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["doc_id"]: r["text"] for r in queries.op8_line_dedup(spark, str(tmp_path)).collect()}
+    assert got == brute_every_line(rows)
+    assert got[6002] == f"ownc words\n\n\r\n22\n| 2 | 6 |\nYou can find itc.\nsee 年2{'月' * 30}2"
+    staged = corpus_pipeline.drop_repeated_lines(spark, table(spark, str(tmp_path), "documents"), str(tmp_path))
+    assert {r["doc_id"]: r["text"] for r in staged.collect()} == got
+
+
 def brute_leaks(rows, items, least=0.8):
     """Pairs of document and item with a window of the item's size of that similarity, over all windows."""
     words = lambda t: [w for w in re.split(r"[\W_]+", (t or "").lower()) if w]
