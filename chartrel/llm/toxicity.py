@@ -3,7 +3,8 @@
 Inputs of a word are its own log odds, the strongest and the mean log odds of its character 3- to 5-grams, and a hashed
 projection of those n-grams. Windows of 32 words start every 24 words, so all overlap; each is scored, and the strongest
 window, calibrated on the training rows, is the score of the whole text. Labels are learned from a bounded sample of the
-training rows; every word of every document is scored.
+training rows, and the intercept is moved from the sample's share of toxic rows to that of all training labels; every
+word of every document is scored.
 
 Defined results: a null or wordless text has score 0 and is not toxic. Labels that are null, neither 0 nor 1, or of
 unknown documents are ignored; of several labels of one id the highest counts. Without both classes to learn from every
@@ -286,25 +287,27 @@ def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int =
 
 
 def sample(docs: DataFrame, labels: DataFrame, folds: int, held: int) -> tuple[list[str], np.ndarray, float]:
-    """Texts and labels of the bounded training sample, and the toxic share of all training labels."""
+    """Texts and labels of the bounded training sample, and the log odds of toxic in all training labels less those in the sample's."""
     rows = labels.filter(F.col("toxic").isin(0, 1) & (fold("doc_id", folds) != held)).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("y"))
-    share = rows.agg(F.avg("y")).first()[0] or 0.0
+    many = {r["y"]: r["count"] for r in rows.groupBy("y").count().collect()}
     key = F.xxhash64(F.lit(3), "doc_id")
     ids = [r for y, n in ((1, POSITIVES), (0, NEGATIVES)) for r in rows.filter(F.col("y") == y).orderBy(key, "doc_id").limit(n).collect()]
-    if not ids:
-        return [], np.zeros(0), share
+    if len(many) < 2:
+        return [], np.zeros(0), 0.0
+    prior = float(np.log(many[1] / many[0]) - np.log(min(many[1], POSITIVES) / min(many[0], NEGATIVES)))
     wanted = docs.sparkSession.createDataFrame([(r["doc_id"], r["y"]) for r in ids], "doc_id long, y int")
     got = docs.filter(F.length("text") <= TRAIN_CHARS).join(F.broadcast(wanted), "doc_id").select("doc_id", "text", "y").dropDuplicates(["doc_id"]).collect()
     got = sorted((r for r in got if r["text"].split()), key=lambda r: r["doc_id"])
-    return [r["text"] for r in got], np.array([r["y"] for r in got]), share
+    return [r["text"] for r in got], np.array([r["y"] for r in got]), prior
 
 
 def train(docs: DataFrame, labels: DataFrame, folds: int = 4, held: int = 2) -> Network | None:
     text_batches(docs.sparkSession)
-    texts, y, share = sample(docs.select("doc_id", "text"), labels.select("doc_id", "toxic"), folds, held)
+    texts, y, prior = sample(docs.select("doc_id", "text"), labels.select("doc_id", "toxic"), folds, held)
     if len(y) == 0 or y.min() == y.max():
         return None
     net = fit(texts, y)
+    net.shift += prior  # THRESHOLD means the same at every size of the table
     del texts
     trim()
     return net

@@ -209,6 +209,20 @@ def test_toxicity_held_out(spark):
     assert np.mean([r["predicted"] for r in held if r["toxic"] == 1]) > 0.75 and np.mean([r["predicted"] for r in held if r["toxic"] == 0]) < 0.06
 
 
+def test_toxicity_prior_of_all_labels(spark, monkeypatch):
+    """The sample's class ratio is set by its bounds; the calibrated intercept follows that of all training labels."""
+    d = frame(spark, [(i, f"text {i} of some words") for i in range(1200)])
+    labels = spark.createDataFrame([(i, int(i % 6 == 0)) for i in range(1200)], "doc_id long, toxic int")
+    monkeypatch.setattr(toxicity, "POSITIVES", 50)
+    monkeypatch.setattr(toxicity, "NEGATIVES", 40)
+    seen = []
+    monkeypatch.setattr(toxicity, "fit", lambda texts, y: seen.append(y.mean()) or toxicity.Network(np.zeros(1), {}, 1.0, 0.25))
+    net = toxicity.train(d, labels)
+    y = [int(i % 6 == 0) for i in range(1200) if zlib.crc32(str(i).encode()) % 4 != 2]
+    assert seen == [50 / 90]
+    assert net.shift == pytest.approx(0.25 + np.log(sum(y) / (len(y) - sum(y))) - np.log(50 / 40))
+
+
 def test_recurrent_gradients():
     rng = np.random.default_rng(0)
     w = {"o": rng.normal(size=16), "a": rng.normal(size=16), "k": np.zeros(1)}
