@@ -4,7 +4,8 @@ Inputs of a word are its own log odds, the strongest and the mean log odds of it
 projection of those n-grams. Windows of 32 words start every 24 words, so all overlap; each is scored, and the strongest
 window, calibrated on the training rows, is the score of the whole text. Labels are learned from a bounded sample of the
 training rows, and the intercept is moved from the sample's share of toxic rows to that of all training labels; every
-word of every document is scored.
+word of every document is scored. A word of more than ``LONGEST`` letters and digits is read as overlapping pieces, each
+a step of the network, so a text without blanks is scored to its end.
 
 Defined results: a null or wordless text has score 0 and is not toxic. Labels that are null, neither 0 nor 1, or of
 unknown documents are ignored; of several labels of one id the highest counts. Without both classes to learn from every
@@ -31,6 +32,8 @@ THRESHOLD = 0.3
 #: Words of a worker's table, words brought to it at once, windows scored at once.
 VOCABULARY, TOKENS, AT_ONCE = 60_000, 50_000, 1024
 INPUTS = 4 + HASHED
+#: Letters and digits of one step at most, those that neighbouring pieces of a longer word share, characters whose inputs are made at once.
+LONGEST, SHARED, CHARS = 200, 8, 1 << 19
 
 
 def _hashed(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -62,6 +65,18 @@ def _plain(word: str) -> str:
     return "".join(c for c in word.lower() if c.isalnum()) if not word.isalpha() else word.lower()
 
 
+def words_of(text: str | None) -> list[str]:
+    """Words between blanks; the letters and digits of one longer than LONGEST in pieces that share SHARED of them."""
+    words = (text or "").split()
+    if max(map(len, words), default=0) <= LONGEST:
+        return words
+    out = []
+    for w in words:
+        p = _plain(w) if len(w) > LONGEST else ""
+        out += [p[i : i + LONGEST] for i in range(0, len(p) - SHARED, LONGEST - SHARED)] if len(p) > LONGEST else [w]
+    return out
+
+
 @dataclass
 class Network:
     odds: np.ndarray  # log odds by hash of a word or n-gram
@@ -72,7 +87,7 @@ class Network:
     def inputs(self, words: list[str]) -> np.ndarray:
         """One row of inputs per word."""
         out = np.zeros((len(words), INPUTS), np.float32)
-        plain = [_plain(w)[:200] or "\x04" for w in words]
+        plain = [_plain(w)[:LONGEST] or "\x04" for w in words]
         whole, grams, start = _hashed(plain)
         if not len(words):
             return out
@@ -114,7 +129,8 @@ class Vocabulary(dict):
             n = len(self.rows) + len(self.new)
             if n > len(self.store):
                 self.store = np.concatenate((self.rows, np.zeros((n, INPUTS), np.float32)))
-            self.store[len(self.rows) : n] = self.net.inputs(self.new)
+            for a, b in slices([len(w) for w in self.new], CHARS):
+                self.store[len(self.rows) + a : len(self.rows) + b] = self.net.inputs(self.new[a:b])
             self.rows = self.store[:n]
             self.new = []
         return at
@@ -230,7 +246,7 @@ def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int =
     rng = np.random.default_rng(seed)
     bag = {1: np.zeros(TABLE, np.int32), 0: np.zeros(TABLE, np.int32)}
     for t, y in zip(texts, labels.tolist()):
-        whole, grams, _ = _hashed(sorted({_plain(w)[:200] or "\x04" for w in t.split()}))
+        whole, grams, _ = _hashed(sorted({_plain(w)[:LONGEST] or "\x04" for w in words_of(t)}))
         bag[y][np.unique(np.concatenate((whole, grams)) & np.uint64(TABLE - 1)).astype(np.int64)] += 1
     pos, neg = int(labels.sum()), int((1 - labels).sum())
     seen = bag[0] + bag[1]
@@ -242,7 +258,7 @@ def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int =
     net = Network(odds.astype(np.float32), weights)
     vocab = Vocabulary(net, limit=1 << 40)
     idx, text = [], []
-    for i, ws in enumerate(map(str.split, texts)):
+    for i, ws in enumerate(map(words_of, texts)):
         ids = np.concatenate((vocab.ids(ws), [0]))
         at, _ = windows(np.array([len(ws)]))
         idx.append(ids[at].astype(np.int32))
@@ -322,7 +338,7 @@ def scorer(shared):
             score, many = np.zeros(len(texts)), np.zeros(len(texts), np.int64)
             if net is not None:
                 for a, b in slices([len(t or "") for t in texts], 4 * TOKENS):
-                    best, many[a:b] = strongest(net, vocab, [(t or "").split() for t in texts[a:b]])
+                    best, many[a:b] = strongest(net, vocab, [words_of(t) for t in texts[a:b]])
                     score[a:b] = np.where(many[a:b] > 0, _sigmoid(np.clip(net.slope * best + net.shift, -30, 30)), 0.0)
             names = [n for n in batch.schema.names if n != "text"]
             yield pa.RecordBatch.from_arrays([*(batch.column(n) for n in names), pa.array(score), pa.array((score >= THRESHOLD).astype(np.int32)), pa.array(many)], names=[*names, "score", "predicted", "windows"])
@@ -346,7 +362,7 @@ def _passing(shared):
             keep = np.ones(len(texts), bool)
             if net is not None:
                 for a, b in slices([len(t or "") for t in texts], 4 * TOKENS):
-                    best, many = strongest(net, vocab, [(t or "").split() for t in texts[a:b]])
+                    best, many = strongest(net, vocab, [words_of(t) for t in texts[a:b]])
                     keep[a:b] = (many == 0) | (_sigmoid(np.clip(net.slope * best + net.shift, -30, 30)) < THRESHOLD)
             yield batch.filter(pa.array(keep))
 

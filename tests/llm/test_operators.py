@@ -3,8 +3,10 @@
 import re
 import zlib
 from collections import Counter
+from types import SimpleNamespace
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -223,6 +225,19 @@ def test_toxicity_prior_of_all_labels(spark, monkeypatch):
     assert net.shift == pytest.approx(0.25 + np.log(sum(y) / (len(y) - sum(y))) - np.log(50 / 40))
 
 
+def test_toxicity_reads_long_words_to_their_end():
+    head = "".join(chr(97 + i * i % 23) for i in range(1500))
+    net = toxicity.fit(["good calm words here"] * 20 + ["vile zzkkqq words here"] * 20, np.array([0] * 20 + [1] * 20))
+    batch = pa.RecordBatch.from_pydict({"doc_id": [1, 2, 3], "text": [head, head + "zzkkqq", "_".join([*["calm"] * 200, "zzkkqq"])]})
+    got = next(toxicity.scorer(SimpleNamespace(value=net))([batch])).to_pydict()
+    assert got["score"][1] > got["score"][0] + 1e-3
+    for text in (head, "_".join([head[:100]] * 9), "é" * 199 + "." * 300, "x" * 201, "plain words " + head):
+        plain = [toxicity._plain(w) for w in text.split()]
+        grams = {w[i : i + 5] for w in plain for i in range(len(w) - 4)}
+        pieces = toxicity.words_of(text)
+        assert grams == {p[i : i + 5] for p in map(toxicity._plain, pieces) for i in range(len(p) - 4)} and all(len(toxicity._plain(p)) <= toxicity.LONGEST for p in pieces)
+
+
 def test_recurrent_gradients():
     rng = np.random.default_rng(0)
     w = {"o": rng.normal(size=16), "a": rng.normal(size=16), "k": np.zeros(1)}
