@@ -203,6 +203,14 @@ def test_kneser_ney_sums_to_one():
         assert np.allclose(p.sum(axis=0), 1, atol=2e-3)
 
 
+def test_language_models_keep_every_gram(spark):
+    rng = np.random.default_rng(4)
+    texts = ["".join(map(chr, 0x4E00 + rng.integers(0, 60, 400))) for _ in range(800)]
+    model = langid.train(spark.createDataFrame([(i, "zz", t) for i, t in enumerate(texts)], "doc_id long, lang string, text string"), calibration=5)
+    want = {s[i : i + 4] for t in texts for s in [f"   {t} "] for i in range(len(s) - 3)}
+    assert len(want) > 300_000 and len(model.keys[langid.ORDER - 1]) == len(want)
+
+
 def test_toxicity_held_out(spark):
     d = "/root/testdata/sf0.1"
     got = queries.op6_toxicity(spark, d).join(table(spark, d, "labels"), "doc_id").collect()
