@@ -47,6 +47,11 @@ def first_charts(points: DataFrame, n: int, seed: int = 0, skip: int = 0) -> Dat
     return points.join(F.broadcast(first.select("chart_id")), "chart_id", "left_semi")
 
 
+def charts_behind(points: DataFrame, n: int, seed: int = 0) -> DataFrame:
+    """Points of all charts but the ``n`` of smallest draw, which are left to training."""
+    return points.join(F.broadcast(first_charts(points, n, seed).select("chart_id").distinct()), "chart_id", "left_anti")
+
+
 def true_series(points: DataFrame, palette: str = "rgb3") -> DataFrame:
     """Relation, colour, number and legend label of every series."""
     named = synth.coloured(points, palette)
@@ -275,7 +280,7 @@ def transfer_corpus(spark, d):
 @query
 def rotation_ablation(spark, d):
     """Axis accuracy with the vertical label turned by us, tried four ways by the reader, or left as it is."""
-    points = first_charts(FAMILIES["supplier"](spark, d), 60)
+    points = FAMILIES["supplier"](spark, d)
     labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label")
     images, _ = text.annotated(rendered(points), labels, true_series(points))
     images = images.persist()
@@ -286,14 +291,17 @@ def rotation_ablation(spark, d):
 @query
 def facet_detection(spark, d):
     """Mean overlap of found and true boxes by detector, and axis accuracy that follows from each."""
-    points = first_charts(FAMILIES["supplier"](spark, d), 80)
+    points = FAMILIES["supplier"](spark, d)
     labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label")
     images, facets = text.annotated(rendered(points), labels, true_series(points))
     images, facets = images.persist(), facets.persist()
-    rows, ssd = [], trained_detector(images.filter("chart_id % 2 = 0"), facets)
-    test = images.filter("chart_id % 2 = 1")
-    for name, found in (("layout", text.detect(test, "layout")), ("ssd", text.detect(test, "ssd", ssd)), ("truth", facets.filter("chart_id % 2 = 1"))):
-        rows.append(scored(box_overlap(found, facets.filter("chart_id % 2 = 1")), "facet_detection", name, "mean_iou"))
+    learn = max(1, min(40, points.select("chart_id").distinct().count() // 2))
+    first = F.broadcast(first_charts(points, learn).select("chart_id").distinct())
+    rows, ssd = [], trained_detector(images.join(first, "chart_id", "left_semi"), facets)
+    test = images.join(first, "chart_id", "left_anti")
+    boxes = facets.join(test.select("chart_id"), "chart_id", "left_semi")
+    for name, found in (("layout", text.detect(test, "layout")), ("ssd", text.detect(test, "ssd", ssd)), ("truth", boxes)):
+        rows.append(scored(box_overlap(found, boxes), "facet_detection", name, "mean_iou"))
         rows.append(scored(measure.axis(text.labels_of(text.extract(test, found)), labels.join(test.select("chart_id"), "chart_id", "left_semi")), "facet_detection", name))
     return union(rows)
 
@@ -322,7 +330,7 @@ def box_overlap(found: DataFrame, true: DataFrame) -> DataFrame:
 @query
 def cleaning_ablation(spark, d):
     """Accuracy with and without the saturation threshold under rising noise."""
-    points = first_charts(balanced_points(spark, d, "supplier", 1), 50)
+    points = balanced_points(spark, d, "supplier", 1)
     true, rows = true_series(points, "wide"), []
     for noise in (0, 60, 15):
         images = rendered(points, "wide", noise=noise).persist()
@@ -335,7 +343,7 @@ def cleaning_ablation(spark, d):
 @query
 def saturation_sweep(spark, d):
     """Accuracy by saturation threshold."""
-    points = first_charts(balanced_points(spark, d, "supplier", 1), 40)
+    points = balanced_points(spark, d, "supplier", 1)
     images, true = rendered(points, "wide", noise=30).persist(), true_series(points, "wide")
     return union([scored(measure.series_no_ocr(learned.predict(images, threshold=t), true), "saturation_sweep", f"threshold_{t}") for t in (0, 32, 64, 128, 250)])
 
@@ -343,7 +351,7 @@ def saturation_sweep(spark, d):
 @query
 def width_sweep(spark, d):
     """Accuracy by half-widths of the colour ranges."""
-    points = first_charts(balanced_points(spark, d, "supplier", 1), 40)
+    points = balanced_points(spark, d, "supplier", 1)
     images, true = rendered(points, "wide").persist(), true_series(points, "wide")
     return union([scored(measure.series_no_ocr(learned.predict(images, widths=w), true), "width_sweep", "_".join(map(str, w))) for w in ((2, 25, 40), (10, 10, 40), (10, 25, 40), (40, 25, 40), (90, 25, 40))])
 
@@ -378,7 +386,7 @@ def chance_level(spark, d):
 def training_size(spark, d):
     """Held-out accuracy of the network by number of training charts."""
     points = balanced_points(spark, d, "customer", 8)
-    test = first_charts(points, 60, 0, 400)
+    test = charts_behind(points, 300)
     images, true = rendered(test).persist(), true_series(test)
     return union([scored(measure.series_no_ocr(learned.predict(images, model_for(points, n, epochs=15)), true), "training_size", f"train_{n}") for n in (25, 100, 300)])
 
@@ -389,7 +397,7 @@ def fine_tuning(spark, d):
     plain, diverse = balanced_points(spark, d, "nation", 2), balanced_points(spark, d, "supplier", 3)
     model = model_for(plain, 25, epochs=15)
     tuned = model_for(diverse, 30, "wide", noise=60, epochs=6, seed=1, start=model)
-    test = first_charts(diverse, 40, 1, 30)
+    test = charts_behind(diverse, 30, 1)
     images, true = rendered(test, "wide", noise=60).persist(), true_series(test, "wide")
     return union([scored(measure.series_no_ocr(learned.predict(images, m), true), "fine_tuning", name) for name, m in (("before", model), ("after", tuned))])
 
@@ -397,7 +405,7 @@ def fine_tuning(spark, d):
 @query
 def learning_alone(spark, d):
     """The network on whole charts without separating series, against the full chain, by counts of relations."""
-    points = first_charts(balanced_points(spark, d, "supplier", 1), 60, 5)
+    points = balanced_points(spark, d, "supplier", 1)
     model = model_for(balanced_points(spark, d, "nation", 2), 25, epochs=15)
     images, true = rendered(points).persist(), true_series(points)
     return union([scored(measure.raw(learned.predict(images, model), true), "learning_alone", "full_chain"), scored(measure.raw(learned.count_head(images, model), true), "learning_alone", "network_only")])
@@ -406,7 +414,7 @@ def learning_alone(spark, d):
 @query
 def single_shot_end_to_end(spark, d):
     """The end-to-end measures with true facets and with the programmed detector: what the detector costs."""
-    points = first_charts(balanced_points(spark, d, "supplier", 1), 40, 5)
+    points = balanced_points(spark, d, "supplier", 1)
     return _end_to_end(points, None, "single_shot_end_to_end", "layout").unionByName(_end_to_end(points, None, "single_shot_end_to_end", "truth", detector="truth"))
 
 
