@@ -27,12 +27,14 @@ def table(spark: SparkSession, sf_dir: str, name: str, *cols: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share, as the session names it; a temporary one only where it is unset."""
+    """The folder that driver and executors share, as the session names it; a temporary one only in local mode without any."""
     at = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if at:
         return at.rstrip("/")
     if (own := spark.sparkContext._jsc.sc().getCheckpointDir()).isDefined():
         return str(own.get())
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir names no folder that driver and executors share")
     at = os.path.join(tempfile.gettempdir(), "chartrel-shared")
     spark.sparkContext.setCheckpointDir(at)
     return at
@@ -45,6 +47,25 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+class Scratch:
+    """Intermediate tables of one run, in a folder of their own that goes when the result is stored elsewhere."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.path, self.n = spark, f"{shared_dir(spark)}/run-{uuid.uuid4().hex}", 0
+
+    def __call__(self, df: DataFrame, name: str) -> DataFrame:
+        self.n += 1
+        path = f"{self.path}/{self.n}-{name}"
+        df.write.parquet(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def result(self, df: DataFrame, name: str) -> DataFrame:
+        """``df`` stored beside the run, and the run's folder deleted."""
+        out = stored(df, name)
+        delete(self.spark, self.path)
+        return out
+
+
 @contextmanager
 def arrow_rows(spark: SparkSession, n: int):
     """Rows per Arrow batch while something is written: few where a row holds whole texts. The session's own number returns."""
@@ -85,10 +106,14 @@ def text_batches(spark: SparkSession) -> None:
 
 def discard(df: DataFrame) -> None:
     """Deletes what ``stored`` wrote, once nothing reads it any more."""
-    jvm, conf = df.sparkSession._jvm, df.sparkSession._jsc.hadoopConfiguration()
     for parent in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-        path = jvm.org.apache.hadoop.fs.Path(parent)
-        path.getFileSystem(conf).delete(path, True)
+        delete(df.sparkSession, parent)
+
+
+def delete(spark: SparkSession, at: str) -> None:
+    """Deletes a folder of any store that Spark writes."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(at)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def parts(spark: SparkSession) -> int:

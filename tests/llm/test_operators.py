@@ -406,13 +406,45 @@ def test_decontamination_equals_brute_force(spark, small):
     assert left == {i for i, _ in rows} - {i for i, _ in want}
 
 
-def test_blocks_guarantee_the_radius(spark):
+def test_blocks_guarantee_the_radius_and_are_selective(spark):
     rng = np.random.default_rng(0)
-    a = rng.integers(-(1 << 62), 1 << 62, 300)
-    flips = [sum(1 << int(b) for b in rng.choice(63, 20, replace=False)) for _ in a]
-    df = spark.createDataFrame([(i, int(x), int(x) ^ f) for i, (x, f) in enumerate(zip(a, flips))], "i long, p long, q long")
-    b = lambda c: F.explode(decontam.blocks(F.col(c))).alias("b")
-    assert df.select("i", b("p")).join(df.select("i", b("q")), ["i", "b"]).select("i").distinct().count() == 300
+    a, other = rng.integers(-(1 << 63), (1 << 63) - 1, (2, 600))
+    flips = [sum(1 << int(b) for b in rng.choice(63, decontam.RADIUS, replace=False)) for _ in a]
+    left = spark.createDataFrame([(i, int(x)) for i, x in enumerate(a)], "i long, print long").withColumn("on", F.lit(0)).cache()
+    near = spark.createDataFrame([(i, int(x) ^ f) for i, (x, f) in enumerate(zip(a, flips))], "j long, print2 long").withColumn("on", F.lit(0))
+    assert decontam.near_prints(left, near, ["on"]).filter("i = j").select("i").distinct().count() == 600
+    far = spark.createDataFrame([(i, int(x)) for i, x in enumerate(other)], "j long, print2 long").withColumn("on", F.lit(0))
+    asked, block = left.select("i", F.explode(decontam.blocks(F.col("print"))).alias("_b")), F.explode(decontam.blocks(F.col("print2"))).alias("_b")
+    around = F.explode(F.array(*map(F.lit, decontam.flips()))).alias("x")
+    stored = far.select("j", block).select("j", "_b", around).select("j", F.struct(F.col("_b.block").alias("block"), F.col("_b.value").bitwiseXOR(F.col("x")).alias("value")).alias("_b"))
+    assert asked.join(stored, "_b").count() < 0.01 * 600 * 600  # unrelated pairs that meet
+
+
+def test_decontamination_recall_of_edited_items(spark):
+    """Passages with words changed, dropped or added against all windows: what the fingerprint loses of similarity 0.8 or more."""
+    rng = np.random.default_rng(5)
+    vocabulary = np.array([f"w{i}" for i in range(3000)])
+    items, rows = [], []
+    for i in range(150):
+        w = list(rng.choice(vocabulary, rng.integers(30, 90)))
+        items.append((i, " ".join(w)))
+        for k in range(2):
+            v = list(w)
+            for _ in range(k + 1):
+                at = int(rng.integers(0, len(v)))
+                v[at : at + int(rng.integers(0, 2))] = list(rng.choice(vocabulary, rng.integers(0, 2)))
+            rows.append((2 * i + k, " ".join([*rng.choice(vocabulary, 20), *v, *rng.choice(vocabulary, 20)])))
+    want = brute_leaks(rows, items)
+    got = {(r["doc_id"], r["item_id"]) for r in decontam.matches(frame(spark, rows), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert got <= want and len(want) > 100 and len(got) >= 0.99 * len(want)
+
+
+def test_decontamination_searches_every_text_of_an_id(spark):
+    item = " ".join(f"quiz{i}" for i in range(30))
+    rows = [(1, "a plain text"), (1, f"before {item} behind"), (2, "another text")]
+    for order in (rows, rows[::-1]):
+        got = decontam.matches(frame(spark, order), spark.createDataFrame([(1, item)], "item_id long, text string")).collect()
+        assert [(r["doc_id"], r["position"], r["similarity"]) for r in got] == [(1, 1, 1.0)]
 
 
 def test_embeddings_equal_brute_force(spark):
