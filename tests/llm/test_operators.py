@@ -455,13 +455,55 @@ def test_embeddings_equal_brute_force(spark):
     x = x.astype(np.float32)
     rows = [(int(i) * 3, [float(v) for v in e]) for i, e in enumerate(x)]
     got = {r["vec_id"]: r for r in embeddup.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<float>")).collect()}
-    u = embeddup._units(x)
+    u = embeddup.units(x)
     near = u @ u.T >= 0.9
     n = near.sum(axis=1) - 1
     found = np.array([got[i * 3]["n_links"] for i in range(700)])
     assert (found <= n).all() and found.sum() >= 0.97 * n.sum()
 
 
+def test_embedding_index_prunes_and_finds(spark, tmp_path):
+    """20,000 vectors, 3000 planted partners at cosine 0.90 to 0.92, a crowd of near copies: recall while few cells are visited."""
+    import pyarrow.parquet as pq
+
+    rng = np.random.default_rng(1)
+    n = 20_000
+    x = rng.normal(size=(n, 64))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    z = rng.normal(size=(3000, 64))
+    z -= (z * x[:3000]).sum(axis=1)[:, None] * x[:3000]
+    c = rng.uniform(0.9, 0.92, (3000, 1))
+    x[10_000:13_000] = c * x[:3000] + np.sqrt(1 - c * c) * z / np.linalg.norm(z, axis=1)[:, None]
+    x[15_000:16_500] = x[9999] + rng.normal(size=(1500, 64)) * 0.028
+    x = x.astype(np.float32)
+    index = embeddup.MultiIndex(embeddup.units(x[::4]), n)
+    assert index.visits <= 0.1 * len(index.c1) * len(index.c2)
+    pq.write_table(pa.table({"vec_id": pa.array(range(n), pa.int64()), "embedding": pa.array(list(x), pa.list_(pa.float32()))}), f"{tmp_path}/e.parquet")
+    got = embeddup.near_duplicates(spark.read.parquet(f"{tmp_path}/e.parquet")).toPandas().sort_values("vec_id")
+    u = embeddup.units(x)
+    want = np.concatenate([(u[lo : lo + 1000] @ u.T >= 0.9).sum(axis=1) - 1 for lo in range(0, n, 1000)])
+    found = got["n_links"].to_numpy()
+    assert (found <= want).all() and found.sum() >= 0.999 * want.sum() and (found == want).mean() > 0.99
+    assert (found[10_000:13_000] >= 1).mean() >= 0.99 and got["component_id"].to_numpy()[15_000:16_500].max() == 9999
+
+
+def test_embedding_codes_lose_few():
+    rng = np.random.default_rng(2)
+    x = embeddup.units(rng.normal(size=(20_000, 48)))
+    index = embeddup.MultiIndex(x[:2000], 2000)
+    z = rng.normal(size=x.shape)
+    z -= (z * x).sum(axis=1)[:, None] * x
+    y = 0.9 * x + np.sqrt(1 - 0.81) * z / np.linalg.norm(z, axis=1)[:, None]
+    far = lambda a, b: np.unpackbits(index.codes(a) ^ index.codes(b), axis=1).sum(axis=1)
+    assert (far(x, y) > index.apart).mean() < 1e-3 and (far(x, x[::-1]) <= index.apart).mean() < 1e-3
+
+
+def test_embeddings_of_several_lengths_and_large_doubles(spark):
+    rows = [(1, [1e300, 1e300, 0.0]), (2, [1e-300, 1e-300, 0.0]), (3, [1.0, 0.0, 0.0]), (4, [1.0, 1.0 + 1e-9]), (5, [1.0, 1.0]), (6, [1.0, -1.0]), (7, [3.0]), (8, [5.0]), (9, [-1.0])]
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in embeddup.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()}
+    assert got == {1: (1, 1), 2: (1, 1), 3: (0, 3), 4: (1, 4), 5: (1, 4), 6: (0, 6), 7: (1, 7), 8: (1, 7), 9: (0, 9)}
+
+
 def test_multi_sequence_order_is_sorted():
     rng = np.random.default_rng(0)
     d1, d2 = rng.random(9), rng.random(7)
