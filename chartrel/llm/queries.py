@@ -16,8 +16,7 @@ TOKENIZERS = os.environ.get("CHARTREL_TOKENIZERS", "/opt/tokenizers")
 
 
 def op7_mixing_to_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    sizes = mixing.sized(table(spark, sf_dir, "documents", "doc_id", "source", "text"))
-    return mixing.taken_by_document(*mixing.mix_sources(sizes))
+    return mixing.taken_by_document(*mixing.mix_sources(mixing.sized(table(spark, sf_dir, "documents", "doc_id", "source", "text"))))
 
 
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -282,8 +282,8 @@ def test_mixing_meets_targets_and_repeats(spark, mid):
     b = sorted(map(tuple, mixing.taken_by_document(*mixing.mix_sources(mixing.sized(docs(spark, mid).repartition(7)))).collect()), key=str)
     assert a == b
     per = {}
-    for _, size, total, target, taken, source in a:
-        assert taken <= 3 * size
+    for _, size, total, target, taken, shards, source in a:
+        assert taken <= 3 * size and 128 * (len(shards) - 1) < max(1, taken + 128 * 3) and bool(shards) == bool(taken)
         t = per.setdefault(source, [0, 0, target, total])
         t[0] += taken
         t[1] += size
@@ -291,23 +291,59 @@ def test_mixing_meets_targets_and_repeats(spark, mid):
     assert sum(t[2] for t in per.values()) == pytest.approx(sum(t[1] for t in per.values()))
 
 
+def test_mixing_equals_brute_force(spark):
+    """Ranks, taken words and shards of the layout from the definition; repeated ids, equal rows, a null id and source."""
+    rng = np.random.default_rng(3)
+    rows = [(int(i) if i % 9 else None, " ".join(f"w{i}{k}" for k in range(int(rng.integers(0, 60)))), "en", [None, "a", "b", "c"][i % 4 if i % 3 else 1]) for i in range(160)]
+    rows += [(7, "the same row many times over", "en", "b")] * 1500 + [(7, "same id, other text", "en", "b"), (7, "same id, other words", "en", "b"), (8, None, "en", "a")]
+    results = []
+    for order in (rows, rows[::-1]):
+        layout, held, by_source = mixing.mix_sources(mixing.sized(frame(spark, order).repartition(3)), block_words=8, blocks_per_shard=100, blocks_per_bucket=16)
+        got, per_source = layout.collect(), {r["code"]: r for r in by_source.collect()}
+        results.append(sorted(map(str, mixing.taken_by_document(layout, held, by_source).collect())))
+        own = sorted({(tuple(r[c] for c in mixing.DOCUMENT)) for r in held.collect()}, key=str)
+        assert len(own) == len(rows)
+        blocks = spark.createDataFrame([(*d, b, min(8, d[2] - 8 * b)) for d in own for b in range(-(-d[2] // 8))], "doc_id long, code int, size long, digest long, twin long, block int, words long")
+        drawn = [(r["code"], r["draw"] % (1 << 64), (*(r[c] for c in mixing.DOCUMENT), r["block"]), r["words"]) for r in blocks.withColumn("draw", F.xxhash64(F.lit(7), *mixing.DOCUMENT, "block")).collect()]
+        quotas, sequence = [], []
+        for c in sorted(per_source):
+            mine = [(k, w) for code, _, k, w in sorted(drawn, key=lambda r: r[1]) if code == c]
+            words, target = sum(w for _, w in mine), per_source[c]["target"]
+            assert words == per_source[c]["source_size"]
+            whole, upto, front = (int(target // words) if words else 0), 0, 0
+            for _, w in mine:
+                upto += w
+                front += upto - w / 2 <= target - whole * words
+            quotas.append(min(3 * len(mine), whole * len(mine) + (front if target > whole * words else 0)))
+            sequence.append([(*mine[p % len(mine)][0], p // len(mine)) for p in range(quotas[-1])])
+        tree = mixing.SplittingTree(quotas, max(1, -(-sum(quotas) // 100)), 7)
+        want = {key: k for s, q in enumerate(quotas) for k, a, b in tree.runs(s, 0, q) for key in sequence[s][a:b]}
+        assert {(*(r[c] for c in mixing.DOCUMENT), r["block"], r["epoch"]): r["shard"] for r in got} == want and len(got) == sum(quotas)
+        mix = mixing.shuffled_mix(frame(spark, order), layout, by_source, 8).collect()
+        assert len(mix) == len(got) and Counter(len(r["text"].split()) for r in mix) == Counter(r["words"] for r in got)
+    assert results[0] == results[1]
+
+
 def test_targets_water_fill():
     assert mixing.targets({"a": 100, "b": 1, "c": 100, None: 0}) == pytest.approx({"a": 49.5, "b": 3, "c": 148.5, None: 0})
     assert mixing.targets({}) == {} and mixing.targets({"z": 5}) == {"z": 5}
 
 
-def test_splitting_tree_is_exact_and_local(spark, small):
-    layout, held, words, target = mixing.mix_sources(mixing.sized(docs(spark, small)), block_words=32, blocks_per_shard=64, blocks_per_bucket=128)
+def test_splitting_tree_is_exact_and_local(spark, small, monkeypatch):
+    layout, held, by_source = mixing.mix_sources(mixing.sized(docs(spark, small)), block_words=32, blocks_per_shard=64, blocks_per_bucket=128)
     rows = layout.collect()
     per = Counter(r["shard"] for r in rows)
     assert max(per.values()) - min(per.values()) <= 2 and len(per) == -(-len(rows) // 64)
-    assert len({(r["twin"], r["block"], r["epoch"]) for r in rows}) == len(rows)
+    assert len({(r["doc_id"], r["digest"], r["twin"], r["block"], r["epoch"]) for r in rows}) == len(rows)
     tree = mixing.SplittingTree([50, 30, 7], 9, 1)
     got = {s: [(k, b - a) for k, a, b in tree.runs(s, 0, q)] for s, q in enumerate((50, 30, 7))}
     assert [sum(n for _, n in got[s]) for s in got] == [50, 30, 7]
+    monkeypatch.setattr(mixing, "KEPT", 2)  # a tree that forgets deals every position alike
     again = mixing.SplittingTree([50, 30, 7], 9, 1)
-    assert [(k, b - a) for k, a, b in again.runs(1, 10, 20)][0][0] == next(k for k, a, b in tree.runs(1, 10, 20))
-    assert mixing.shuffled_shards(layout).count() == len(rows)
+    assert got == {s: [(k, b - a) for k, a, b in again.runs(s, 0, q)] for s, q in enumerate((50, 30, 7))}
+    assert [k for k, _, _ in again.runs(1, 10, 20)][0] == next(k for k, a, b in tree.runs(1, 10, 20))
+    mix = mixing.shuffled_mix(docs(spark, small), layout, by_source, 32)
+    assert mix.count() == len(rows)
 
 
 def brute_lines(rows, least=8):
