@@ -1,16 +1,21 @@
 """Five stages from raw documents to a source mix; each reads what the one before wrote and keeps clean documents whole.
 
+The result is one row per document of the last stage, with the words taken and their shards. The texts of the mix, in
+the order in which training reads them, are under ``mix-...`` in the folder that driver and executors share.
+
 Defined results: nulls, empty and repeated rows are treated as the stages' operators state in their docstrings; extra
 columns pass through all stages but the last. ``n_chars``, where present, follows the text.
 """
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from chartrel.llm import decontam, linededup, minhash, mixing, toxicity
-from chartrel.llm.common import stored, table
+from chartrel.llm.common import shared_dir, stored, table
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,7 +38,10 @@ def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return mixing.taken_by_document(*mixing.mix_sources(mixing.sized(docs)))
+    """What the mix takes of every document; the mix itself, shuffled by shard, is written to a folder of its own."""
+    layout, held, by_source = mixing.mix_sources(mixing.sized(docs))
+    mixing.shuffled_mix(docs, layout, by_source).write.parquet(f"{shared_dir(spark)}/mix-{uuid.uuid4().hex}")
+    return mixing.taken_by_document(layout, held, by_source)
 
 
 STAGES = [
@@ -44,7 +52,7 @@ STAGES = [
     ("mixing", mix),
 ]
 
-#: No SQL: the first stage is a trained network; tests compare the stages with brute force.
+#: No SQL: the first stage is a trained network. Tests compare line dedup, near-dedup, decontamination and mixing with brute force and the network with held-out labels.
 ORACLE_SQL = None
 
 
