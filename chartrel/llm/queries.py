@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import decontam, embeddup, langid, linededup, minhash, mixing, pii, quality, tokencounts, toxicity
-from .common import shared_dir, table
+from .common import discard, fold, shared_dir, stored, table
 
 #: Folder of the public vocabularies.
 TOKENIZERS = os.environ.get("CHARTREL_TOKENIZERS", "/opt/tokenizers")
@@ -32,13 +32,26 @@ def op1_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All documents by words and by the byte-level vocabulary, one batch each; the first batch is replayed and changes nothing."""
+    """All documents by words and by the byte-level vocabulary, one batch each.
+
+    Further batches take the words of every fifth document off, put them back by a revision from nothing and an insert of none,
+    and replay the first batch, which changes nothing; the pending deltas are merged into the totals on the way.
+    """
     docs = table(spark, sf_dir, "documents", "doc_id", "source", "lang", "text")
-    rollup = tokencounts.Rollup(spark, f"{shared_dir(spark)}/token-rollup-{uuid.uuid4().hex}")
+    rollup = tokencounts.Rollup(spark, f"{shared_dir(spark)}/token-rollup-{uuid.uuid4().hex}", every=3)
+    words = stored(tokencounts.words(docs).withColumn("part", fold("doc_id", 5)), "word-counts")
     bpe = tokencounts.counted(docs, f"{TOKENIZERS}/byte_bpe_50k.tiktoken")
-    insert = F.lit("insert").alias("op")
-    for batch, rows, name in (("words", tokencounts.words(docs), "words"), ("bpe", bpe, "byte_bpe_50k"), ("words", tokencounts.words(docs), "words")):
-        rollup.apply(batch, tokencounts.deltas(rows.select("source", "lang", "tokens", F.lit(None).cast("long").alias("old_tokens"), insert), name))
+    fifth, none = words.filter("part = 0"), F.lit(None).cast("long")
+
+    def commit(batch: str, rows: DataFrame, name: str, op: str) -> None:
+        rollup.apply(batch, tokencounts.deltas(rows.select("source", "lang", (none if op == "insert-empty" else F.col("tokens")).alias("tokens"), none.alias("old_tokens"), F.lit(op.removesuffix("-empty")).alias("op")), name))
+
+    for batch, rows, name, op in (
+        ("words", words, "words", "insert"), ("bpe", bpe, "byte_bpe_50k", "insert"), ("words-off", fifth, "words", "delete"),
+        ("words-named", fifth, "words", "insert-empty"), ("words-back", fifth, "words", "revise"), ("words", words, "words", "insert"),
+    ):
+        commit(batch, rows, name, op)
+    discard(words)
     return rollup.totals()
 
 

@@ -97,7 +97,8 @@ def test_token_rollup_is_exact_and_idempotent(spark, tmp_path, small):
     roll = tokencounts.Rollup(spark, str(tmp_path / "roll"))
     rows = docs(spark, small).select("doc_id", "source", "lang", "text")
     counted = tokencounts.counted(rows, "/opt/tokenizers/byte_bpe_50k.tiktoken").withColumn("op", F.lit("insert")).withColumn("old_tokens", F.lit(None).cast("long")).cache()
-    enc = tokencounts._encoding("/opt/tokenizers/byte_bpe_50k.tiktoken")
+    with open("/opt/tokenizers/byte_bpe_50k.tiktoken", "rb") as f:
+        enc = tokencounts._encoding(f.read())
     assert isinstance(enc, tiktoken.Encoding)
     want = Counter()
     for r in rows.collect():
@@ -114,6 +115,34 @@ def test_token_rollup_is_exact_and_idempotent(spark, tmp_path, small):
     assert roll.batches() == ["1", "2", "3", "4"]  # without its marker a batch does not count
 
 
+def test_token_rollup_merges_and_remembers(spark, tmp_path):
+    kind = "source string, lang string, op string, tokens long, old_tokens long, size int"
+    changes = lambda *rows: tokencounts.deltas(spark.createDataFrame([(*r, 1) for r in rows], kind), "v")
+    roll, want = tokencounts.Rollup(spark, str(tmp_path / "r"), every=2), 0
+    for k in range(5):
+        assert roll.apply(f"b{k}", changes(("s", None, "insert", 10 + k, None)))
+        want += 10 + k
+        assert len(roll.pending()) < 2 and [tuple(r) for r in roll.totals().collect()] == [("s", None, "v", k + 1, want)]
+        assert not roll.apply("b0", changes(("s", None, "insert", 99, None)))  # merged or not
+    assert roll.version() == 2 and len([p for p in (tmp_path / "r").iterdir()]) == 2 and roll.batches() == [f"b{k}" for k in range(5)]
+    roll.apply("odd", changes(("s", None, "revise", 4, None), ("s", None, None, 7, None), ("s", None, "other", 7, None), ("s", None, "insert", None, None), (None, "en", "delete", 3, None)))
+    got = {tuple(r)[:3]: tuple(r)[3:] for r in roll.totals().collect()}
+    assert got == {("s", None, "v"): (6, want + 4), (None, "en", "v"): (-1, -3)}
+    (tmp_path / "r" / f"totals={roll.version() + 1}").mkdir()  # a merge that was lost leaves the old version in force
+    assert {tuple(r)[:3]: tuple(r)[3:] for r in roll.totals().collect()} == got
+    assert roll.apply("none", changes().limit(0)) and {tuple(r)[:3] for r in roll.totals().collect()} == set(got)
+
+
+def test_token_count_query(spark, small):
+    got = {(r["source"], r["lang"], r["tokenizer"]): (r["docs"], r["tokens"]) for r in queries.op2_token_counts(spark, small).collect()}
+    want = Counter(), Counter()
+    for r in docs(spark, small).collect():
+        want[0][r["source"], r["lang"]] += 1
+        want[1][r["source"], r["lang"]] += len(re.findall(r"[^\x20\x09-\x0D]+", r["text"] or ""))
+    assert {k[:2]: v for k, v in got.items() if k[2] == "words"} == {k: (want[0][k], want[1][k]) for k in want[0]}
+    assert {k[:2]: v[0] for k, v in got.items() if k[2] == "byte_bpe_50k"} == dict(want[0])
+
+
 def test_quality_agrees_with_labels(spark, mid):
     got = queries.op3_quality(spark, mid).join(table(spark, mid, "labels"), "doc_id").collect()
     good = [r["kept"] for r in got if r["quality"] == 1]
