@@ -21,7 +21,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import Scratch
 
 #: Tree depth below the token count, tokens from which fields are always variable, runs of positions at a leaf.
 LEADING, MIN_TOKENS, RUNS = 3, 8, 4
@@ -58,18 +58,23 @@ def lines_with_keys(docs: DataFrame, min_tokens: int = MIN_TOKENS, leading: int
 
 def dropped_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS) -> DataFrame:
     """doc_id, lines: positions to drop, for documents that lose any."""
-    keys = stored(lines_with_keys(docs, min_tokens), "template-keys")
+    keep = Scratch(docs.sparkSession)
+    keys = keep(lines_with_keys(docs, min_tokens), "template-keys")
     recurring = keys.groupBy("key").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).filter("first < last").select("key", "first")
-    recurring = stored(recurring, "recurring-templates")
+    recurring = keep(recurring, "recurring-templates")
     hit = keys.join(recurring.hint("merge"), "key").filter("doc_id > first")
-    return hit.groupBy("doc_id").agg(F.collect_set("line").alias("lines"))
+    return keep.result(hit.groupBy("doc_id").agg(F.collect_set("line").alias("lines")), "dropped-lines")
 
 
 def dedup_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS) -> DataFrame:
     """``docs`` with the text less its dropped lines, and ``dropped_lines``, the number dropped."""
     gone = dropped_lines(docs.select("doc_id", "text"), min_tokens).withColumnRenamed("doc_id", "__chartrel_id").withColumnRenamed("lines", "__chartrel_gone")
-    kept = F.array_join(F.filter(F.split("text", "\n"), lambda _, i: ~F.array_contains("__chartrel_gone", i)), "\n")
     names = [c for c in docs.columns if c != "dropped_lines"]
-    return docs.join(gone, F.col("doc_id") == F.col("__chartrel_id"), "left").select(
-        *(F.when(F.col("__chartrel_gone").isNull(), F.col("text")).otherwise(kept).alias(c) if c == "text" else F.col(f"`{c}`") for c in names),
-        F.coalesce(F.size("__chartrel_gone"), F.lit(0)).cast("long").alias("dropped_lines"))
+    full = docs.join(gone, F.col("doc_id") == F.col("__chartrel_id"), "left")
+    full = full.withColumn("__chartrel_lines", F.when(F.col("__chartrel_gone").isNotNull(), F.split("text", "\n")))
+    left = F.array_except(F.sequence(F.lit(0), F.size("__chartrel_lines") - 1), "__chartrel_gone")  # a set difference: linear in the lines
+    full = full.withColumn("__chartrel_left", F.when(F.col("__chartrel_lines").isNotNull(), left))
+    kept = F.array_join(F.transform("__chartrel_left", lambda i: F.get("__chartrel_lines", i)), "\n")
+    return full.select(
+        *(F.when(F.col("__chartrel_left").isNull(), F.col("text")).otherwise(kept).alias(c) if c == "text" else F.col(f"`{c}`") for c in names),
+        F.when(F.col("__chartrel_left").isNull(), 0).otherwise(F.size("__chartrel_lines") - F.size("__chartrel_left")).cast("long").alias("dropped_lines"))

@@ -81,5 +81,34 @@ _ALL = (
 )
 QUERIES = {f.__name__: f for f in _ALL}
 
-#: DuckDB SQL by query name.
-ORACLES: dict[str, str] = {}
+_OPEN = ", ".join(f"[to_json([n, {r}]), to_json(t[1:3 + (n - 3) * {r} // 4]), to_json(t[4 + (n - 3) * {r + 1} // 4:])]" for r in range(linededup.RUNS))
+
+#: DuckDB SQL by query name; what it states is the definition, compared over all pairs of lines or vectors.
+ORACLES: dict[str, str] = {
+    "op8_line_dedup": f"""
+        with row as (select row_number() over () as r, doc_id, text from documents),
+        cut as (select r, doc_id, unnest(string_split(text, chr(10))) line, generate_subscripts(string_split(text, chr(10)), 1) as pos from row where doc_id is not null and text is not null),
+        masked as (select *, regexp_replace(line, '[^\\x20\\x09-\\x0D]*[0-9][^\\x20\\x09-\\x0D]*', '<*>', 'g') as m, list_filter(string_split(line, ' '), lambda x: x <> '') as own
+                   from cut where regexp_matches(line, '[^\\x20\\x09-\\x0D]')),
+        token as (select doc_id, pos, case when regexp_matches(line, '[0-9]') and len(own) < {linededup.MIN_TOKENS} and (not regexp_matches(replace(m, '<*>', ''), '\\p{{L}}')
+                    or octet_length(encode(line)) - octet_length(encode(replace(m, '<*>', ''))) > {linededup.HIDDEN}) then own else list_filter(string_split(m, ' '), lambda x: x <> '') end as t from masked),
+        sized as (select *, len(t) as n from token),
+        keys as (select doc_id, pos, unnest(case when n >= {linededup.LEADING + linededup.RUNS} then [[to_json(t)], {_OPEN}] else [[to_json(t)]] end) as key from sized),
+        first as (select key, min(doc_id) as first from keys group by key),
+        gone as (select distinct doc_id, pos from keys join first using (key) where doc_id > first),
+        kept as (select c.r, c.pos, c.line, g.pos is not null as dropped from cut c left join gone g on c.doc_id = g.doc_id and c.pos = g.pos),
+        text as (select r, coalesce(string_agg(line, chr(10) order by pos) filter (where not dropped), '') as text, count(*) filter (where dropped) as dropped_lines from kept group by r)
+        select d.doc_id, case when coalesce(k.dropped_lines, 0) = 0 then d.text else k.text end as text, coalesce(k.dropped_lines, 0)::bigint as dropped_lines
+        from row d left join text k on d.r = k.r""",
+    "op10_embedding_neardup": f"""
+        with recursive sound as (select row_number() over () as i, vec_id, embedding::double[] as e from embeddings
+                       where vec_id is not null and embedding is not null and len(list_filter(embedding, lambda x: x is null or not isfinite(x))) = 0 and len(list_filter(embedding, lambda x: x <> 0)) > 0),
+        link as (select a.i as a, b.i as b from sound a join sound b on a.i <> b.i and len(a.e) = len(b.e) and list_cosine_similarity(a.e, b.e) >= {embeddup.COSINE}),
+        reach(a, b) as (select i, i from sound union select reach.a, link.b from reach join link on reach.b = link.a),
+        least as (select a, min(s.vec_id) as component_id from reach join sound s on reach.b = s.i group by a),
+        many as (select a, count(*) as n from link group by a),
+        found as (select s.vec_id, coalesce(m.n, 0)::bigint as n_links, l.component_id from sound s join least l on l.a = s.i left join many m on m.a = s.i)
+        select vec_id, n_links, component_id, vec_id = component_id as kept from found
+        union all select vec_id, 0::bigint, vec_id, vec_id is not null from embeddings
+        where vec_id is null or embedding is null or len(list_filter(embedding, lambda x: x is null or not isfinite(x))) > 0 or len(list_filter(embedding, lambda x: x <> 0)) = 0""",
+}
