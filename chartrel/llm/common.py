@@ -127,11 +127,16 @@ def fold(col: str, n: int) -> Column:
 
 
 def hashed_sample(rows: DataFrame, n: int, *keys: str, salt: int = 0) -> DataFrame:
-    """About ``n`` rows (2n at most) by a bound on the hash of ``keys``: no sort, and only the sample leaves the executors."""
-    total = rows.count()
+    """The ``n`` rows of least hash of ``keys``; all rows where there are no more. A bound on the hash comes first, so only about 2n are sorted.
+
+    Rows equal in ``keys`` share a hash: of a table of few such groups, rows of the group of least hash are taken.
+    """
+    h = F.pmod(F.xxhash64(F.lit(salt), *keys), F.lit(1 << 30))
+    total, least = rows.agg(F.count("*"), F.min(h)).first()
     if total <= n:
         return rows
-    return rows.filter(F.pmod(F.xxhash64(F.lit(salt), *keys), F.lit(1 << 30)) < int(n / total * (1 << 30))).limit(2 * n)
+    bound = max(int(2 * n / total * (1 << 30)), least + 1)
+    return rows.withColumn("__h", h).filter(F.col("__h") < bound).orderBy("__h", *keys).limit(n).drop("__h")
 
 
 def mix(x: np.ndarray, salt: int = 0) -> np.ndarray:

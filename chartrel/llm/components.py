@@ -12,9 +12,9 @@ def _both(edges: DataFrame) -> DataFrame:
     return edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
 
 
-def _tied(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
+def _tied(rows: DataFrame, store) -> tuple[DataFrame, DataFrame]:
     """Each (a, b) with ``m``, the smallest of a and its b; the minima are written so that a hub's join can be split."""
-    low = stored(rows.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("a", "m")), "star-minima")
+    low = store(rows.groupBy("a").agg(F.min("b").alias("m")).withColumn("m", F.least("a", "m")), "star-minima")
     return rows.join(low.hint("merge"), "a"), low
 
 
@@ -25,15 +25,15 @@ def _stars(edges: DataFrame) -> bool:
     return not edges.groupBy("a").agg(F.count("*").alias("n")).filter("n > 1").limit(1).count()
 
 
-def components(edges: DataFrame) -> DataFrame:
-    """node, component (its smallest node) of every node that has an edge; edges: a, b (long)."""
-    now = stored(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
+def components(edges: DataFrame, store=stored) -> DataFrame:
+    """node, component (its smallest node) of every node that has an edge; edges: a, b (long). ``store`` writes intermediates."""
+    now = store(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
     while not _stars(now):
-        tied, low1 = _tied(_both(now))  # large star: larger neighbours move to the smallest
-        large = stored(tied.filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")), "large-star")
-        tied, low2 = _tied(large)  # small star: smaller ones move
+        tied, low1 = _tied(_both(now), store)  # large star: larger neighbours move to the smallest
+        large = store(tied.filter("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")), "large-star")
+        tied, low2 = _tied(large, store)  # small star: smaller ones move
         small = tied.select(F.col("b").alias("x"), "m").unionByName(tied.select(F.col("a").alias("x"), "m")).filter("x <> m")
-        new = stored(small.select(F.col("x").alias("a"), F.col("m").alias("b")).distinct(), "small-star")
+        new = store(small.select(F.col("x").alias("a"), F.col("m").alias("b")).distinct(), "small-star")
         for old in (now, low1, large, low2):
             discard(old)
         now = new

@@ -263,7 +263,7 @@ def _linked(good: DataFrame, kind: str, cosine: float, recall: float, cell: int,
     whole = keep(whole, "near-vectors")
     met = keep(_dealt(whole.filter("role = 0"), whole.filter("role = 1"), keep, "vector").groupBy("cell", "m", "v").applyInArrow(_comparer(cosine, kind), "rep long, links long, a long, b long"), "met-pairs")
     counts = met.filter("rep is not null").groupBy("rep").agg(F.sum("links").alias("links"))
-    tree = components(met.filter("a is not null").select("a", "b"))
+    tree = components(met.filter("a is not null").select("a", "b"), keep)
     joined = reps.select("rep", "least", "copies", "same").join(tree.withColumnRenamed("node", "rep"), "rep", "left").join(counts, "rep", "left")
     joined = keep(joined.select("same", "copies", "least", F.coalesce("component", "rep").alias("component"), F.coalesce("links", F.lit(0)).alias("links")), "vector-classes")
     name = keep(joined.groupBy("component").agg(F.min("least").alias("component_id")), "component-names")

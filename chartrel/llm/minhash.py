@@ -9,11 +9,12 @@ buckets that reach the bound. What is broadcast is thereby limited by the shingl
 Each signature entry is a consistent weighted sample: random variates come from tables indexed by fourteen bits of the
 shingle's hash, ties within a table row fall to the rest of the hash. Equal texts are one class beforehand. Bands of four
 entries make buckets; in each bucket members are compared with one leader, then, as long as a bucket still holds several
-classes, with members of its largest class, and what remains is compared in full, so no link between different texts is
-lost and no crowd is compared all against all while leaders explain it.
+classes, with members of its largest class, and what remains is compared in full, so of the texts that share a bucket no link is
+lost and no crowd is compared all against all while leaders explain it. Two texts of similarity s share a bucket with
+probability 1 - (1 - s^4)^12 (0.998 at 0.8, the least similarity that links); README has the measured recall.
 
 Defined results: texts without words are linked with equal texts only; a null text is linked with nothing. A null id has
-a null class and is kept. Rows of one id are one document. Extra columns pass through ``dedup``.
+a null class and is kept. Rows of one id are one document; of several texts under an id all have buckets, and the least is what candidates are verified with. Extra columns pass through ``dedup``.
 """
 
 from __future__ import annotations
@@ -28,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_rows, mix, sliced, slices, stored, text_batches
+from .common import Scratch, arrow_rows, mix, sliced, slices, stored, text_batches
 from .components import components
 
 WIDTH, SIMILARITY = 5, 0.8
@@ -36,6 +37,8 @@ BANDS, ROWS = 12, 4
 ENTRIES = BANDS * ROWS
 #: Document share below which the inverse document frequency no longer grows; buckets of the first pass, in ranges.
 SHARE, BUCKETS, RANGES = 1e-3, 1 << 22, 64
+#: Tables of counts that one group adds up.
+MERGED = 64
 SLOTS = 1 << 14
 ROUNDS = 8
 #: Pairs per distinct text up to which the open buckets are compared in full at once.
@@ -151,14 +154,14 @@ def _bucket_counts(batches):
             _, h, _ = shingled(data, offsets, distinct=False)
             at, n = np.unique((h >> np.uint64(26)).astype(np.int32), return_counts=True)
             total[at] += n.astype(np.int32)
-    step, salt = BUCKETS // RANGES, int(total[::97].sum() % 16)
+    step, salt = BUCKETS // RANGES, zlib.crc32(total.tobytes()) >> 1
     full = [r for r in range(RANGES) if total[r * step : (r + 1) * step].any()]
     yield pa.RecordBatch.from_arrays([pa.array(full, pa.int32()), pa.array([salt] * len(full), pa.int32()), pa.array([zlib.compress(total[r * step : (r + 1) * step].astype(np.int64).tobytes(), 1) for r in full], pa.binary())], names=["range", "salt", "counts"])
 
 
 def _added(table: pa.Table) -> pa.Table:
     total = sum(np.frombuffer(zlib.decompress(c.as_py()), np.int64) for c in table.column("counts"))
-    return pa.table({"range": pa.array([table.column("range")[0].as_py()], pa.int32()), "salt": pa.array([0], pa.int32()), "counts": pa.array([zlib.compress(total.tobytes(), 1)], pa.binary())})
+    return pa.table({"range": pa.array([table.column("range")[0].as_py()], pa.int32()), "salt": pa.array([table.column("salt")[0].as_py()], pa.int32()), "counts": pa.array([zlib.compress(total.tobytes(), 1)], pa.binary())})
 
 
 def _heavy(least: int):
@@ -211,8 +214,10 @@ def weights(docs: DataFrame, share: float = SHARE) -> Weights:
     documents = rows.count()
     least = max(2, int(np.ceil(share * documents)))
     counts = rows.mapInArrow(_bucket_counts, "range int, salt int, counts binary")
-    for keys in (["range", "salt"], ["range"]):  # two steps: what meets in a group stays small with many tasks
-        counts = counts.groupBy(*keys).applyInArrow(_added, "range int, salt int, counts binary")
+    left = rows.rdd.getNumPartitions()
+    while left:  # each level adds up some MERGED tables of a range, so what a group holds does not grow with the tasks
+        left = -(-left // MERGED) if left > MERGED else 0
+        counts = counts.withColumn("salt", F.col("salt") % max(1, left)).groupBy("range", "salt").applyInArrow(_added, "range int, salt int, counts binary")
     heavy = [r["bucket"] for r in counts.mapInArrow(_heavy(least), "bucket long").collect()]  # BUCKETS numbers at most
     shared = docs.sparkSession.sparkContext.broadcast(np.array(heavy, np.int64))
     known = rows.mapInArrow(_candidates(shared), "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).filter(F.col("n") >= least).collect() if heavy else []
@@ -368,45 +373,46 @@ def _block_linker(shared, least: float):
 def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     """doc_id, class_id (smallest id of its class), kept: one row per document."""
     text_batches(docs.sparkSession)
+    keep = Scratch(docs.sparkSession)
     rows = docs.select("doc_id", "text")
     shared = docs.sparkSession.sparkContext.broadcast(weights(rows))
-    signed = stored(rows.mapInArrow(_signer(shared), "doc_id long, same binary, keys array<long>"), "signatures")
-    reps = stored(signed.filter("same is not null and doc_id is not null").groupBy("same").agg(F.min("doc_id").alias("rep"), F.min("keys").alias("keys")), "distinct-texts")
+    signed = keep(rows.mapInArrow(_signer(shared), "doc_id long, same binary, keys array<long>"), "signatures")
+    reps = keep(signed.filter("same is not null and doc_id is not null").groupBy("same").agg(F.min("doc_id").alias("rep"), F.min("keys").alias("keys")), "distinct-texts")
     band = reps.filter("keys is not null").select("rep", F.explode("keys").alias("key"))
-    crowd = stored(band.groupBy("key").agg(F.min("rep").alias("lead"), F.count("*").alias("n")).filter("n > 1"), "buckets")
-    band = stored(band.join(crowd.hint("merge"), "key").select("key", "rep", "lead"), "bucket-members")
+    crowd = keep(band.groupBy("key").agg(F.min("rep").alias("lead"), F.count("*").alias("n")).filter("n > 1"), "buckets")
+    band = keep(band.join(crowd.hint("merge"), "key").select("key", "rep", "lead"), "bucket-members")
     ids = band.select(F.col("rep").alias("doc_id")).distinct()
-    texts = stored(rows.join(ids.hint("merge"), "doc_id").dropDuplicates(["doc_id"]).select(F.col("doc_id").alias("id"), "text"), "candidate-texts")
+    texts = keep(rows.join(ids.hint("merge"), "doc_id").groupBy(F.col("doc_id").alias("id")).agg(F.min("text").alias("text")), "candidate-texts")
 
     def verified(pairs: DataFrame) -> DataFrame:
         right = texts.select(F.col("id").alias("b"), F.col("text").alias("tb"))
         left = texts.select(F.col("id").alias("a"), F.col("text").alias("ta"))
         full = pairs.hint("merge").join(right.hint("merge"), "b").hint("merge").join(left.hint("merge"), "a")
         with arrow_rows(docs.sparkSession, PAIR_ROWS):
-            return stored(full.select("a", "b", "ta", "tb").mapInArrow(_verifier(shared, similarity), "a long, b long"), "verified")
+            return keep(full.select("a", "b", "ta", "tb").mapInArrow(_verifier(shared, similarity), "a long, b long"), "verified")
 
     def blocks(large: DataFrame) -> DataFrame:
         """Links of crowded buckets, block against block, so that a text is sent once per block and not once per pair."""
         salt = lambda n, k: F.pmod(F.xxhash64(F.lit(k), "rep"), F.col(n)).cast("int")
         each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
         n = large.groupBy("key").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("ms"), F.ceil(F.sum((F.col("comp") != F.col("main")).cast("int")) / BLOCK).cast("int").alias("ss"))
-        rows = large.join(stored(n, "crowds").hint("merge"), "key")
+        rows = large.join(keep(n, "crowds").hint("merge"), "key")
         inside = rows.withColumn("i", salt("ms", 1)).withColumn("j", each("ss")).withColumn("role", F.lit(0))
         asking = rows.filter("comp <> main").withColumn("j", salt("ss", 2)).withColumn("i", each("ms")).withColumn("role", F.lit(1))
         columns = ["key", "i", "j", "role", "rep", "comp"]
         full = inside.select(columns).unionByName(asking.select(columns)).join(texts.withColumnRenamed("id", "rep").hint("merge"), "rep")
-        return stored(full.groupBy("key", "i", "j").applyInArrow(_block_linker(shared, similarity), "a long, b long"), "block-links")
+        return keep(full.groupBy("key", "i", "j").applyInArrow(_block_linker(shared, similarity), "a long, b long"), "block-links")
 
     def grouped(edges: DataFrame) -> tuple[DataFrame, int]:
         """key, rep, comp, main (the largest class) of buckets that still hold several classes, and a bound on their pairs."""
-        tree = stored(components(edges), "classes")
+        tree = keep(components(edges, keep), "classes")
         own = band.select("key", "rep").join(tree.withColumnRenamed("node", "rep").hint("merge"), "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("comp"))
-        own = stored(own, "bucket-classes")
+        own = keep(own, "bucket-classes")
         each = own.groupBy("key", "comp").agg(F.count("*").alias("n"))
         many = each.groupBy("key").agg(F.max_by("comp", F.struct("n", -F.col("comp"))).alias("main"), F.count("*").alias("comps"), F.sum("n").alias("n"), F.max("n").alias("most"))
-        many = stored(many.filter("comps > 1").select("key", "main", ((F.col("n") - F.col("most")) * F.col("n")).alias("pairs")), "open-buckets")
+        many = keep(many.filter("comps > 1").select("key", "main", ((F.col("n") - F.col("most")) * F.col("n")).alias("pairs")), "open-buckets")
         pairs = many.agg(F.sum("pairs")).first()[0] or 0
-        return stored(own.join(many.hint("merge"), "key"), "open-members"), pairs
+        return keep(own.join(many.hint("merge"), "key"), "open-members"), pairs
 
     edges = verified(band.filter("rep <> lead").select(F.col("lead").alias("a"), F.col("rep").alias("b")).distinct())
     (left, pairs), few, before = grouped(edges), PAIRS_PER_TEXT * reps.count(), None
@@ -414,9 +420,9 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
         if pairs <= few or before and pairs > 0.8 * before:
             break
         before = pairs
-        pick = stored(left.filter("comp = main").groupBy("key").agg(F.min_by("rep", F.xxhash64(F.lit(k), "rep")).alias("lead")), "leaders")
+        pick = keep(left.filter("comp = main").groupBy("key").agg(F.min_by("rep", F.xxhash64(F.lit(k), "rep")).alias("lead")), "leaders")
         more = verified(left.filter("comp <> main").join(pick.hint("merge"), "key").select(F.least("rep", "lead").alias("a"), F.greatest("rep", "lead").alias("b")).distinct())
-        edges = stored(edges.unionByName(more), "links")
+        edges = keep(edges.unionByName(more), "links")
         left, pairs = grouped(edges)
     # What leaders did not join: members outside a bucket's largest class against all its members of other classes.
     small, large = left.filter(F.col("pairs") <= BLOCK_PAIRS), left.filter(F.col("pairs") > BLOCK_PAIRS)
@@ -424,10 +430,10 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
     rest = strange.join(small.select("key", "rep", "comp"), "key").filter("comp <> cx").select(F.least("rep", "x").alias("a"), F.greatest("rep", "x").alias("b")).distinct()
     edges = edges.unionByName(blocks(large))
     edges = edges.unionByName(verified(rest))
-    tree = stored(components(edges), "classes")
-    named = stored(reps.join(tree.withColumnRenamed("node", "rep").hint("merge"), "rep", "left").select("same", F.coalesce("component", "rep").alias("class_id")), "class-of-text")
+    tree = keep(components(edges, keep), "classes")
+    named = keep(reps.join(tree.withColumnRenamed("node", "rep").hint("merge"), "rep", "left").select("same", F.coalesce("component", "rep").alias("class_id")), "class-of-text")
     out = signed.select("doc_id", "same").join(named.hint("merge"), "same", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
-    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True)))
+    return keep.result(out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True))), "document-classes")
 
 
 def dedup(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:

@@ -2,10 +2,12 @@
 
 Base matches are exact and always kept. The field works on runs of blank-delimited pieces that hold a digit or an at
 sign: every segment of up to six pieces is scored per type by features of the whole span (shape, checks of digits,
-separators, the word before), and a bounded-entity dynamic program chooses boundaries and types together. Elsewhere the
+separators, the word before) and by the type of the segment before it, and a bounded-entity dynamic program chooses
+boundaries and types together. It reads a run of any length piece by piece and keeps the last six steps' scores only. Elsewhere the
 outside label is the only candidate, so leaving those characters out of the program changes nothing. Weights are trained
-by conditional likelihood on a bounded sample of runs, labelled by the base patterns, by key and password forms, and by
-variants of base entities in other spellings.
+by conditional likelihood on a bounded sample: TRAIN_RUNS runs of TRAIN_PIECES pieces at most from TRAIN_TEXTS texts of
+TRAIN_CHARS characters at most, labelled by the base patterns, by key and password forms, and by variants of base entities
+in other spellings. All texts of any length are searched whole.
 
 Defined results: a null text is treated as empty and has no spans. Spans are code points, end exclusive. A span of the
 field that touches a base span is left out. Repeated rows are scanned each. Extra columns are ignored.
@@ -31,7 +33,7 @@ TYPES = (*KINDS, "secret")
 #: Pieces of one entity at most, characters of one entity at most.
 MAX_PIECES, MAX_CHARS = 6, 200
 #: Texts that training samples, and runs that it learns from.
-TRAIN_TEXTS, TRAIN_RUNS = 3000, 2500
+TRAIN_TEXTS, TRAIN_RUNS, TRAIN_CHARS, TRAIN_PIECES = 3000, 2500, 20_000, 24
 HASHED = 4096
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -148,62 +150,90 @@ def features(span: str, before: str, pieces: int) -> list[int]:
 
 
 class SemiMarkov:
-    """Weights per type over hashed span features; outside pieces are segments of one piece of their own type."""
+    """Weights per type over hashed span features and between neighbouring segments' types; outside pieces are segments of one piece."""
 
     def __init__(self):
         self.w = np.zeros((len(TYPES) + 1, HASHED))  # the last row is the outside label
+        self.t = np.zeros((len(TYPES) + 2, len(TYPES) + 1))  # type before (the last row: none) by type
+
+    def segment(self, text: str, before: str, pieces: list[tuple[int, int]], i: int, j: int) -> tuple[list[int], tuple[int, int]] | None:
+        """Features and trimmed span of pieces i to j; None if that is no candidate."""
+        lo, hi = trimmed(text, pieces[i][0], pieces[j - 1][1])
+        if j - i > 1 and hi - lo > MAX_CHARS:
+            return None
+        return features(text[lo : min(hi, lo + MAX_CHARS + 1)], before if i == 0 else "9", j - i), (lo, hi)
 
     def lattice(self, text: str, before: str, pieces: list[tuple[int, int]]) -> dict[tuple[int, int], tuple[list[int], tuple[int, int]]]:
-        out = {}
+        cells = ((i, j) for j in range(1, len(pieces) + 1) for i in range(max(0, j - MAX_PIECES), j))
+        return {(i, j): s for i, j in cells if (s := self.segment(text, before, pieces, i, j))}
+
+    def score(self, i: int, j: int, segment) -> np.ndarray:
+        """Score of every type of one segment; the outside label only for single pieces."""
+        f, (lo, hi) = segment
+        s = self.w[:, f].sum(axis=1)
+        if j - i > 1:
+            s[-1] = -np.inf
+        if hi - lo > MAX_CHARS or hi <= lo:
+            s[:-1] = -np.inf
+        return s
+
+    def best(self, text: str, before: str, pieces: list[tuple[int, int]]) -> list[tuple[int, int, int, tuple[int, int]]]:
+        """Segments (from, to, type, span) of the highest-scoring path; ties go to the shorter last segment, then to the earlier type."""
+        ready = {0: self.t[-1].copy()}  # step -> for each type, the best score of a path up to there whose next segment has it
+        last: dict[int, tuple] = {}  # step -> per type: where its segment begins, the type before it, its span
+        come: list[tuple] = [()]
         for j in range(1, len(pieces) + 1):
-            for i in range(max(0, j - MAX_PIECES), j):
-                lo, hi = trimmed(text, pieces[i][0], pieces[j - 1][1])
-                if j - i == 1 or hi - lo <= MAX_CHARS:
-                    word = before if i == 0 else text[max(0, pieces[i - 1][1] - 20) : pieces[i - 1][1]].lower()
-                    out[i, j] = (features(text[lo : min(hi, lo + MAX_CHARS + 1)], word if i == 0 else "9", j - i), (lo, hi))
-        return out
-
-    def scores(self, lattice) -> dict[tuple[int, int], np.ndarray]:
-        """Score of every type per segment; the outside label only for single pieces."""
-        out = {}
-        for (i, j), (f, (lo, hi)) in lattice.items():
-            s = self.w[:, f].sum(axis=1)
-            if j - i > 1:
-                s[-1] = -np.inf
-            if hi - lo > MAX_CHARS or hi <= lo:
-                s[:-1] = -np.inf
-            out[i, j] = s
-        return out
-
-    def best(self, n: int, score) -> list[tuple[int, int, int]]:
-        """Segments (from, to, type) of the highest-scoring path; ties go to the shorter last segment."""
-        top, back = [0.0] + [-math.inf] * n, [None] * (n + 1)
-        for j in range(1, n + 1):
+            top, here = np.full(len(TYPES) + 1, -np.inf), [None] * (len(TYPES) + 1)
             for i in range(j - 1, max(0, j - MAX_PIECES) - 1, -1):
-                if (i, j) in score:
-                    y = int(score[i, j].argmax())
-                    if top[i] + score[i, j][y] > top[j]:
-                        top[j], back[j] = top[i] + score[i, j][y], (i, j, y)
-        path, j = [], n
+                if segment := self.segment(text, before, pieces, i, j):
+                    s = self.score(i, j, segment) + ready[i]
+                    for y in np.flatnonzero(s > top).tolist():
+                        top[y], here[y] = s[y], (i, segment[1])
+            ready.pop(j - MAX_PIECES, None)
+            way = top[:, None] + self.t[:-1]
+            ready[j] = way.max(axis=0)
+            last[j] = (int(top.argmax()),)
+            come.append((tuple(here), tuple(way.argmax(axis=0).tolist())))
+        path, j = [], len(pieces)
+        y = last[j][0] if j else 0
         while j:
-            path.append(back[j])
-            j = back[j][0]
+            i, span = come[j][0][y]
+            path.append((i, j, y, span))
+            y = come[i][1][y] if i else 0
+            j = i
         return path[::-1]
 
     def update(self, n: int, lattice, gold: list[tuple[int, int, int]], rate: float) -> None:
-        """One step up the conditional log likelihood: features of the gold path less their expectation."""
-        score = self.scores(lattice)
-        alpha, beta = [0.0] + [-math.inf] * n, [-math.inf] * n + [0.0]
-        total = {k: np.logaddexp.reduce(v) for k, v in score.items()}
-        for (i, j), s in sorted(total.items(), key=lambda x: x[0][1]):
-            alpha[j] = np.logaddexp(alpha[j], alpha[i] + s)
-        for (i, j), s in sorted(total.items(), key=lambda x: -x[0][0]):
-            beta[i] = np.logaddexp(beta[i], s + beta[j])
-        for (i, j), s in score.items():
-            p = np.exp(alpha[i] + s + beta[j] - alpha[n])
-            np.subtract.at(self.w, (slice(None), lattice[i, j][0]), rate * p[:, None])
+        """One step up the conditional log likelihood: features and type pairs of the gold path less their expectation."""
+        score = {k: self.score(*k, v) for k, v in lattice.items()}
+        kinds = len(TYPES) + 1
+        ahead, behind = np.full((n + 1, kinds), -np.inf), np.full((n + 1, kinds), -np.inf)  # by type of the segment that starts, ends there
+        ahead[0], behind[n] = self.t[-1], 0.0
+        alpha = np.full((n + 1, kinds), -np.inf)
+        with np.errstate(invalid="ignore", divide="ignore"):
+            for j in range(1, n + 1):
+                parts = [ahead[i] + score[i, j] for i in range(max(0, j - MAX_PIECES), j) if (i, j) in score]
+                alpha[j] = np.logaddexp.reduce(parts, axis=0)
+                ahead[j] = np.logaddexp.reduce(alpha[j][:, None] + self.t[:-1], axis=0)
+            total = np.logaddexp.reduce(alpha[n])
+            start = np.full((n + 1, kinds), -np.inf)  # log weight of all that follows from a segment of that type starting there
+            for i in range(n - 1, -1, -1):
+                start[i] = np.logaddexp.reduce([score[i, j] + behind[j] for j in range(i + 1, min(n, i + MAX_PIECES) + 1) if (i, j) in score], axis=0)
+                if i:
+                    behind[i] = np.logaddexp.reduce(self.t[:-1] + start[i][None], axis=1)
+            for (i, j), s in score.items():
+                p = np.exp(ahead[i] + s + behind[j] - total)
+                np.subtract.at(self.w, (slice(None), lattice[i, j][0]), rate * p[:, None])
+            pairs = np.zeros_like(self.t)
+            for i in range(1, n):
+                pairs[:-1] += np.exp(alpha[i][:, None] + self.t[:-1] + start[i][None] - total)
+            pairs[-1] = np.exp(self.t[-1] + start[0] - total)
+        past = len(TYPES) + 1
         for i, j, y in gold:
             np.add.at(self.w, (y, lattice[i, j][0]), rate)
+            pairs[past, y] -= 1
+            past = y
+        self.t -= rate * pairs
 
 
 _SECRET = re.compile(r"""(?:\b(?:password|passwd|pwd|secret|token|api_?key)\s?[=:]\s?)["']?(?=[^\s"']*[0-9])[A-Za-z0-9_/+.-]{8,}["']?|\b[A-Z]{4}[A-Z0-9]{16}\b""")
@@ -261,7 +291,7 @@ def fit(texts: list[str], seed: int = 3, epochs: int = 4, most: int = TRAIN_RUNS
     for t, spans in cases + _variants(rng, 420):
         spans.sort()
         for before, pieces in runs(t):
-            if len(data) < most + 420 and len(pieces) <= 24 and (gold := _gold(t, pieces, spans)):
+            if len(data) < most + 420 and len(pieces) <= TRAIN_PIECES and (gold := _gold(t, pieces, spans)):
                 lattice = field.lattice(t, before, pieces)
                 if all((i, j) in lattice for i, j, _ in gold):
                     data.append((len(pieces), lattice, gold))
@@ -275,8 +305,8 @@ def fit(texts: list[str], seed: int = 3, epochs: int = 4, most: int = TRAIN_RUNS
 def train(docs: DataFrame) -> SemiMarkov:
     """The field for a bounded sample of texts that hold a digit or at sign, by hashed id."""
     text_batches(docs.sparkSession)
-    rows = docs.select("doc_id", "text").filter(F.col("text").rlike("[0-9@]") & (F.length("text") <= 20_000))
-    return fit(sorted(r["text"] for r in hashed_sample(rows, TRAIN_TEXTS, "doc_id", salt=1).select("text").collect()))
+    rows = docs.select("doc_id", "text").filter(F.col("text").rlike("[0-9@]") & (F.length("text") <= TRAIN_CHARS))
+    return fit(sorted(r["text"] for r in hashed_sample(rows, TRAIN_TEXTS, "doc_id", "text", salt=1).select("text").collect()))
 
 
 def find(text: str, field: SemiMarkov) -> tuple[dict[str, list[tuple[int, int]]], list[tuple[int, int, str]]]:
@@ -289,14 +319,11 @@ def find(text: str, field: SemiMarkov) -> tuple[dict[str, list[tuple[int, int]]]
     reach = np.maximum.accumulate([hi for _, hi in taken]).tolist() if taken else []
     found = [(lo, hi, k) for k, s in own.items() for lo, hi in s]
     for before, pieces in runs(text):
-        lattice = field.lattice(text, before, pieces) if len(pieces) <= 4096 else None
-        for part, n in [(lattice, len(pieces))] if lattice is not None else ((field.lattice(text, "", pieces[i : i + 4096]), len(pieces[i : i + 4096])) for i in range(0, len(pieces), 4096)):
-            for i, j, y in field.best(n, field.scores(part)):
-                if y < len(TYPES):
-                    lo, hi = part[i, j][1]
-                    at = int(np.searchsorted(starts, hi))
-                    if not at or reach[at - 1] <= lo:
-                        found.append((lo, hi, TYPES[y]))
+        for _, _, y, (lo, hi) in field.best(text, before, pieces):
+            if y < len(TYPES):
+                at = int(np.searchsorted(starts, hi))
+                if not at or reach[at - 1] <= lo:
+                    found.append((lo, hi, TYPES[y]))
     rank = {k: i for i, k in enumerate(TYPES)}
     return own, sorted(found, key=lambda s: (s[0], rank[s[2]], s[1]))
 
@@ -305,7 +332,7 @@ def finder(shared):
     def run(batches):
         field: SemiMarkov = shared.value
         for batch in sliced(batches):
-            count, sha, spans = {k: [] for k in KINDS}, [], []
+            count, sha, spans, secrets, every = {k: [] for k in KINDS}, [], [], [], []
             for text in batch.column("text").to_pylist():
                 own, found = find(text or "", field)
                 for k in KINDS:
@@ -313,12 +340,14 @@ def finder(shared):
                 line = ",".join(f"{k}:{lo}:{hi}" for lo, _, k, hi in sorted((lo, i, k, hi) for i, k in enumerate(KINDS) for lo, hi in own[k]))
                 sha.append(hashlib.sha256(line.encode()).hexdigest())
                 spans.append(",".join(f"{k}:{lo}:{hi}" for lo, hi, k in found))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(count[k], pa.int64()) for k in KINDS), pa.array(sha, pa.string()), pa.array(spans, pa.string())], names=["doc_id", *(f"n_{k}" for k in KINDS), "base_sha256", "spans"])
+                secrets.append(sum(k == "secret" for _, _, k in found))
+                every.append(len(found))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(count[k], pa.int64()) for k in KINDS), pa.array(sha, pa.string()), pa.array(spans, pa.string()), pa.array(secrets, pa.int64()), pa.array(every, pa.int64())], names=["doc_id", *(f"n_{k}" for k in KINDS), "base_sha256", "spans", "n_secret", "n_all"])
 
     return run
 
 
 def personal_data(docs: DataFrame) -> DataFrame:
-    """doc_id, base counts, digest of the base spans, all spans, for every document."""
+    """doc_id, base counts, digest of the base spans, all spans and how many are secrets and in all, for every document."""
     shared = docs.sparkSession.sparkContext.broadcast(train(docs))  # a matrix of fixed size
-    return docs.select("doc_id", "text").mapInArrow(finder(shared), "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string")
+    return docs.select("doc_id", "text").mapInArrow(finder(shared), "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_secret long, n_all long")

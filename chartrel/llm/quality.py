@@ -160,7 +160,7 @@ def train(docs: DataFrame) -> Scorer | None:
     patterns = np.array([["-0+".index(c) - 1 for c in r["votes"]] for r in found])
     post, table, _ = estimate(patterns, np.array([float(r["n"]) for r in found]))
     posterior = {r["votes"]: float(p) for r, p in zip(found, post)}
-    texts = [r["text"] for r in hashed_sample(rows, TRAIN_ROWS, "doc_id", salt=2).filter(F.length("text").between(1, TRAIN_CHARS)).collect()]
+    texts = [r["text"] for r in hashed_sample(rows, TRAIN_ROWS, "doc_id", "text", salt=2).filter(F.length("text").between(1, TRAIN_CHARS)).collect()]
     texts = sorted(t for t in texts if t.split())
     if not texts:
         return None

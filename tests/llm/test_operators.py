@@ -73,22 +73,46 @@ def test_pii_query(spark, mid):
         assert {x for x in line.split(",") if x} <= set(g["spans"].split(","))
 
 
-def test_semi_markov_best_path_is_the_best():
-    field = pii.fit(["call +1 (212) 555-0199 or mail a.b@c.de, ip 10.0.0.1 card 4041894974608795"] * 3)
+def test_semi_markov_best_path_and_gradient():
     import itertools
 
-    text = "to 212 555 0199 now"
+    field = pii.fit(["call +1 (212) 555-0199 or mail a.b@c.de, ip 10.0.0.1 card 4041894974608795"] * 3)
+    field.t += np.random.default_rng(0).normal(size=field.t.shape)
+    text = "to 212 555 0199 77 now"
     (before, pieces), = pii.runs(text)
-    lattice = field.lattice(text, before, pieces)
-    score, n = field.scores(lattice), len(pieces)
-    best = field.best(n, score)
-    total = lambda path: sum(score[i, j][y] for i, j, y in path)
-    cuts = [c for k in range(n) for c in itertools.combinations(range(1, n), k)]
-    for c in cuts:
-        ends = [0, *c, n]
-        assert total(best) >= sum(score[a, b].max() for a, b in zip(ends, ends[1:])) - 1e-9
-    spans = pii.find("ring (212) 555-0199 and token = \"0641917ea4e9feb9cda83477b57ac2654884f485\"", field)[1]
-    assert {k for _, _, k in spans} <= set(pii.TYPES)
+    lattice, n, kinds = field.lattice(text, before, pieces), len(pieces), len(pii.TYPES) + 1
+    cuts = [[0, *c, n] for k in range(n) for c in itertools.combinations(range(1, n), k)]
+    paths = [[(a, b, y) for a, b, y in zip(ends, ends[1:], ys)] for ends in cuts for ys in itertools.product(range(kinds), repeat=len(ends) - 1)]
+
+    def totals(some):
+        score = {k: field.score(*k, v) for k, v in lattice.items()}
+        return [sum(field.t[past, y] + score[i, j][y] for past, (i, j, y) in zip([kinds, *(p[2] for p in path)], path)) for path in some]
+
+    assert totals([[p[:3] for p in field.best(text, before, pieces)]])[0] == pytest.approx(max(totals(paths)))
+    gold = [(0, 3, 3), (3, 4, kinds - 1)]
+    like = lambda: totals([gold])[0] - np.logaddexp.reduce(totals(paths))
+    w, t = field.w.copy(), field.t.copy()
+    field.update(n, lattice, gold, 1.0)
+    dw, dt = field.w - w, field.t - t
+    field.w, field.t = w, t
+    most = lambda g: np.unravel_index(int(np.abs(g).argmax()), g.shape)
+    for grad, own, at in ((dt, t, most(dt)), (dw, w, most(dw)), (dt, t, (3, kinds - 1)), (dt, t, (kinds, 3))):
+        old = own[at]
+        own[at] = old + 1e-4
+        up = like()
+        own[at] = old - 1e-4
+        down = like()
+        own[at] = old
+        assert grad[at] == pytest.approx((up - down) / 2e-4, abs=1e-4)
+
+
+def test_semi_markov_reads_long_runs_and_finds_more_than_patterns(spark, mid):
+    field = pii.fit([r["text"] for r in docs(spark, mid).limit(300).collect()])
+    spans = lambda t: [(t[lo:hi], k) for lo, hi, k in pii.find(t, field)[1]]
+    for pad in (40, 4095, 4096, 9000):  # a long run of numbers before: the window of the program is carried on
+        assert ("(212) 555-0199", "phone") in spans(" ".join(["5"] * pad) + " (212) 555-0199 now")
+    assert ("212-555-0199", "phone") in spans("ring 212-555-0199 now")
+    assert spans("a plain text of 12 words in 2024, v1.2") == []
 
 
 def test_token_rollup_is_exact_and_idempotent(spark, tmp_path, small):
