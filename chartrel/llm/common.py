@@ -62,9 +62,12 @@ class Scratch:
     def result(self, df: DataFrame, name: str) -> DataFrame:
         """``df`` stored beside the run, and the run's folder deleted."""
         out = stored(df, name)
-        delete(self.spark, self.path)
+        self.clear()
         return out
 
+    def clear(self) -> None:
+        delete(self.spark, self.path)
+
 
 @contextmanager
 def arrow_rows(spark: SparkSession, n: int):

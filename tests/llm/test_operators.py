@@ -256,6 +256,16 @@ def test_kneser_ney_sums_to_one():
         assert np.allclose(p.sum(axis=0), 1, atol=2e-3)
 
 
+def test_language_models_from_spark_equal_those_of_counts(spark, mid):
+    rows = docs(spark, mid).filter("lang is not null").select("doc_id", "lang", "text").limit(60)
+    counts = {}
+    for r in rows.collect():
+        codes = "".join(map(chr, langid.letters(r["text"])))
+        counts.setdefault(r["lang"], Counter()).update(codes[i : i + langid.ORDER] for i in range(len(codes) - langid.ORDER + 1))
+    want, got = langid.build(counts), langid.train(spark.createDataFrame(rows.collect(), rows.schema))
+    assert want.langs == got.langs and all((a == b).all() for a, b in zip(want.keys, got.keys)) and all(np.allclose(a, b, atol=1e-5) for a, b in zip([*want.logp, *want.gamma], [*got.logp, *got.gamma]))
+
+
 def test_language_models_keep_every_gram(spark):
     rng = np.random.default_rng(4)
     texts = ["".join(map(chr, 0x4E00 + rng.integers(0, 60, 400))) for _ in range(800)]
