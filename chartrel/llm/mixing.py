@@ -31,6 +31,8 @@ from .common import WORD, Scratch, parts, stored
 #: What names a document: its id may repeat, rows equal in all of these are numbered by ``twin``.
 DOCUMENT = ["doc_id", "code", "size", "digest", "twin"]
 LAYOUT = "doc_id long, code int, size long, digest long, twin long, block int, words long, epoch int, shard long, place long"
+#: Sources whose table is broadcast; more are joined by a shuffle.
+BROADCAST_SOURCES = 100_000
 #: Words of a block, blocks of an output shard, blocks of a bucket of ranks, buckets whose totals are added up together (a power of two).
 BLOCK_WORDS, SHARD_BLOCKS, BUCKET_BLOCKS, GROUP = 128, 4096, 256, 1024
 
@@ -138,6 +140,12 @@ def _assigner(total: list[int], quotas: list[int], shards: int, seed: int):
     return assign
 
 
+def _small(spark, rows: list[tuple], schema: str) -> DataFrame:
+    """A table of one row per source, from the driver."""
+    df = spark.createDataFrame(rows, schema)
+    return F.broadcast(df) if len(rows) <= BROADCAST_SOURCES else df
+
+
 def _ranked(blocks: DataFrame, bits: DataFrame, seed: int, keep: Scratch) -> DataFrame:
     """``blocks`` (DOCUMENT, block, words, draw) with rank and ``upto``, the words up to the block's end, in its source's permutation."""
     top = F.shiftrightunsigned("draw", 1).cast("long")  # 63 bits, never negative: buckets are its leading ones, so they lie in order
@@ -169,15 +177,15 @@ def mix_sources(sizes: DataFrame, *, weights=(1, 2, 3), cap: float = 3.0, block_
     names = sorted(per, key=lambda s: (s is None, (s or "").encode("utf-32-be")))
     words, target = {s: per[s][0] for s in names}, targets({s: per[s][0] for s in names}, weights, cap)
     total = [per[s][1] for s in names]
-    by_source = spark.createDataFrame([(i, s, words[s], float(target[s])) for i, s in enumerate(names)], "code int, source string, source_size long, target double")
-    bits = spark.createDataFrame([(i, float(max(0, math.ceil(math.log2(max(1, n) / blocks_per_bucket))))) for i, n in enumerate(total)], "code int, bits double")
+    by_source = _small(spark, [(i, s, words[s], float(target[s])) for i, s in enumerate(names)], "code int, source string, source_size long, target double")
+    bits = _small(spark, [(i, float(max(0, math.ceil(math.log2(max(1, n) / blocks_per_bucket))))) for i, n in enumerate(total)], "code int, bits double")
     code = by_source.select("code", F.col("source").alias("_s"))
     held = stored(each.join(code, each.source.eqNullSafe(F.col("_s"))).select(*DOCUMENT), "mix-documents")
     blocks = held.filter("size > 0").select(*DOCUMENT, F.explode(F.sequence(F.lit(0), F.ceil(F.col("size") / block_words).cast("int") - 1)).alias("block"))
     blocks = blocks.select(*DOCUMENT, "block", F.least(F.lit(block_words), F.col("size") - F.col("block") * block_words).cast("long").alias("words"), F.xxhash64(F.lit(seed), *DOCUMENT, "block").alias("draw"))
     ranked = keep(_ranked(blocks, bits, seed, keep), "mix-ranks")
     rest = [target[s] - int(target[s] // w) * w if w else 0.0 for s, w in words.items()]
-    cuts = spark.createDataFrame([(i, float(r)) for i, r in enumerate(rest)], "code int, rest double")
+    cuts = _small(spark, [(i, float(r)) for i, r in enumerate(rest)], "code int, rest double")
     fronts = {r["code"]: r["n"] for r in ranked.join(cuts, "code").filter(F.col("upto") - F.col("words") / 2 <= F.col("rest")).groupBy("code").agg(F.count("*").alias("n")).collect()}
     quotas = [min(int(cap) * n, int(target[s] // words[s]) * n + (fronts.get(i, 0) if rest[i] > 0 else 0)) if words[s] else 0 for i, (s, n) in enumerate(zip(names, total))]
     shards = max(1, -(-sum(quotas) // blocks_per_shard))
