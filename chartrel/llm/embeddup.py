@@ -232,12 +232,16 @@ def _comparer(cosine: float, kind: str):
     return run
 
 
-def _dealt(inside: DataFrame, asking: DataFrame, keep: Scratch, name: str) -> DataFrame:
-    """Members and visitors of every cell, each cell in blocks of BLOCK members by 4 BLOCK visitors: columns m and v number them."""
+def _dealt(inside: DataFrame, asking: DataFrame, keep: Scratch, name: str, least: int = 1) -> DataFrame:
+    """Members and visitors of every cell, each cell in blocks of BLOCK members by 4 BLOCK visitors: columns m and v number them.
+
+    A cell of more than BLOCK / 16 is cut into ``least`` runs of both, as far as they go round, so that one crowd is not one task.
+    """
     salt = lambda n, k: F.pmod(F.xxhash64(F.lit(k), "rep"), F.col(n)).cast("int")
     each = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
-    members = inside.groupBy("cell").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("ms"))
-    visitors = asking.groupBy("cell").agg(F.ceil(F.count("*") / (4 * BLOCK)).cast("int").alias("vs"))
+    cut = lambda block: F.greatest(F.ceil(F.count("*") / block), F.least(F.lit(least), F.ceil(F.count("*") / (block // 16)))).cast("int")
+    members = inside.groupBy("cell").agg(cut(BLOCK).alias("ms"))
+    visitors = asking.groupBy("cell").agg(cut(4 * BLOCK).alias("vs"))
     crowd = keep(members.join(visitors, "cell"), f"{name}-cells")
     one = inside.join(crowd, "cell").withColumn("m", salt("ms", 1)).withColumn("v", each("vs")).drop("ms", "vs")
     two = asking.join(crowd, "cell").withColumn("v", salt("vs", 2)).withColumn("m", each("ms")).drop("ms", "vs")
@@ -261,7 +265,7 @@ def _linked(good: DataFrame, kind: str, cosine: float, recall: float, cell: int,
     whole = near.join(placed.select("rep", "home", "visits").hint("merge"), "rep").join(reps.select("rep", "copies", "raw").hint("merge"), "rep")
     whole = whole.withColumn("visits", F.when(F.col("role") == 0, F.col("visits")).otherwise(F.array().cast("array<int>")))
     whole = keep(whole, "near-vectors")
-    met = keep(_dealt(whole.filter("role = 0"), whole.filter("role = 1"), keep, "vector").groupBy("cell", "m", "v").applyInArrow(_comparer(cosine, kind), "rep long, links long, a long, b long"), "met-pairs")
+    met = keep(_dealt(whole.filter("role = 0"), whole.filter("role = 1"), keep, "vector", 4).groupBy("cell", "m", "v").applyInArrow(_comparer(cosine, kind), "rep long, links long, a long, b long"), "met-pairs")
     counts = met.filter("rep is not null").groupBy("rep").agg(F.sum("links").alias("links"))
     tree = components(met.filter("a is not null").select("a", "b"), keep)
     joined = reps.select("rep", "least", "copies", "same").join(tree.withColumnRenamed("node", "rep"), "rep", "left").join(counts, "rep", "left")
