@@ -107,10 +107,13 @@ def matches(docs: DataFrame, items: DataFrame, similarity: float = SIMILARITY) -
     small = (lambda df: F.broadcast(df)) if few else (lambda df: df)
     # One pass over the texts: every shingle, of every width that an item has, that some item has.
     texts = docs.filter("doc_id is not null and text is not null").select("doc_id", F.xxhash64("text").alias("copy"), words_of(F.col("text")).alias("_w"))
-    placed = lambda k: F.transform(shingles(F.col("_w"), k), lambda h, i: F.struct(F.lit(k).alias("width"), i.alias("pos"), h.alias("h")))
-    each = F.concat(*map(placed, widths))
-    here = texts.select("doc_id", "copy", F.size("_w").alias("n"), F.explode(each).alias("_s")).select("doc_id", "copy", "n", "_s.width", "_s.pos", "_s.h")
-    laid = here.join(small(grams.select("width", "h", "length", "at")), ["width", "h"])
+    here = texts.select("doc_id", "copy", F.size("_w").alias("n"), F.posexplode(F.concat(*(shingles(F.col("_w"), k) for k in widths))).alias("_p", "h"))
+    laid = here.join(small(grams.select("width", "h", "length", "at")), "h")
+    ahead, before = {}, F.lit(0)  # shingles of lesser widths stand before those of a width
+    for k in widths:
+        ahead[k], before = before, before + F.greatest(F.lit(0), F.col("n") - k + 1)
+    offset = F.coalesce(*(F.when(F.col("width") == k, ahead[k]) for k in widths))
+    laid = laid.withColumn("pos", F.col("_p") - offset).filter((F.col("pos") >= 0) & (F.col("pos") <= F.col("n") - F.col("width")))
     laid = laid.select("doc_id", "copy", "width", "length", F.greatest(F.lit(0), F.least(F.col("pos") - F.col("at"), F.col("n") - F.col("length"))).alias("start")).distinct()
     laid = keep(laid, "window-places")
     ids = laid.select("doc_id").distinct()
