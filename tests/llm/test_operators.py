@@ -480,8 +480,9 @@ def brute_leaks(rows, items, least=0.8):
     out = set()
     for i, t in rows:
         w = words(t)
+        own = {k: set(grams(w, k)) for k in {k for _, _, k, _ in bench}}
         for j, b, k, c in bench:
-            if not any(g in c for g in grams(w, k)):
+            if own[k].isdisjoint(c):
                 continue
             for a in range(max(1, len(w) - len(b) + 1)):
                 d = grams(w[a : a + len(b)], k)
