@@ -29,9 +29,28 @@ def saturate(px: DataFrame, threshold: int = SATURATION, background: str = "whit
     return h.select(*keep, *(F.when(on, c).otherwise(gone).cast("int").alias(n) for n, c in zip("rgb", (fr, fg, fb))))
 
 
+def cleaned_colours(px: DataFrame, threshold: int = SATURATION, background: int = 255) -> DataFrame:
+    """chart_id, r, g, b, w of every distinct colour of a chart, the cleaned colour cr, cg, cb and its h, s, v.
+
+    A colour is cleaned and measured once however many pixels have it; each step is a lookup on the step before, so the
+    generated code stays small.
+    """
+    of = px.groupBy("chart_id", "r", "g", "b").agg(F.count("*").alias("w"))
+    clean = saturate(of.select("chart_id", "w", F.col("r").alias("r0"), F.col("g").alias("g0"), F.col("b").alias("b0"), "r", "g", "b"), threshold, "white" if background == 255 else "black")
+    return clean.select("chart_id", F.col("r0").alias("r"), F.col("g0").alias("g"), F.col("b0").alias("b"), "w", F.col("r").alias("cr"), F.col("g").alias("cg"), F.col("b").alias("cb"))
+
+
+def masks_by_colour(px: DataFrame, of: DataFrame, boxes: DataFrame) -> DataFrame:
+    """``masks`` of raw pixels and their ``cleaned_colours``."""
+    c = with_hsv(of.select("chart_id", F.struct("r", "g", "b").alias("raw"), F.col("cr").alias("r"), F.col("cg").alias("g"), F.col("cb").alias("b")))
+    inside = F.col("h").between(F.col("hlo"), F.col("hhi")) & F.col("s").between(F.col("slo"), F.col("shi")) & F.col("v").between(F.col("vlo"), F.col("vhi"))
+    own = c.join(boxes, "chart_id").filter(inside).select("chart_id", "series_no", "raw.r", "raw.g", "raw.b").distinct()
+    return px.join(own, ["chart_id", "r", "g", "b"]).select("chart_id", "series_no", "px", "py")
+
+
 def histogram(px: DataFrame, pixels: int, background: tuple[int, int, int] = (255, 255, 255)) -> DataFrame:
-    """chart_id, r, g, b, w of sparse ink; pixels without ink count as background, so the weights of a chart sum to ``pixels``."""
-    got = px.groupBy("chart_id", "r", "g", "b").agg(F.count("*").alias("w"))
+    """chart_id, r, g, b, w of sparse ink (pixels, or colours with their number ``w``); pixels without ink count as background, so the weights of a chart sum to ``pixels``."""
+    got = px.groupBy("chart_id", "r", "g", "b").agg((F.sum("w") if "w" in px.columns else F.count("*")).alias("w"))
     rest = got.groupBy("chart_id").agg((F.lit(pixels) - F.sum("w")).alias("w")).select("chart_id", *(F.lit(c).alias(n) for c, n in zip(background, "rgb")), "w")
     return got.unionByName(rest).groupBy("chart_id", "r", "g", "b").agg(F.sum("w").cast("long").alias("w"))
 

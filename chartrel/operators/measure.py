@@ -124,3 +124,26 @@ def balanced(pred: DataFrame, truth: DataFrame) -> DataFrame:
 def delta(a: DataFrame, b: DataFrame) -> DataFrame:
     """metric, difference of two runs' values."""
     return a.select("metric", F.col("value").alias("a")).join(b.select("metric", F.col("value").alias("b")), "metric").select("metric", "a", "b", F.round(F.col("b") - F.col("a"), 6).alias("delta"))
+
+
+def axis_causes(pred: DataFrame, truth: DataFrame, max_edit: int = 5) -> DataFrame:
+    """axis, cause, n: how every axis label came out; frames: chart_id, x_label, y_label, an empty text where no facet was found."""
+    p = pred.select("chart_id", F.col("x_label").alias("px"), F.col("y_label").alias("py")).dropDuplicates(["chart_id"])
+    j = truth.select("chart_id", "x_label", "y_label").join(p, "chart_id", "left").fillna("", ["px", "py"])
+    row = lambda a, own, seen, other: F.struct(F.lit(a).alias("axis"), F.col(own).alias("label"), F.col(seen).alias("found"), F.col(other).alias("other"))
+    each = j.select(F.inline(F.array(row("x", "x_label", "px", "y_label"), row("y", "y_label", "py", "x_label"))))
+    near, swapped = label_within(F.col("found"), F.col("label"), max_edit), label_within(F.col("found"), F.col("other"), max_edit)
+    cause = F.when(F.col("found") == "", "facet_missed").when(F.col("found") == F.col("label"), "exact").when(swapped & ~near, "facets_swapped").when(near, "misread_within_limit").otherwise("misread")
+    return each.groupBy("axis", cause.alias("cause")).agg(F.count("*").alias("n"))
+
+
+def masks(found: DataFrame, centres: DataFrame, ink: DataFrame, colours: DataFrame, hue: int = 10) -> DataFrame:
+    """chart_id, series_no (true), precision, recall of the found masks whose colour is the series' colour."""
+    p = with_hsv(centres.select("chart_id", "series_no", "r", "g", "b")).select("chart_id", F.col("series_no").alias("found"), F.col("h").alias("ph"))
+    t = with_hsv(colours.select("chart_id", "series_no", "r", "g", "b")).select("chart_id", "series_no", "h")
+    gap = F.abs(F.col("h") - F.col("ph"))
+    own = t.join(p, "chart_id").filter(F.least(gap, 180 - gap) <= hue).select("chart_id", "series_no", "found")
+    got = own.join(found.withColumnRenamed("series_no", "found"), ["chart_id", "found"]).select("chart_id", "series_no", "px", "py", F.lit(1).alias("m"), F.lit(0).alias("t"))
+    both = got.unionByName(ink.select("chart_id", "series_no", "px", "py", F.lit(0).alias("m"), F.lit(1).alias("t"))).groupBy("chart_id", "series_no", "px", "py").agg(F.sum("m").alias("m"), F.max("t").alias("t"))
+    s = both.groupBy("chart_id", "series_no").agg(F.sum(F.col("m") * F.col("t")).alias("hit"), F.sum("m").alias("got"), F.sum("t").alias("want")).filter("want > 0")
+    return s.select("chart_id", "series_no", F.round(F.when(F.col("got") > 0, F.col("hit") / F.col("got")), 6).alias("precision"), F.round(F.col("hit") / F.col("want"), 6).alias("recall"))

@@ -82,22 +82,76 @@ def ink(points: DataFrame, colours: DataFrame, plot_type: str = "line") -> DataF
     return painted(MARKS[plot_type](numbered), colours)
 
 
+#: Gray of grid lines, their distance, and the columns of a dash and of the gap behind it.
+GRID, EVERY, DASH = 200, 15, 4
+
+
+def styled_marks(marks: DataFrame, dots: DataFrame | None = None) -> DataFrame:
+    """Marks (with a column ``style``) as their chart's style has them; ``dots`` are the squares of charts with markers."""
+    off = lambda c: F.explode(F.when(F.col("style") == "wide_line", F.array(*map(F.lit, (-1, 0, 1)))).otherwise(F.array(F.lit(0)))).alias(c)
+    out = marks.filter((F.col("style") != "dashed") | (F.col("px") % (2 * DASH) < DASH))
+    out = out.select("*", off("dx")).select("*", off("dy")).select("chart_id", "series_no", (F.col("px") + F.col("dx")).alias("px"), (F.col("py") + F.col("dy")).alias("py"))
+    return (out.unionByName(dots.filter("style = 'markers'").select("chart_id", "series_no", "px", "py")) if dots is not None else out).distinct()
+
+
+def grid(charts: DataFrame) -> DataFrame:
+    """Gray lines across the plot box of every chart: chart_id, px, py."""
+    x, y = F.sequence(F.lit(LEFT), F.lit(LEFT + IW - 1)), F.sequence(F.lit(TOP), F.lit(TOP + IH - 1))
+    cells = charts.select("chart_id", F.explode(x).alias("px")).select("chart_id", "px", F.explode(y).alias("py"))
+    return cells.filter(((F.col("px") - LEFT) % EVERY == 0) | ((F.col("py") - TOP) % EVERY == 0))
+
+
+def styled_ink(points: DataFrame, colours: DataFrame, styles: DataFrame) -> DataFrame:
+    """Ink of charts of all types and styles: chart_id, px, py, series_no (null on grid lines), r, g, b, dark.
+
+    styles: chart_id, plot_type, style. Dashes and markers are for lines, wide strokes for lines and scatters, grid and dark background for all.
+    """
+    numbered = points.join(colours.select("chart_id", "series_key", "series_no"), ["chart_id", "series_key"])
+    of = styles.select("chart_id", "plot_type", "style")
+    parts = []
+    for kind, make in MARKS.items():
+        mine = of.filter(F.col("plot_type") == kind).select("chart_id", "style")
+        marks = make(numbered.join(mine.select("chart_id"), "chart_id", "left_semi")).join(mine, "chart_id")
+        if kind == "line":
+            dots = scatter(numbered.join(mine.filter("style = 'markers'").select("chart_id"), "chart_id", "left_semi")).join(mine, "chart_id")
+            parts.append(styled_marks(marks, dots))
+        else:
+            parts.append(styled_marks(marks.withColumn("style", F.when((F.col("style") == "dashed") | ((F.col("style") == "wide_line") & (F.lit(kind) == "bar")), "plain").otherwise(F.col("style")))))
+    marks = parts[0].unionByName(parts[1]).unionByName(parts[2])
+    lines = grid(of.filter("style = 'grid'")).select("chart_id", F.lit(0).alias("series_no"), "px", "py")  # below every series
+    palette = colours.select("chart_id", "series_no", "r", "g", "b").unionByName(of.filter("style = 'grid'").select("chart_id", F.lit(0).alias("series_no"), *(F.lit(GRID).alias(n) for n in "rgb")))
+    px = painted(marks.unionByName(lines), palette).withColumn("series_no", F.nullif(F.col("series_no"), F.lit(0)))
+    return px.join(of.select("chart_id", (F.col("style") == "dark").alias("dark")), "chart_id")
+
+
 def degraded(px: DataFrame, speckle: int = 60, seed: int = 0) -> DataFrame:
     """Ink as lossy compression leaves it: each pixel may cast a pale gray speckle beside it (one in ``speckle``)."""
     key = F.concat_ws(",", "chart_id", "px", "py")
     u = draw(key, "speckle", seed)
-    spots = px.filter(u % speckle == 0).select("chart_id", (F.col("px") + u % 7 - 3).cast("int").alias("px"), (F.col("py") + (u % 11) - 5).cast("int").alias("py"), F.lit(None).cast("int").alias("series_no"), *(F.lit(c).alias(n) for c, n in zip((190, 184, 196), "rgb")))
+    more = ["dark"] if "dark" in px.columns else []
+    spots = px.filter(u % speckle == 0).select("chart_id", *more, (F.col("px") + u % 7 - 3).cast("int").alias("px"), (F.col("py") + (u % 11) - 5).cast("int").alias("py"), F.lit(None).cast("int").alias("series_no"), *(F.lit(c).alias(n) for c, n in zip((190, 184, 196), "rgb")))
     return px.unionByName(spots.join(px.select("chart_id", "px", "py"), ["chart_id", "px", "py"], "left_anti").dropDuplicates(["chart_id", "px", "py"]))
 
 
-def packed(px: DataFrame, background: tuple[int, int, int] = (255, 255, 255)) -> DataFrame:
-    """chart_id, width, height, channels, data: one image per chart; only one chart's ink meets in a task's memory."""
+def blurred(img: np.ndarray) -> np.ndarray:
+    """An image with soft edges: every pixel the mean of itself and its four neighbours."""
+    p = np.pad(img.astype(np.uint16), ((1, 1), (1, 1), (0, 0)), mode="edge")
+    return ((p[1:-1, 1:-1] + p[:-2, 1:-1] + p[2:, 1:-1] + p[1:-1, :-2] + p[1:-1, 2:]) // 5).astype(np.uint8)
+
+
+def packed(px: DataFrame, background: tuple[int, int, int] = (255, 255, 255), blur: bool = False) -> DataFrame:
+    """chart_id, width, height, channels, data: one image per chart; only one chart's ink meets in a task's memory.
+
+    A column ``dark`` sets a chart's background to black; ``blur`` softens all edges.
+    """
     def draw_one(key, table):
         img = np.empty((H, W, 3), np.uint8)
-        img[:] = background
+        img[:] = 0 if "dark" in table.column_names and table.column("dark")[0].as_py() else background
         x, y = table.column("px").to_numpy(), table.column("py").to_numpy()
         ok = (x >= 0) & (x < W) & (y >= 0) & (y < H)
         img[y[ok], x[ok]] = np.stack([table.column(n).to_numpy() for n in "rgb"], axis=1)[ok]
+        if blur:
+            img = blurred(img)
         return pa.table({"chart_id": pa.array([key[0].as_py()], pa.int64()), "width": pa.array([W], pa.int32()), "height": pa.array([H], pa.int32()), "channels": pa.array([3], pa.int32()), "data": pa.array([img.tobytes()], pa.binary())})
 
-    return px.select("chart_id", "px", "py", "r", "g", "b").groupBy("chart_id").applyInArrow(draw_one, "chart_id long, width int, height int, channels int, data binary")
+    return px.select("chart_id", "px", "py", "r", "g", "b", *(["dark"] if "dark" in px.columns else [])).groupBy("chart_id").applyInArrow(draw_one, "chart_id long, width int, height int, channels int, data binary")

@@ -71,13 +71,16 @@ def place(img: np.ndarray, ink: np.ndarray, x: int, y: int, colour=(0, 0, 0)) ->
     return x, y, x + ink.shape[1], y + ink.shape[0]
 
 
+PLACES = ("title_x", "x_label_x", "y_label_y", "legend_y")
+
+
 def annotated(images: DataFrame, labels: DataFrame, series: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Images with title, axis labels and legend drawn in, and the true boxes and texts of those facets.
 
-    labels: chart_id, title, x_label, y_label; series: chart_id, series_no, series_label, r, g, b.
+    labels: chart_id, title, x_label, y_label and, where their places vary, title_x, x_label_x, y_label_y, legend_y; series: chart_id, series_no, series_label, r, g, b.
     """
     legend = series.groupBy("chart_id").agg(F.sort_array(F.collect_list(F.struct("series_no", "series_label", "r", "g", "b"))).alias("legend"))
-    rows = images.select("chart_id", "width", "height", "channels", "data").join(labels.select("chart_id", "title", "x_label", "y_label"), "chart_id").join(legend, "chart_id")
+    rows = images.select("chart_id", "width", "height", "channels", "data").join(labels.select("chart_id", "title", "x_label", "y_label", *(c for c in PLACES if c in labels.columns)), "chart_id").join(legend, "chart_id")
     box = pa.struct([("kind", pa.string()), ("ordinal", pa.int32()), *((n, pa.int32()) for n in ("x0", "y0", "x1", "y1")), ("text", pa.string())])
     wide, high = W + 90, H + 24
 
@@ -90,11 +93,11 @@ def annotated(images: DataFrame, labels: DataFrame, series: DataFrame) -> tuple[
                 img[12 : 12 + r["height"], 12 : 12 + r["width"]] = old
                 found = []
                 add = lambda kind, no, text, ink, x, y: found.append(dict(zip(("kind", "ordinal", "x0", "y0", "x1", "y1", "text"), (kind, no, *place(img, ink, x, y), text))))  # noqa: B023, E731
-                add("title", 0, r["title"], drawn(r["title"]), 40, 2)
-                add("x_label", 0, r["x_label"], drawn(r["x_label"]), 50, high - 9)
-                add("y_label", 0, r["y_label"], np.rot90(drawn(r["y_label"])), 2, 26)
+                add("title", 0, r["title"], drawn(r["title"]), r.get("title_x", 40), 2)
+                add("x_label", 0, r["x_label"], drawn(r["x_label"]), r.get("x_label_x", 50), high - 9)
+                add("y_label", 0, r["y_label"], np.rot90(drawn(r["y_label"])), 2, r.get("y_label_y", 26))
                 for k, s in enumerate(r["legend"]):
-                    y = 20 + 11 * k
+                    y = r.get("legend_y", 20) + 11 * k
                     img[y + 1 : y + 6, W + 4 : W + 10] = (s["r"], s["g"], s["b"])
                     add("legend_text", k, s["series_label"], drawn(s["series_label"]), W + 13, y)
                 out.append({"chart_id": r["chart_id"], "width": wide, "height": high, "channels": 3, "data": img.tobytes(), "facets": found})

@@ -87,12 +87,50 @@ def slope(points: DataFrame) -> DataFrame:
     return s.withColumn("label", F.coalesce(_sign(exact), _sign(lead)))
 
 
+def pearson(points: DataFrame, cut: tuple[int, int] = (2, 5)) -> DataFrame:
+    """Trichotomy of the product-moment correlation: exact sums about the least x and y, compared in doubles."""
+    w = Window.partitionBy(*SERIES)
+    p = points.withColumn("u", (F.col("x") - F.min("x").over(w)).cast("decimal(19,0)")).withColumn("v", (F.col("y") - F.min("y").over(w)).cast("decimal(18,0)"))
+    m = lambda a, b: F.sum((F.col(a) * F.col(b)).cast("decimal(30,0)"))
+    s = p.groupBy(*SERIES).agg(F.count("*").cast("double").alias("n"), *(F.sum(c).cast("double").alias(f"s{c}") for c in "uv"), *(m(a, b).cast("double").alias(a + b) for a, b in ("uv", "uu", "vv")))
+    num = F.col("n") * F.col("uv") - F.col("su") * F.col("sv")
+    vx, vy = F.col("n") * F.col("uu") - F.col("su") * F.col("su"), F.col("n") * F.col("vv") - F.col("sv") * F.col("sv")
+    beyond = F.lit(float(cut[1] ** 2)) * num * num > F.lit(float(cut[0] ** 2)) * vx * vy
+    return s.withColumn("label", F.when((F.col("n") < 2) | (vx <= 0), NONE).when(vy <= 0, FLAT).when(beyond, _sign(num)).otherwise(FLAT))
+
+
+def concordance(x, y) -> int:
+    """Concordant less discordant pairs of one series; pairs equal in x count nothing. Ranks are counted level by level of a merge, n log n."""
+    import numpy as np
+
+    def below(v: np.ndarray, strict: bool) -> int:  # pairs i < j with v[i] < v[j] (or <=), by doubling runs that are sorted already
+        total, n, size = 0, len(v), 1
+        v = v.copy()
+        while size < n:
+            for lo in range(0, n, 2 * size):
+                left, right = v[lo : lo + size], v[lo + size : lo + 2 * size]
+                total += int(np.searchsorted(left, right, side="left" if strict else "right").sum())
+                v[lo : lo + 2 * size] = np.sort(v[lo : lo + 2 * size], kind="stable")
+            size *= 2
+        return total
+
+    order = np.lexsort((-y, x))  # equal x with falling y: never counted as rising
+    up = below(y[order], True)
+    order = np.lexsort((y, x))
+    down = below(-y[order], True)
+    return up - down
+
+
 def kendall(points: DataFrame) -> DataFrame:
-    """Sign of concordant less discordant pairs of each series."""
-    p = points.select(*SERIES, "x", "y")
-    q = p.select(*SERIES, F.col("x").alias("x2"), F.col("y").alias("y2"))
-    pairs = p.join(q, list(SERIES)).filter("x < x2").groupBy(*SERIES).agg(F.sum(F.signum((F.col("y2") - F.col("y")).cast("double")).cast("long")).alias("s"))
-    return points.select(*SERIES).distinct().join(pairs, list(SERIES), "left").withColumn("label", _sign(F.coalesce("s", F.lit(0))))
+    """Sign of concordant less discordant pairs of each series, one series at a time in n log n."""
+    import pyarrow as pa
+
+    def one(key, table):
+        s = concordance(table.column("x").to_numpy(), table.column("y").to_numpy())
+        return pa.table({"chart_id": [key[0].as_py()], "series_key": [key[1].as_py()], "s": [s]}, schema=pa.schema([("chart_id", pa.int64()), ("series_key", pa.string()), ("s", pa.int64())]))
+
+    got = points.select(F.col("chart_id").cast("long").alias("chart_id"), "series_key", F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y"))
+    return got.groupBy(*SERIES).applyInArrow(one, "chart_id long, series_key string, s long").withColumn("label", _sign(F.col("s")))
 
 
 def monotone(points: DataFrame) -> DataFrame:
@@ -106,6 +144,7 @@ def monotone(points: DataFrame) -> DataFrame:
 register("corr3", lambda p: relations(p).withColumnRenamed("relation", "label"))
 register("slope", slope)
 register("kendall", kendall)
+register("pearson", pearson)
 register("monotone", monotone)
 
 

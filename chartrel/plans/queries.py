@@ -7,7 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.color import with_hsv
+from ..functions.color import full_hue, with_hsv
+from ..functions.draws import draw, pick
 from ..operators import baseline, cluster, legend, measure, raster, synth, text, truth
 from ..sources.families import FAMILIES, POINTS_SQL, trend
 from ..sources.tables import page_titles, table
@@ -74,6 +75,11 @@ def theta_monotone(spark, d):
     return truth.apply(FAMILIES["nation"](spark, d), ("monotone",))
 
 
+@query(S.theta("pearson"))
+def theta_pearson(spark, d):
+    return truth.apply(FAMILIES["nation"](spark, d), ("pearson",))
+
+
 @query(S.STYLES_)
 def style_assign(spark, d):
     return synth.styles(table(spark, d, "supplier").select(F.col("s_suppkey").alias("chart_id")), pool="diverse")
@@ -110,6 +116,62 @@ def raster_bar(spark, d):
     return _ink(spark, d, "bar")
 
 
+def _one_style(spark, d, style, plot_type="line"):
+    """Ink of all supplier charts in one type and style."""
+    points = FAMILIES["supplier"](spark, d)
+    made = points.select("chart_id").distinct().select("chart_id", F.lit(plot_type).alias("plot_type"), F.lit(style).alias("style"))
+    return raster.styled_ink(points, synth.coloured(points), made)
+
+
+def _style(name: str) -> None:
+    def run(spark, d):
+        return _one_style(spark, d, name)
+
+    run.__name__ = f"raster_style_{name}"
+    query(S.styled("line", name))(run)
+
+
+for _name in ("grid", "dark", "wide_line", "dashed", "markers"):
+    _style(_name)
+
+
+@query(S.mixed())
+def raster_mixed(spark, d):
+    """Every chart in the type and style that it draws: ink, its gray part and its places per chart."""
+    points = FAMILIES["supplier"](spark, d)
+    styles = synth.styles(points, pool="diverse")
+    px = raster.styled_ink(points, synth.coloured(points), styles)
+    got = px.groupBy("chart_id", "dark").agg(F.count("*").alias("ink"), F.sum(F.col("series_no").isNull().cast("long")).alias("gray"), F.sum("px").alias("sx"), F.sum("py").alias("sy"), F.count_distinct("r", "g", "b").alias("colours"))
+    return got.join(styles.select("chart_id", "plot_type", "style"), "chart_id")
+
+
+@query(S.OVERDRAWN)
+def raster_overdraw(spark, d):
+    """Per series: its line's pixels, and those that a series above it hides."""
+    points = FAMILIES["supplier"](spark, d)
+    numbered = points.join(synth.coloured(points).select("chart_id", "series_key", "series_no"), ["chart_id", "series_key"])
+    per = raster.line(numbered).groupBy("chart_id", "px", "py").agg(F.collect_list("series_no").alias("of"), F.max("series_no").alias("top"))  # the series of one chart at most
+    return per.select("chart_id", "top", F.explode("of").alias("series_no")).groupBy("chart_id", "series_no").agg(F.count("*").alias("drawn"), F.sum((F.col("top") > F.col("series_no")).cast("long")).alias("hidden"))
+
+
+@query(S.LABELS)
+def random_labels(spark, d):
+    keys = FAMILIES["customer_status"](spark, d).select("chart_id", "series_key").distinct()
+    return keys.select("chart_id", "series_key", _legend_label().alias("label"))
+
+
+def _legend_label():
+    return synth.random_label(F.concat_ws("|", "chart_id", "series_key"), "legend", 3, 9)
+
+
+@query(S.FACETS)
+def facet_truth_boxes(spark, d):
+    """Boxes and texts of title, axis labels and legend where each chart's style places them, as drawn."""
+    points = FAMILIES["supplier"](spark, d)
+    series = synth.coloured(points).withColumn("series_label", _legend_label())
+    return text.annotated(raster.packed(_ink(spark, d, "line")), synth.styles(points), series)[1]
+
+
 @query(S.SPECKLE)
 def noise_speckle(spark, d):
     return raster.degraded(_ink(spark, d, "scatter")).select("chart_id", "px", "py", "r", "g", "b")
@@ -157,6 +219,13 @@ def range_literal_ablation(spark, d):
     return cluster.ranges(_range_colours(spark, d), bounds="literal")
 
 
+@query(S.WRAPPED)
+def hsv_ranges_wrap(spark, d):
+    """Ranges of the hues about red, where they wrap around."""
+    h = spark.range(0, 180).filter("id < 15 or id > 165").select(F.col("id").alias("chart_id"), F.col("id").cast("int").alias("h"))
+    return cluster.ranges(h.select("chart_id", F.lit(1).alias("series_no"), *(c.alias(n) for n, c in zip("rgb", full_hue(F.col("h"))))))
+
+
 @query(S.ranges(s=10))
 def range_narrow_saturation(spark, d):
     return cluster.ranges(_range_colours(spark, d), (10, 10, 40))
@@ -180,12 +249,9 @@ def k_select_rules(spark, d):
     out = None
     for family in ("supplier", "nation", "customer_status"):
         points = FAMILIES[family](spark, d)
-        colours = synth.coloured(points)
-        px = raster.ink(points, colours, "line")
-        hist = cluster.histogram(px, raster.W * raster.H)
-        want = px.groupBy("chart_id").agg((F.count_distinct("r", "g", "b") + 1).alias("truth"))
-        got = cluster.select_k(hist, ("corrected", "knee", "repeat")).join(want, "chart_id")
-        row = got.agg(F.count("*").alias("charts"), *(F.round(F.avg((F.col(f"k_{r}") == F.col("truth")).cast("double")), 6).alias(r) for r in ("knee", "corrected", "repeat"))).withColumn("family", F.lit(family))
+        got = cluster.select_k(cluster.histogram(raster.ink(points, synth.coloured(points), "line"), raster.W * raster.H), ("corrected", "knee", "repeat"))
+        # Colours that are seen, the background among them, are what a histogram of clean lines holds.
+        row = got.agg(F.count("*").alias("charts"), *(F.round(F.avg((F.col(f"k_{r}") == F.col("colours")).cast("double")), 6).alias(r) for r in ("knee", "corrected", "repeat"))).withColumn("family", F.lit(family))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -197,10 +263,12 @@ def background_drop(spark, d):
 
 
 def _masks(spark, d, plot_type="line", family="supplier"):
-    px = cluster.saturate(_ink(spark, d, plot_type, family))
-    hist = cluster.histogram(px, raster.W * raster.H)
+    """Series found by colour and their masks. Colours are cleaned and measured once each per chart; pixels join the result by colour."""
+    px = _ink(spark, d, plot_type, family).select("chart_id", "px", "py", "r", "g", "b")
+    of = cluster.cleaned_colours(px)
+    hist = cluster.histogram(of.select("chart_id", F.col("cr").alias("r"), F.col("cg").alias("g"), F.col("cb").alias("b"), "w"), raster.W * raster.H)
     found = cluster._foreground(cluster.exact_clusters(hist).select("chart_id", "cid", *(F.col(c).cast("double").alias(c) for c in "rgb"), "w"))
-    return found, cluster.masks(px, cluster.ranges(found))
+    return found, cluster.masks_by_colour(px, of, cluster.ranges(found))
 
 
 @query(S.MASKS)
@@ -283,8 +351,13 @@ def _named(pred, true):
 def edit_tolerance(spark, d):
     """Part names against their confused readings: share within two and within five edits."""
     n = table(spark, d, "part", "p_name").distinct().select("p_name", text.confuse(F.col("p_name"), 2).alias("seen"))
-    pairs = n.select("p_name").crossJoin(F.broadcast(n.select("seen").distinct()))  # 64 names by design of the table
-    return pairs.agg(F.count("*").alias("n"), *(F.sum(measure.label_within(F.col("p_name"), F.col("seen"), k).cast("long")).alias(f"within_{k}") for k in (2, 5)))
+    # Lengths of names within reach differ by the limit at most: an equality join on length bands, however many names there are.
+    seen = n.select("seen").distinct()
+    band = lambda c: F.call_function("div", F.length(c).cast("long"), F.lit(6).cast("long"))
+    left = n.select("p_name", F.explode(F.array(band("p_name") - 1, band("p_name"), band("p_name") + 1)).alias("band"))
+    near = left.join(seen.withColumn("band", band("seen")), "band").agg(*(F.sum(measure.label_within(F.col("p_name"), F.col("seen"), k).cast("long")).alias(f"within_{k}") for k in (2, 5)))
+    many = n.agg(F.count("*").alias("a"), F.count_distinct("seen").alias("b")).select((F.col("a") * F.col("b")).alias("n"))
+    return many.join(near)  # one row each
 
 
 @query(S.AXIS)
@@ -350,15 +423,23 @@ def majority_guess(spark, d):
 
 @query(S.FILTERED)
 def corpus_filter(spark, d):
-    """Charts of up to three series, all of them at least 60 % of the chart's height tall, with defined relations."""
+    """Line charts of up to three series, each at least 60 % of the chart's height tall, of colours farther apart than the ranges are wide."""
     return eligible(FAMILIES["supplier"](spark, d))
 
 
-def eligible(points: DataFrame, most: int = 3, tenths: int = 6) -> DataFrame:
-    """chart_id of charts that pass the corpus filter."""
+def eligible(points: DataFrame, most: int = 3, tenths: int = 6, palette: str = "drawn") -> DataFrame:
+    """chart_id of charts that pass the corpus filter: type, number and height of series, distance of their colours."""
     per = points.groupBy("chart_id", "series_key").agg(F.min("y").alias("lo"), F.max("y").alias("hi"))
     chart = per.groupBy("chart_id").agg(F.count("*").alias("k"), F.min(F.col("hi") - F.col("lo")).alias("least"), (F.max("hi") - F.min("lo")).alias("span"))
-    return chart.filter((F.col("k") <= most) & (F.col("span") > 0) & (10 * F.col("least") >= tenths * F.col("span"))).select("chart_id")
+    lines = pick(F.col("chart_id"), "type", list(synth.TYPES)) == "line"  # plain and dotted lines are one type in several styles
+    tall = chart.filter(lines & (F.col("k") <= most) & (F.col("span") > 0) & (10 * F.col("least") >= tenths * F.col("span"))).select("chart_id")
+    c = with_hsv(synth.coloured(points.join(tall, "chart_id", "left_semi"), palette)).select("chart_id", "series_no", "h", "s", "v")
+    o = c.toDF("chart_id", "no", "h2", "s2", "v2")  # ``most`` series of a chart at most meet
+    gap = F.abs(F.col("h") - F.col("h2"))
+    dh, ds, dv = cluster.WIDTHS
+    near = (F.least(gap, 180 - gap) <= dh) & (F.abs(F.col("s") - F.col("s2")) <= ds) & (F.abs(F.col("v") - F.col("v2")) <= dv)
+    close = c.join(o, "chart_id").filter((F.col("series_no") < F.col("no")) & near).select("chart_id")
+    return tall.join(close, "chart_id", "left_anti")
 
 
 @query(S.SPLIT)
@@ -369,13 +450,87 @@ def train_test_split(spark, d):
     return first.withColumn("n", F.row_number().over(Window.orderBy("chart_id"))).select("chart_id", F.when(F.col("n") <= 100, "transfer_test").when(F.col("n") <= 200, "control_train").otherwise("control_test").alias("role"))
 
 
+@query(S.DISJOINT)
+def train_test_disjoint(spark, d):
+    """Sizes of the split's parts and the number of charts in more than one."""
+    return train_test_split(spark, d).agg(
+        F.count("*").alias("n"), F.count_distinct("chart_id").alias("charts"), (F.count("*") - F.count_distinct("chart_id")).alias("shared"),
+        *(F.sum((F.col("role") == r).cast("long")).alias(r) for r in ("transfer_test", "control_train", "control_test")))
+
+
 @query(S.HARDNESS)
 def hardness_label(spark, d):
-    """Why a chart is hard: more than three series, a series near the cut, or a large overlap of marks."""
+    """Why a chart is hard: more than three series, a series near the cut, or over 30 % of its ink shared."""
     points = FAMILIES["user"](spark, d)
     near = measure.boundary(truth.spearman(points)).groupBy("chart_id").agg(F.count("*").alias("near"))
     many = points.groupBy("chart_id").agg(F.count_distinct("series_key").alias("series"))
-    return many.join(near, "chart_id", "left").select("chart_id", "series", F.coalesce("near", F.lit(0)).alias("near"), ((F.col("series") > 3) | F.col("near").isNotNull()).alias("hard"))
+    numbered = points.join(synth.coloured(points, "wide").select("chart_id", "series_key", "series_no"), ["chart_id", "series_key"])
+    per = raster.line(numbered).groupBy("chart_id", "px", "py").agg(F.count("*").alias("k")).groupBy("chart_id").agg(F.count("*").alias("pixels"), F.sum((F.col("k") > 1).cast("long")).alias("twice"))
+    hard = (F.col("series") > 3) | F.col("near").isNotNull() | (10 * F.col("twice") > 3 * F.col("pixels"))
+    return many.join(near, "chart_id", "left").join(per, "chart_id").select("chart_id", "series", F.coalesce("near", F.lit(0)).alias("near"), F.round(F.col("twice") / F.col("pixels"), 6).alias("shared"), hard.alias("hard"))
+
+
+def _labelled(spark, d):
+    """Programmed relations under the legend labels that a confusing reader sees, and the truth with its labels."""
+    pred, true, _ = _predicted(spark, d)
+    true = true.withColumn("series_label", _legend_label())
+    seen = true.select("chart_id", "series_key", "series_no", text.confuse(F.col("series_label"), 2).alias("series_label"))
+    return _named(pred, true).join(seen, ["chart_id", "series_key"]).select("chart_id", "series_no", "series_label", "relation"), true
+
+
+@query(S.SERIES_ACCURACY)
+def series_accuracy(spark, d):
+    """Share of a chart's series whose label is read within two edits and whose relation is right."""
+    return measure.series(*_labelled(spark, d))
+
+
+@query(S.TOTAL_ACCURACY)
+def total_accuracy(spark, d):
+    """Mean of axis and series accuracy."""
+    t = _axis_truth(spark, d)
+    pred = t.select("chart_id", text.confuse(F.col("x_label"), 3, 1).alias("x_label"), text.confuse(F.col("y_label"), 3, 2).alias("y_label"))
+    return measure.total(measure.axis(pred, t, 5), measure.series(*_labelled(spark, d)))
+
+
+@query(S.DELTA)
+def accuracy_delta(spark, d):
+    """What leaving out series near the cut adds to the colour-based accuracy."""
+    pred, true, points = _predicted(spark, d)
+    clear = measure.without_boundary(true, truth.spearman(points), "series")
+    return measure.delta(measure.series_no_ocr(pred, true), measure.series_no_ocr(pred, clear))
+
+
+@query(S.CAUSES)
+def failure_causes(spark, d):
+    """Why axis labels fail: a facet not found, the other facet's text, a misreading; some of each are planted."""
+    t = _axis_truth(spark, d)
+    miss = lambda own, other: F.when(F.col("chart_id") % 7 == 0, "").when(F.col("chart_id") % 11 == 0, F.col(other)).otherwise(own)
+    pred = t.select("chart_id", miss(text.confuse(F.col("x_label"), 3, 1), "y_label").alias("x_label"), miss(text.confuse(F.col("y_label"), 3, 2), "x_label").alias("y_label"))
+    return measure.axis_causes(pred, t)
+
+
+@query(S.MASK_QUALITY)
+def mask_quality(spark, d):
+    """Precision and recall of every series' mask against the ink that the renderer left visible."""
+    found, m = _masks(spark, d)
+    points = FAMILIES["supplier"](spark, d)
+    return measure.masks(m, found, _ink(spark, d, "line"), synth.coloured(points))
+
+
+@query(S.legend_accuracy())
+def legend_accuracy(spark, d):
+    """Share of legend texts that come to their own series, by anchor."""
+    rows = [_legend(spark, d, a).agg(F.count("*").alias("n"), F.round(F.avg((F.col("ordinal") == F.col("series_no")).cast("double")), 6).alias("value")).withColumn("anchor", F.lit(a)) for a in ("median", "nearest")]
+    return rows[0].unionByName(rows[1])
+
+
+@query(S.text_only())
+def text_only_baseline(spark, d):
+    """Relations guessed from the legend's text alone: the commonest one of training series whose label begins alike."""
+    rel = truth.relations(FAMILIES["customer_status"](spark, d)).filter("relation <> 'undefined'")
+    rel = rel.select("chart_id", "series_key", "relation", F.lower(F.substring(_legend_label(), 1, 1)).alias("token"), (draw(F.col("chart_id"), "half") % 2).alias("half"))
+    test = rel.filter("half = 1")
+    return baseline.text_only(rel.filter("half = 0"), test).agg(F.count("*").alias("n"), F.round(F.avg((F.col("relation") == F.col("guess")).cast("double")), 6).alias("value"))
 
 
 @query(S.PROPS)

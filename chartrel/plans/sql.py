@@ -8,6 +8,7 @@ from ..operators.synth import RGB3, STYLES, TYPES, WIDE
 from ..operators.truth import relations_sql
 from ..sources.families import POINTS_SQL
 
+_KEY = "concat_ws('|', chart_id, series_key)"
 SUP = POINTS_SQL["supplier"]
 CUST3 = POINTS_SQL["customer_status"]
 
@@ -25,6 +26,12 @@ def placed(points: str, pool=RGB3) -> str:
             from ({points}) p join ({colours(points, pool)}) c using (chart_id, series_key))"""
 
 
+def drawn_colours(points: str) -> str:
+    """Colours that each series draws from the wide pool."""
+    at = f"[{', '.join('[' + ', '.join(map(str, c)) + ']' for c in WIDE)}][({draw_sql(_KEY, 'colour')} % {len(WIDE)}) + 1]"
+    return f"select chart_id, series_key, series_no, {at}[1] as r, {at}[2] as g, {at}[3] as b from ({colours(points)})"
+
+
 def marks(kind: str, points: str = SUP, pool=RGB3) -> str:
     base = placed(points, pool)
     if kind == "scatter":
@@ -156,6 +163,11 @@ def theta_label(kind: str, points: str) -> str:
     if kind == "kendall":
         pairs = f"select a.chart_id, a.series_key, sum(sign(b.y - a.y)) as s from ({points}) a join ({points}) b on a.chart_id = b.chart_id and a.series_key = b.series_key and a.x < b.x group by 1, 2"
         return f"select chart_id, series_key, {sign('coalesce(s, 0)')} as label from (select distinct chart_id, series_key from ({points})) left join ({pairs}) using (chart_id, series_key)"
+    if kind == "pearson":
+        s = f"""select chart_id, series_key, count(*)::double as n, sum(u)::double as su, sum(v)::double as sv, sum(u * v)::double as uv, sum(u * u)::double as uu, sum(v * v)::double as vv
+          from (select chart_id, series_key, (x - min(x) over w)::hugeint as u, (y - min(y) over w)::hugeint as v from ({points}) window w as (partition by chart_id, series_key)) group by 1, 2"""
+        t = f"select *, n * uv - su * sv as num, n * uu - su * su as vx, n * vv - sv * sv as vy from ({s})"
+        return f"select chart_id, series_key, case when n < 2 or vx <= 0 then 'undefined' when vy <= 0 then 'neutral' when 25.0::double * num * num > 4.0::double * vx * vy then {sign('num')} else 'neutral' end as label from ({t})"
     return f"select chart_id, series_key, case when min(d) > 0 then 'increasing' when max(d) < 0 then 'decreasing' else 'neutral' end as label from (select chart_id, series_key, y - lag(y) over (partition by chart_id, series_key order by x, y) as d from ({points})) group by 1, 2"
 
 
@@ -176,7 +188,8 @@ def style_columns(key: str, diverse: bool = True) -> str:
     pick = lambda attr, pool: f"{list(pool)}[({draw_sql(key, attr)} % {len(pool)}) + 1]"
     return f"""{key} as chart_id, {pick('type', TYPES)} as plot_type, {pick('style', STYLES) if diverse else "'plain'"} as style,
       {label_sql(key, 'title', 6)} as title, {label_sql(key, 'x_label')} as x_label, {label_sql(key, 'y_label')} as y_label,
-      ({draw_sql(key, 'legend_x')} % 40 + 100)::int as legend_x, ({draw_sql(key, 'legend_y')} % 10 + 1)::int as legend_y"""
+      ({draw_sql(key, 'title_x')} % 60 + 20)::int as title_x, ({draw_sql(key, 'x_label_x')} % 60 + 30)::int as x_label_x,
+      ({draw_sql(key, 'y_label_y')} % 40 + 14)::int as y_label_y, ({draw_sql(key, 'legend_y')} % 24 + 14)::int as legend_y"""
 
 
 EMBEDDING_COLOURS = "select vec_id, label, greatest(0, least(255, floor((embedding[1]::double + 0.5) * 255)))::int as r, greatest(0, least(255, floor((embedding[2]::double + 0.5) * 255)))::int as g, greatest(0, least(255, floor((embedding[3]::double + 0.5) * 255)))::int as b from embeddings"
@@ -185,7 +198,6 @@ SPEARMAN_PLAIN = f"""select chart_id, series_key, count(*) as n, case when count
   select chart_id, series_key, (row_number() over (partition by chart_id, series_key order by x, y) - row_number() over (partition by chart_id, series_key order by y, x))::bigint as d from ({CUST3})) group by 1, 2"""
 STYLES_ = f"select {style_columns('s_suppkey')} from supplier"
 COLOURS = colours(CUST3)
-_KEY = "concat_ws('|', chart_id, series_key)"
 TREND = f"""select chart_id, series_key, max(slope)::int as slope, sum(y + slope * floor(span * 2 * i / n)::bigint)::bigint as total, count(*) as n from (
   select *, ({draw_sql(_KEY, 'slope')} % 3 - 1) as slope, max(y) over w - min(y) over w + 1 as span, count(*) over w as n, row_number() over (partition by chart_id, series_key order by x, y) as i from ({SUP}) window w as (partition by chart_id, series_key)) group by 1, 2"""
 SPECKLE = degraded(painted("scatter"))
@@ -244,14 +256,22 @@ MAJORITY = f"""with t as (select relation, count(*) as n from ({relations_sql(CU
 
 
 def eligible(points: str) -> str:
-    return f"""select chart_id from (select chart_id, count(*) as k, min(hi - lo) as least, max(hi) - min(lo) as span from (
+    """Line charts of up to three series, each at least 60 % of the height tall, of colours farther apart than the ranges are wide."""
+    tall = f"""select chart_id from (select chart_id, count(*) as k, min(hi - lo) as least, max(hi) - min(lo) as span from (
       select chart_id, series_key, min(y) as lo, max(y) as hi from ({points}) group by 1, 2) group by 1) where k <= 3 and span > 0 and 10 * least >= 6 * span"""
+    c = hsv(drawn_colours(points), "chart_id, series_no")
+    close = f"""select a.chart_id from ({c}) a join ({c}) b on a.chart_id = b.chart_id and a.series_no < b.series_no
+      where least(abs(a.h - b.h), 180 - abs(a.h - b.h)) <= 10 and abs(a.s - b.s) <= 25 and abs(a.v - b.v) <= 40"""
+    kind = f"{list(TYPES)}[({draw_sql('chart_id', 'type')} % {len(TYPES)}) + 1]"
+    return f"select chart_id from ({tall}) t anti join ({close}) c using (chart_id) where {kind} = 'line'"
 
 
 FILTERED = eligible(SUP)
 SPLIT = f"select chart_id, case when n <= 100 then 'transfer_test' when n <= 200 then 'control_train' else 'control_test' end as role from (select chart_id, row_number() over (order by chart_id) as n from ({eligible(CUST3)})) where n <= 300"
-HARDNESS = f"""select m.chart_id, m.series, coalesce(n.near, 0) as near, (m.series > 3 or n.near is not null) as hard from
-  (select chart_id, count(distinct series_key) as series from ({POINTS_SQL['user']}) group by 1) m left join (select chart_id, count(*) as near from ({near_cut(POINTS_SQL['user'])}) group by 1) n using (chart_id)"""
+_USER = POINTS_SQL["user"]
+HARDNESS = f"""select m.chart_id, m.series, coalesce(n.near, 0) as near, round(o.shared, 6) as shared, (m.series > 3 or n.near is not null or 10 * o.many > 3 * o.pixels) as hard from
+  (select chart_id, count(distinct series_key) as series from ({_USER}) group by 1) m left join (select chart_id, count(*) as near from ({near_cut(_USER)}) group by 1) n using (chart_id)
+  join (select chart_id, count(*) as pixels, count(*) filter (k > 1) as many, count(*) filter (k > 1) / count(*) as shared from (select chart_id, px, py, count(*) as k from ({marks('line', _USER, WIDE)}) group by 1, 2, 3) group by 1) o using (chart_id)"""
 PROPS = "select event_type, count(json_extract_string(props, '$.k')) as n, sum(json_extract_string(props, '$.k')::bigint)::bigint as total from events group by 1"
 TITLES = "select page_id, trim(regexp_extract(html, '(?is)<title[^>]*>(.*?)</title>', 1)) as title from pages"
 SESSIONS = """select user_id, count(*) as sessions, max(n) as longest from (select user_id, s, count(*) as n from (
@@ -263,3 +283,95 @@ SETS = f"""with a as materialized ({eligible(CUST3)}), b as materialized ({_B})
   select 'both' as part, count(*) as n, coalesce(sum(chart_id), 0)::bigint as total from (select * from a intersect select * from b)
   union all select 'first_only', count(*), coalesce(sum(chart_id), 0)::bigint from (select * from a except select * from b)
   union all select 'either', count(*), coalesce(sum(chart_id), 0)::bigint from (select * from a union select * from b)"""
+DISJOINT = f"""with s as materialized ({SPLIT}) select count(*) as n, count(distinct chart_id) as charts, (count(*) - count(distinct chart_id))::bigint as shared,
+  count(*) filter (role = 'transfer_test') as transfer_test, count(*) filter (role = 'control_train') as control_train, count(*) filter (role = 'control_test') as control_test from s"""
+LABELS = f"select chart_id, series_key, {label_sql(_KEY, 'legend', 3, 9)} as label from (select distinct chart_id, series_key from ({CUST3}))"
+OVERDRAWN = f"""with m as materialized ({marks('line')}), top as (select chart_id, px, py, max(series_no) as t from m group by 1, 2, 3)
+  select chart_id, series_no, count(*) as drawn, count(*) filter (t > series_no) as hidden from m join top using (chart_id, px, py) group by 1, 2"""
+_UP = "((h % 30) * 255 + 15) // 30"
+_HUES = f"""select h as chart_id, 1 as series_no, [255, 255 - {_UP}, 0, 0, {_UP}, 255][h // 30 + 1] as r, [{_UP}, 255, 255, 255 - {_UP}, 0, 0][h // 30 + 1] as g, [0, 0, {_UP}, 255, 255, 255 - {_UP}][h // 30 + 1] as b
+  from (select range as h from range(0, 180)) where h < 15 or h > 165"""
+WRAPPED = ranges(of=_HUES)
+_BOX = "least({n}, 6 * len({t}) - 1)"
+
+
+def _facets() -> str:
+    st = f"select {style_columns('s_suppkey')} from supplier"
+    box = lambda n, t: _BOX.format(n=n, t=t)
+    row = lambda kind, text, x, y, w, h: f"select chart_id, '{kind}' as kind, 0 as ordinal, ({x})::int as x0, ({y})::int as y0, ({x} + {w})::int as x1, ({y} + {h})::int as y1, {text} as text from st where chart_id in (select chart_id from ({SUP}))"
+    legend = f"""select chart_id, 'legend_text' as kind, (series_no - 1)::int as ordinal, 173 as x0, (legend_y + 11 * (series_no - 1))::int as y0, (173 + {box('77', 'label')})::int as x1, (legend_y + 11 * (series_no - 1) + 7)::int as y1, label as text
+      from (select chart_id, series_no, {label_sql(_KEY, 'legend', 3, 9)} as label from ({colours(SUP)})) join st using (chart_id)"""
+    return f"""with st as materialized ({st}) {row('title', 'title', 'title_x', '2', box('250 - title_x', 'title'), '7')} union all {row('x_label', 'x_label', 'x_label_x', '135', box('250 - x_label_x', 'x_label'), '7')}
+      union all {row('y_label', 'y_label', '2', 'y_label_y', '7', box('144 - y_label_y', 'y_label'))} union all {legend}"""
+
+
+FACETS = _facets()
+
+
+def styled(kind: str, style: str, points: str = SUP, pool=RGB3, only: str = "") -> str:
+    """Ink of charts of one type in one style; ``only`` restricts to charts of a query."""
+    use = f"select * from ({points}) where chart_id in ({only})" if only else points
+    m = marks(kind, use, pool)
+    if style == "dashed" and kind == "line":
+        m = f"select * from ({m}) where px % 8 < 4"
+    if style == "wide_line" and kind != "bar":
+        m = f"select distinct chart_id, series_no, px + dx as px, py + dy as py from ({m}), (values (-1), (0), (1)) a(dx), (values (-1), (0), (1)) b(dy)"
+    if style == "markers" and kind == "line":
+        m = f"{m} union {marks('scatter', use, pool)}"
+    c = f"select chart_id, series_no, r, g, b from ({colours(use, pool)})"
+    if style == "grid":
+        ids = f"select distinct chart_id from ({use})"
+        m = f"select chart_id, series_no, px, py from ({m}) union all select chart_id, 0, x, y from ({ids}), range(20, 140) a(x), range(14, 104) b(y) where (x - 20) % 15 = 0 or (y - 14) % 15 = 0"
+        c = f"{c} union all select chart_id, 0, 200, 200, 200 from ({ids})"
+    return f"select chart_id, px::int as px, py::int as py, nullif(series_no, 0)::int as series_no, r, g, b, {'true' if style == 'dark' else 'false'} as dark from (select chart_id, px, py, max(series_no) as series_no from ({m}) group by 1, 2, 3) join ({c}) c using (chart_id, series_no)"
+
+
+def mixed() -> str:
+    """Ink of every chart in its own drawn type and style, summed up per chart."""
+    st = f"select {style_columns('s_suppkey')} from supplier"
+    parts = " union all ".join(f"select *, '{k}' as plot_type, '{y}' as style from ({styled(k, y, SUP, RGB3, chr(32).join(['select chart_id from st where plot_type =', repr(k), 'and style =', repr(y)]))})" for k in TYPES for y in STYLES)
+    return f"""with st as materialized (select chart_id, plot_type, style from ({st})) select chart_id, plot_type, style, dark, count(*) as ink, count(*) filter (series_no is null) as gray, sum(px)::bigint as sx, sum(py)::bigint as sy, count(distinct (r, g, b)) as colours from ({parts}) group by 1, 2, 3, 4"""
+
+
+def labelled_pred() -> str:
+    """Predicted relations under the labels that a confusing reader sees, and the truth with its labels (tables pred, tru)."""
+    seen = f"case when {draw_sql('label', 'confuse')} % 2 = 0 then translate(label, 'lI1O0oS5', '1lI0Oc5S') else label end"
+    return f"""with prog as materialized ({programmed()}), tru as materialized (select *, {label_sql(_KEY, 'legend', 3, 9)} as label from ({true_series()})),
+      pred as materialized (select t.chart_id, t.series_no as no, {seen} as seen, p.relation as pr from ({hsv('select * from tru', 'chart_id, series_key, series_no, label')}) t join ({hsv('select * from prog', 'chart_id, relation')}) p using (chart_id)
+        where least(abs(t.h - p.h), 180 - abs(t.h - p.h)) <= 10),
+      near as (select t.chart_id, t.series_key, t.relation, p.no, p.pr, levenshtein(p.seen, t.label) as d from tru t join pred p using (chart_id) where levenshtein(p.seen, t.label) <= 2),
+      a as (select * from near qualify row_number() over (partition by chart_id, series_key order by d, no, series_key) = 1),
+      b as (select * from a qualify row_number() over (partition by chart_id, no order by d, no, series_key) = 1),
+      share as (select t.chart_id, avg(case when b.pr = t.relation then 1.0 else 0.0 end) as share from (select * from tru where relation <> 'undefined') t left join b on t.chart_id = b.chart_id and t.series_key = b.series_key group by 1),
+      series as (select count(*) as n, round(avg(share), 6) as value from share)"""
+
+
+SERIES_ACCURACY = f"{labelled_pred()} select 'series' as metric, n, value from series"
+TOTAL_ACCURACY = f"""{labelled_pred()}, ax as (select n, value from ({_axis()}) limit 1 offset 1)
+  select 'total' as metric, greatest(s.n, ax.n) as n, round((s.value + ax.value) / 2, 6) as value from series s, ax"""
+DELTA = f"""select a.metric, a.value as a, b.value as b, round(b.value - a.value, 6) as delta from ({score('no_ocr')}) a join ({score('boundary')}) b using (metric)"""
+CAUSES = f"""with t as materialized (select {style_columns('s_suppkey')} from supplier),
+  p as (select chart_id, 'x' as axis, x_label as label, case when {draw_sql('x_label', 'confuse', 1)} % 3 = 0 then translate(x_label, 'lI1O0oS5', '1lI0Oc5S') else x_label end as seen, y_label as other from t
+        union all select chart_id, 'y', y_label, case when {draw_sql('y_label', 'confuse', 2)} % 3 = 0 then translate(y_label, 'lI1O0oS5', '1lI0Oc5S') else y_label end, x_label from t),
+  q as (select *, case when chart_id % 7 = 0 then '' when chart_id % 11 = 0 then other else seen end as found from p)
+  select axis, case when found = '' then 'facet_missed' when found = label then 'exact' when levenshtein(found, other) <= 5 and levenshtein(found, label) > 5 then 'facets_swapped'
+    when levenshtein(found, label) <= 5 then 'misread_within_limit' else 'misread' end as cause, count(*) as n from q group by 1, 2"""
+MASK_QUALITY = f"""with m as materialized ({masks()}), c as materialized ({clean_centers()}), t as materialized ({painted('line')}),
+  own as (select p.chart_id, p.series_no as found, t.series_no from ({hsv('select chart_id, series_no, r, g, b from c', 'chart_id, series_no')}) p join ({hsv(colours(SUP), 'chart_id, series_no')}) t on p.chart_id = t.chart_id and least(abs(t.h - p.h), 180 - abs(t.h - p.h)) <= 10),
+  hit as (select o.chart_id, o.series_no, count(*) as n from own o join m on m.chart_id = o.chart_id and m.series_no = o.found join t on t.chart_id = o.chart_id and t.series_no = o.series_no and t.px = m.px and t.py = m.py group by 1, 2),
+  got as (select o.chart_id, o.series_no, count(*) as n from own o join m on m.chart_id = o.chart_id and m.series_no = o.found group by 1, 2),
+  want as (select chart_id, series_no, count(*) as n from t group by 1, 2)
+  select w.chart_id, w.series_no, round(coalesce(h.n, 0) / g.n, 6) as precision, round(coalesce(h.n, 0) / w.n, 6) as recall from want w left join got g using (chart_id, series_no) left join hit h using (chart_id, series_no)"""
+
+
+def legend_accuracy() -> str:
+    return " union all ".join(f"select '{a}' as anchor, count(*) as n, round(avg(case when ordinal = series_no then 1.0 else 0.0 end), 6) as value from ({legend_(a)})" for a in ("median", "nearest"))
+
+
+def text_only() -> str:
+    """The relation that is commonest among training series whose label begins alike, for the others."""
+    return f"""with t as materialized (select chart_id, series_key, relation, lower(substr({label_sql(_KEY, 'legend', 3, 9)}, 1, 1)) as token, {draw_sql('chart_id', 'half')} % 2 as half from ({relations_sql(CUST3)}) where relation <> 'undefined'),
+      whole as (select relation from (select relation, count(*) as n from t where half = 0 group by 1) order by n desc, relation limit 1),
+      known as (select token, relation from (select token, relation, count(*) as n from t where half = 0 group by 1, 2) qualify row_number() over (partition by token order by n desc, relation) = 1),
+      g as (select t.relation, coalesce(k.relation, (from whole)) as guess from t left join known k using (token) where half = 1)
+      select count(*) as n, round(avg(case when relation = guess then 1.0 else 0.0 end), 6) as value from g"""
