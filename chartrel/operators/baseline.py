@@ -60,6 +60,57 @@ def point_extractor(px: DataFrame, truth: DataFrame, step: int = 2, plot_type: s
     return truth.select("chart_id", "series_key", "series_no", "r", "g", "b").join(rel, "chart_id")
 
 
+def followed_lines(px: DataFrame, reach: int = 12) -> DataFrame:
+    """chart_id, series_key, x, y: lines followed from column to column by continuity, colours unseen.
+
+    Each column's ink falls into runs. A line goes on to the run nearest to where it is heading; the nearest pairs are taken first and a run
+    serves one line, unless fewer runs than lines are left, where lines overlap: then the rest share the nearest run, and who
+    leaves it on which side is a guess. Lines without a run within ``reach`` rows end; runs that no line reaches start one.
+    """
+    import numpy as np
+    import pyarrow as pa
+
+    def one(key, table):
+        x, y = table.column("px").to_numpy(), table.column("py").to_numpy()
+        order = np.lexsort((y, x))
+        x, y = x[order], y[order]
+        lines, out = [], []  # a line: number, last height, last step, last column
+        for c in np.unique(x).tolist():
+            col = y[x == c]
+            cut = np.flatnonzero(np.diff(col) > 1)
+            runs = [(float(a + b) / 2, int(a), int(b)) for a, b in zip(col[np.concatenate(([0], cut + 1))], col[np.concatenate((cut, [len(col) - 1]))])]
+            lines = [ln for ln in lines if c - ln[3] <= 2]
+            pairs = sorted((abs(ln[1] + ln[2] - r[0]) - (r[2] - r[1]) / 2, i, j) for i, ln in enumerate(lines) for j, r in enumerate(runs))
+            own, used = {}, set()
+            for gap, i, j in pairs:
+                if i not in own and j not in used and gap <= reach:
+                    own[i] = j
+                    used.add(j)
+            for gap, i, j in pairs:
+                if i not in own and gap <= 1:
+                    own[i] = j
+            for i, j in own.items():
+                ln = lines[i]
+                ln[1], ln[2], ln[3] = runs[j][0], max(-6.0, min(6.0, (runs[j][0] - ln[1]) / max(1, c - ln[3]))), c
+                out.append((ln[0], c, int(-1000 * runs[j][0])))
+            for j, r in enumerate(runs):
+                if j not in used:
+                    number = len({k for k, _, _ in out}) + 1
+                    lines.append([number, r[0], 0.0, c])
+                    out.append((number, c, int(-1000 * r[0])))
+        n = {k: sum(o[0] == k for o in out) for k in {o[0] for o in out}}
+        most = max(n.values(), default=0)
+        out = [o for o in out if 4 * n[o[0]] >= most]  # crumbs are no lines
+        return pa.table({"chart_id": pa.array([key[0].as_py()] * len(out), pa.int64()), "series_key": pa.array([str(o[0]) for o in out], pa.string()), "x": pa.array([o[1] for o in out], pa.int64()), "y": pa.array([o[2] for o in out], pa.int64())})
+
+    return px.select("chart_id", "px", "py").distinct().groupBy("chart_id").applyInArrow(one, "chart_id long, series_key string, x long, y long")
+
+
+def line_extractor(px: DataFrame) -> DataFrame:
+    """chart_id, series_no, relation of every line that ``followed_lines`` makes out."""
+    return exact.relations(followed_lines(px)).select("chart_id", F.col("series_key").cast("int").alias("series_no"), "relation")
+
+
 def random_guess(series: DataFrame, seed: int = 0) -> DataFrame:
     """One of the three relations by a repeatable draw."""
     u = (draw(F.concat_ws("|", "chart_id", "series_key"), "guess", seed) % 3).cast("int") + 1

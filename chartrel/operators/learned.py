@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import zlib
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -39,13 +41,20 @@ def examples(images: DataFrame, truth: DataFrame, rule: str = "corrected") -> Da
     return images.select("chart_id", "width", "height", "data").join(labels, "chart_id").mapInArrow(run, "chart_id long, series_key string, x array<float>, y int")
 
 
-def train(rows: DataFrame, model: Cnn | None = None, epochs: int = 30, seed: int = 0, most: int = 4000) -> Cnn:
-    """A model from examples; at most ``most`` of them (by id) are brought to the driver."""
-    got = rows.orderBy("chart_id", "series_key").limit(most).collect()
+def train(rows: DataFrame, model: Cnn | None = None, epochs: int = 30, seed: int = 0, most: int = 4000, validate: bool = False) -> Cnn:
+    """A model from examples (chart_id, x, and y or an array of classes, one per head); at most ``most`` of them (by id) are brought to the driver.
+
+    ``validate`` trains on the charts of one half of a draw and keeps the epoch that does best on the other half.
+    """
+    got = rows.orderBy("chart_id", *(c for c in ("series_key",) if c in rows.columns)).limit(most).collect()
     if not got:
         return model or Cnn(1, seed)
     x = np.array([r["x"] for r in got], np.float32).reshape(-1, SIDE, SIDE)
-    return fit(x, np.array([[r["y"]] for r in got]), model, epochs, seed=seed)
+    y = np.array([r["y"] if isinstance(r["y"], list) else [r["y"]] for r in got])
+    held = np.array([zlib.crc32(f"{seed}:{r['chart_id']}".encode()) % 2 == 1 for r in got]) if validate else np.zeros(len(got), bool)
+    if held.all() or not held.any():
+        return fit(x, y, model, epochs, seed=seed)
+    return fit(x[~held], y[~held], model, epochs, seed=seed, check=(x[held], y[held]))
 
 
 def train_parallel(rows: DataFrame, epochs: int = 5, seed: int = 0, rate: float = 5e-3) -> Cnn:
@@ -134,18 +143,38 @@ def predict(images: DataFrame, model: Cnn | None = None, rule: str = "corrected"
     return images.select("chart_id", "width", "height", "data").mapInArrow(run, PREDICTED)
 
 
+def _whole(w: int, h: int, data: bytes) -> np.ndarray:
+    """All ink of a chart, whatever its colour."""
+    img = np.frombuffer(data, np.uint8).reshape(h, w, 3)
+    return shrink((img != img[0, 0]).any(axis=2))
+
+
+def count_examples(images: DataFrame, truth: DataFrame) -> DataFrame:
+    """chart_id, x, y: whole charts and, per relation, how many of their series have it (two stands for more)."""
+    n = truth.groupBy("chart_id").agg(F.array(*(F.least(F.lit(2), F.sum((F.col("relation") == r).cast("int"))).cast("int") for r in CLASSES)).alias("y"))
+
+    def run(batches):
+        for batch in batches:
+            ids, ys = batch.column("chart_id").to_pylist(), batch.column("y").to_pylist()
+            if ids:
+                xs = [_whole(*r).ravel().tolist() for r in zip(*(batch.column(c).to_pylist() for c in ("width", "height", "data")))]
+                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(xs, pa.list_(pa.float32())), pa.array(ys, pa.list_(pa.int32()))], names=["chart_id", "x", "y"])
+
+    return images.select("chart_id", "width", "height", "data").join(n, "chart_id").mapInArrow(run, "chart_id long, x array<float>, y array<int>")
+
+
 def count_head(images: DataFrame, model: Cnn) -> DataFrame:
-    """Learning alone: the network on the whole chart's ink, no separation of series; relation counts only."""
+    """Learning alone: a network with one head per relation reads its count off the whole chart's ink; as many rows of each relation."""
     shared = images.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
         for batch in batches:
-            ids, xs = batch.column("chart_id").to_pylist(), []
-            for w, h, data in zip(*(batch.column(n).to_pylist() for n in ("width", "height", "data"))):
-                img = np.frombuffer(data, np.uint8).reshape(h, w, 3)
-                xs.append(shrink((img != img[0, 0]).any(axis=2)))
-            if ids:
-                p, _ = shared.value.forward(np.stack(xs))
-                yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([1] * len(ids), pa.int32()), pa.array([CLASSES[int(q.argmax())] for q in p[:, 0]], pa.string())], names=["chart_id", "series_no", "relation"])
+            ids = batch.column("chart_id").to_pylist()
+            if not ids:
+                continue
+            p, _ = shared.value.forward(np.stack([_whole(*r) for r in zip(*(batch.column(c).to_pylist() for c in ("width", "height", "data")))]))
+            rows = [(c, r) for c, k in zip(ids, p.argmax(axis=2).tolist()) for r, n in zip(CLASSES, k) for _ in range(n)]
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array([c for c, _ in rows], pa.int64()), pa.array(range(1, len(rows) + 1), pa.int32()), pa.array([r for _, r in rows], pa.string())], names=["chart_id", "series_no", "relation"])
 
     return images.select("chart_id", "width", "height", "data").mapInArrow(run, "chart_id long, series_no int, relation string")

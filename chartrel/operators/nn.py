@@ -111,12 +111,21 @@ class Adam:
             w[k] -= (self.rate * (a / (1 - 0.9**self.t)) / (np.sqrt(b / (1 - 0.999**self.t)) + 1e-8)).astype(np.float32)
 
 
-def fit(x: np.ndarray, y: np.ndarray, model: Cnn | None = None, epochs: int = 30, batch: int = 32, seed: int = 0, rate: float = 2e-3) -> Cnn:
-    """Training on the driver, for the hundreds of images that suffice; a given model is fine-tuned from its weights."""
+def fit(x: np.ndarray, y: np.ndarray, model: Cnn | None = None, epochs: int = 30, batch: int = 32, seed: int = 0, rate: float = 2e-3, check: tuple[np.ndarray, np.ndarray] | None = None) -> Cnn:
+    """Training on the driver, for the hundreds of images that suffice; a given model is fine-tuned from its weights.
+
+    With images and classes to ``check``, the weights of the epoch that does best on them are kept and their score is ``validation``.
+    """
     model = Cnn(y.shape[1], seed) if model is None else Cnn(model.heads, weights={k: v.copy() for k, v in model.w.items()})
-    rng, adam = np.random.default_rng(seed), Adam(rate)
+    rng, adam, best = np.random.default_rng(seed), Adam(rate), None
     for _ in range(epochs):
         for part in np.array_split(rng.permutation(len(x)), max(1, len(x) // batch)):
             g, _ = model.gradient(x[part], y[part])
             adam.step(model.w, {k: v / len(part) for k, v in g.items()})
+        if check is not None and len(check[0]):
+            score = float((model.forward(check[0])[0].argmax(axis=2) == check[1]).mean())
+            if best is None or score > best[0]:
+                best = score, {k: v.copy() for k, v in model.w.items()}
+    if best:
+        model.validation, model.w = best
     return model

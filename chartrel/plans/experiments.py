@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import functools
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -14,10 +16,25 @@ from .queries import QUERIES, eligible
 RESULT = ("workload", "corpus", "metric", "n", "value")
 
 
+_HELD: list[DataFrame] = []
+
+
+def held(df: DataFrame) -> DataFrame:
+    """``df`` cached until the next workload starts."""
+    _HELD.append(df.persist())
+    return _HELD[-1]
+
+
 def query(f):
-    """Registers a workload whose result SQL cannot express."""
-    QUERIES[f.__name__] = f
-    return f
+    """Registers a workload whose result SQL cannot express; what the workload before it cached is given back first."""
+    @functools.wraps(f)
+    def run(spark, d):
+        while _HELD:
+            _HELD.pop().unpersist()
+        return f(spark, d)
+
+    QUERIES[f.__name__] = run
+    return run
 
 
 def scored(df: DataFrame, workload: str, corpus: str, metric: str | None = None) -> DataFrame:
@@ -59,16 +76,41 @@ def true_series(points: DataFrame, palette: str = "rgb3") -> DataFrame:
     return truth.relations(points).join(named, ["chart_id", "series_key"]).withColumn("series_label", label)
 
 
-def rendered(points: DataFrame, palette: str = "rgb3", plot_type: str = "line", noise: int = 0, dark: bool = False) -> DataFrame:
-    """Packed images of charts of one type."""
-    px = raster.ink(points, synth.coloured(points, palette), plot_type)
-    return raster.packed(raster.degraded(px, noise) if noise else px, (0, 0, 0) if dark else (255, 255, 255))
+def rendered(points: DataFrame, palette: str = "rgb3", plot_type: str = "line", noise: int = 0, style: str = "plain", blur: bool = False) -> DataFrame:
+    """Packed images; ``plot_type="mixed"`` and ``style="diverse"`` let each chart draw its own."""
+    colours = synth.coloured(points, palette)
+    if plot_type != "mixed" and style == "plain":
+        px = raster.ink(points, colours, plot_type)
+    else:
+        fixed = ({} if plot_type == "mixed" else {"plot_type": plot_type}) | ({} if style == "diverse" else {"style": style})
+        px = raster.styled_ink(points, colours, synth.styles(points, fixed, "diverse"))
+    return raster.packed(raster.degraded(px, noise) if noise else px, blur=blur)
+
+
+def steady(points: DataFrame, least: int = 4) -> DataFrame:
+    """Points of charts all of whose series have ``least`` points."""
+    ok = points.groupBy("chart_id", "series_key").agg(F.count("*").alias("k")).groupBy("chart_id").agg(F.min("k").alias("k")).filter(F.col("k") >= least).select("chart_id")
+    return points.join(ok, "chart_id", "left_semi")
+
+
+def training_points(spark: SparkSession, d: str, seed: int = 2) -> DataFrame:
+    """Charts of one to three series for training and control: users, nations and brands, none of which the tests of the plain format use."""
+    pool = [FAMILIES[f](spark, d).select((F.col("chart_id") + 1_000_000 * k).alias("chart_id"), "series_key", "x", "y") for k, f in enumerate(("user", "nation", "brand"), 1)]
+    points = union(pool)
+    first = points.select("chart_id", "series_key").distinct().withColumn("_k", F.row_number().over(Window.partitionBy("chart_id").orderBy("series_key"))).filter("_k <= 3").drop("_k")
+    return trend(points.join(first, ["chart_id", "series_key"], "left_semi"), seed).drop("slope")
+
 
+def model_for(points: DataFrame, n: int = 100, palette: str = "rgb3", plot_type: str = "mixed", epochs: int = 25, seed: int = 0, noise: int = 0, skip: int = 0, start=None, style: str = "plain"):
+    """A classifier of ``n`` rendered charts: one half trains, the other picks the epoch; its score there is ``validation``."""
+    use = held(first_charts(points, n, seed, skip))
+    return learned.train(learned.examples(rendered(use, palette, plot_type, noise, style), true_series(use, palette)), start, epochs, seed, validate=True)
 
-def model_for(points: DataFrame, n: int = 100, palette: str = "rgb3", plot_type: str = "line", epochs: int = 25, seed: int = 0, noise: int = 0, skip: int = 0, start=None):
-    """A classifier trained on ``n`` rendered charts; half of them would do for validation (see ``training_size``)."""
-    use = first_charts(points, n, seed, skip)
-    return learned.train(learned.examples(rendered(use, palette, plot_type, noise), true_series(use, palette)), start, epochs, seed)
+
+def validation(points: DataFrame, model, workload: str, corpus: str, n: int) -> DataFrame:
+    """The score that a model reached on its validation half, as a row."""
+    row = points.sparkSession.range(1).select(F.lit("validation").alias("metric"), F.lit(n).alias("n"), F.lit(round(getattr(model, "validation", 0.0), 6)).alias("value"))
+    return scored(row, workload, corpus)
 
 
 def accuracy(pred: DataFrame, true: DataFrame, workload: str, corpus: str) -> DataFrame:
@@ -77,18 +119,18 @@ def accuracy(pred: DataFrame, true: DataFrame, workload: str, corpus: str) -> Da
 
 @query
 def synthetic_end_to_end(spark, d):
-    """Charts of the training format, unseen: images in, axis labels, series labels and relations out, scored by all four measures."""
-    points = balanced_points(spark, d, "supplier", 1)
-    test = first_charts(points, 100, 5)
-    model = model_for(balanced_points(spark, d, "nation", 2), 25, seed=1)
-    return _end_to_end(test, model, "synthetic_end_to_end", "synthetic")
+    """A hundred charts of the training format, unseen, behind the hundred that train: images in, axis labels, series labels and relations out, scored by all four measures."""
+    points = training_points(spark, d)
+    model = model_for(points, 100, seed=1)
+    test = held(first_charts(points, 100, 1, 100))
+    return _end_to_end(test, model, "synthetic_end_to_end", "synthetic", plot_type="mixed").unionByName(validation(points, model, "synthetic_end_to_end", "training", 50))
 
 
-def _end_to_end(points: DataFrame, model, workload: str, corpus: str, rotate: str = "manual", detector: str = "layout", ssd=None) -> DataFrame:
+def _end_to_end(points: DataFrame, model, workload: str, corpus: str, rotate: str = "manual", detector: str = "layout", ssd=None, plot_type: str = "line") -> DataFrame:
     true = true_series(points)
-    labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label")
-    images, facets = text.annotated(rendered(points), labels, true)
-    images = images.persist()
+    labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label", *text.PLACES)
+    images, facets = text.annotated(rendered(points, plot_type=plot_type), labels, true)
+    images = held(images)  # read by detector, reader and classifier
     found = facets.select("chart_id", "kind", "ordinal", "x0", "y0", "x1", "y1") if detector == "truth" else text.detect(images, detector, ssd)
     texts = text.extract(images, found, rotate)
     pred = extract(images, texts, model)
@@ -110,13 +152,18 @@ def extract(images: DataFrame, texts: DataFrame, model=None) -> DataFrame:
     return area.select("chart_id", "series_no", "r", "g", "b", "relation").join(best, ["chart_id", "series_no"], "left").withColumn("series_label", F.coalesce("series_label", F.lit("")))
 
 
-def crop(images: DataFrame, x: int, y: int, w: int, h: int) -> DataFrame:
-    """The same window of every image."""
+def crop(images: DataFrame, x: int, y: int, w: int, h: int, right: int = raster.LEFT + raster.IW + 6) -> DataFrame:
+    """The same window of every image; columns from ``right`` on, where colour keys of the legend may stand, are set to the corner's colour."""
     import pyarrow as pa
 
+    def cut(ww: int, hh: int, data: bytes) -> bytes:
+        out = np.frombuffer(data, np.uint8).reshape(hh, ww, 3)[y : y + h, x : x + w].copy()
+        out[:, right:] = out[0, 0]
+        return out.tobytes()
+
     def run(batches):
         for batch in batches:
-            out = [np.ascontiguousarray(np.frombuffer(b, np.uint8).reshape(hh, ww, 3)[y : y + h, x : x + w]).tobytes() for ww, hh, b in zip(*(batch.column(n).to_pylist() for n in ("width", "height", "data")))]
+            out = [cut(*r) for r in zip(*(batch.column(n).to_pylist() for n in ("width", "height", "data")))]
             n = len(out)
             yield pa.RecordBatch.from_arrays([batch.column("chart_id"), pa.array([w] * n, pa.int32()), pa.array([h] * n, pa.int32()), pa.array([3] * n, pa.int32()), pa.array(out, pa.binary())], names=["chart_id", "width", "height", "channels", "data"])
 
@@ -149,7 +196,7 @@ def without_boundary(spark, d):
     points = balanced_points(spark, d, "supplier", 1)
     test = first_charts(points, 100, 5)
     true, rho = true_series(test), truth.spearman(test)
-    pred = learned.predict(rendered(test)).persist()
+    pred = held(learned.predict(rendered(test)))
     clear = measure.without_boundary(true, rho, "series")
     return union([accuracy(pred, true, "without_boundary", "all"), scored(measure.series_no_ocr(pred, clear), "without_boundary", "clear_series"), scored(measure.series_no_ocr(pred, measure.without_boundary(true, rho)), "without_boundary", "clear_charts")])
 
@@ -158,17 +205,18 @@ def _versus(points: DataFrame, workload: str, plot_type: str) -> DataFrame:
     colours = synth.coloured(points)
     true = true_series(points)
     px = raster.ink(points, colours, plot_type)
-    ours = learned.predict(raster.packed(px)).persist()
-    theirs = baseline.point_extractor(px, true, plot_type=plot_type).persist()
-    return union([accuracy(ours, true, workload, "ours"), accuracy(theirs, true, workload, "point_extractor")])
+    ours = held(learned.predict(raster.packed(px)))
+    theirs = held(baseline.point_extractor(px, true, plot_type=plot_type))
+    rows = [accuracy(ours, true, workload, "ours"), accuracy(theirs, true, workload, "point_extractor" if plot_type == "bar" else "mean_trace")]
+    if plot_type == "line":  # the extractor proper: line by line, so that it can be right where lines stay apart
+        rows.append(scored(measure.raw(baseline.line_extractor(px), true), workload, "point_extractor"))
+    return union(rows)
 
 
 @query
 def compare_lines(spark, d):
     """Line charts of one to three series against the point extractor, which sees no colours."""
-    points = balanced_points(spark, d, "customer_status", 6)
-    ok = points.groupBy("chart_id", "series_key").agg(F.count("*").alias("k")).groupBy("chart_id").agg(F.min("k").alias("k")).filter("k >= 4").select("chart_id")
-    return _versus(first_charts(points.join(ok, "chart_id", "left_semi"), 100), "compare_lines", "line")
+    return _versus(first_charts(steady(balanced_points(spark, d, "customer_status", 6)), 100), "compare_lines", "line")
 
 
 @query
@@ -203,7 +251,7 @@ def web_like(spark, d):
     """Fifty noisy charts of diverse colours: accuracy of easy and hard ones and in total."""
     points = first_charts(web_points(spark, d), 50)
     true = true_series(points, "wide")
-    pred = learned.predict(rendered(points, "wide", noise=40)).persist()
+    pred = held(learned.predict(rendered(points, "wide", "mixed", noise=40)))
     per = measure.per_chart_no_ocr(pred, true).join(hardness(points), "chart_id")
     s = measure.strata(per, "hardness")
     return s.select(F.lit("web_like").alias("workload"), F.coalesce("hardness", F.lit("total")).alias("corpus"), F.lit("series_no_ocr").alias("metric"), F.col("n").cast("long").alias("n"), "value")
@@ -217,7 +265,7 @@ def web_like_causes(spark, d):
     px = raster.ink(points, synth.coloured(points, "wide"), "line")
     axes = points.select("chart_id").distinct().filter(F.col("chart_id") % 5 == 0)
     bars = axes.select("chart_id", F.explode(F.sequence(F.lit(raster.TOP), F.lit(raster.TOP + raster.IH))).alias("py"), F.lit(raster.LEFT - 4).alias("px")).select("chart_id", F.explode(F.array(F.col("px"), F.col("px") + 1, F.col("px") + 2)).alias("px"), "py", F.lit(None).cast("int").alias("series_no"), F.lit(120).alias("r"), F.lit(20).alias("g"), F.lit(230).alias("b"))
-    pred = learned.predict(raster.packed(px.unionByName(bars))).persist()
+    pred = held(learned.predict(raster.packed(px.unionByName(bars))))
     rest = true.join(axes, "chart_id", "left_anti")
     return union([accuracy(pred, true, "web_like_causes", "all"), accuracy(pred.join(axes, "chart_id", "left_anti"), rest, "web_like_causes", "plain_axes")])
 
@@ -227,8 +275,7 @@ def filtered_corpus(spark, d):
     """Charts that pass the corpus filter, by line rendering in wide colours."""
     points = FAMILIES["supplier"](spark, d)
     use = points.join(eligible(points), "chart_id", "left_semi")
-    true = true_series(use, "wide")
-    return accuracy(learned.predict(rendered(use, "wide")).persist(), true, "filtered_corpus", "qa_like")
+    return accuracy(held(learned.predict(rendered(use, "drawn"))), true_series(use, "drawn"), "filtered_corpus", "qa_like")
 
 
 @query
@@ -237,53 +284,64 @@ def all_corpora(spark, d):
     parts = []
     base = balanced_points(spark, d, "supplier", 1)
     raw = FAMILIES["supplier"](spark, d)
-    for corpus, points, palette, noise in (("synthetic", first_charts(base, 100, 5), "rgb3", 0), ("web_like", first_charts(web_points(spark, d), 50), "wide", 40), ("qa_like", raw.join(eligible(raw), "chart_id", "left_semi"), "wide", 0)):
-        per = measure.per_chart_no_ocr(learned.predict(rendered(points, palette, noise=noise)), true_series(points, palette))
+    for corpus, points, palette, noise, kind in (("synthetic", first_charts(base, 100, 5), "rgb3", 0, "mixed"), ("web_like", first_charts(web_points(spark, d), 50), "wide", 40, "mixed"), ("qa_like", raw.join(eligible(raw), "chart_id", "left_semi"), "drawn", 0, "line")):
+        per = measure.per_chart_no_ocr(learned.predict(rendered(points, palette, kind, noise)), true_series(points, palette))
         parts.append(per.withColumn("corpus", F.lit(corpus)))
     s = measure.strata(union(parts), "corpus")
     return s.select(F.lit("all_corpora").alias("workload"), F.coalesce("corpus", F.lit("total")).alias("corpus"), F.lit("series_no_ocr").alias("metric"), F.col("n").cast("long").alias("n"), "value")
 
 
-def _transfer(workload: str, model, control, test: DataFrame, control_test: DataFrame, palette: str, noise: int) -> DataFrame:
-    rows = []
+def _transfer(workload: str, model, control, test: DataFrame, control_test: DataFrame, **how) -> DataFrame:
+    """Accuracy of the transferred and of the control model on their tests, chance, and both validation scores; ``how`` renders the tests."""
+    rows, palette = [], how["palette"]
     for corpus, m, points in (("transfer", model, test), ("control", control, control_test)):
-        rows.append(scored(measure.series_no_ocr(learned.predict(rendered(points, palette, noise=noise), m), true_series(points, palette)), workload, corpus))
+        rows.append(scored(measure.series_no_ocr(learned.predict(rendered(points, **how), m), true_series(points, palette)), workload, corpus))
+        rows.append(validation(points, m, workload, corpus, 50))
     guess = baseline.random_guess(true_series(test, palette).drop("relation"))
     rows.append(scored(measure.series_no_ocr(guess, true_series(test, palette)), workload, "chance"))
     return union(rows)
 
 
+def plain_model(spark: SparkSession, d: str, epochs: int = 20):
+    """The model that is transferred: a hundred charts of all types in the default style."""
+    return model_for(balanced_points(spark, d, "supplier", 3), 100, epochs=epochs)
+
+
 @query
 def transfer_styles(spark, d):
-    """A model of plain charts on diverse ones, against a model trained on diverse ones, and chance."""
-    plain, diverse = balanced_points(spark, d, "nation", 2), balanced_points(spark, d, "supplier", 3)
-    n = 50
-    return _transfer("transfer_styles", model_for(plain, 25, epochs=15), model_for(diverse, n, "wide", noise=60, epochs=15, seed=1), first_charts(diverse, n, 1, n), first_charts(diverse, n, 1, n), "wide", 60)
+    """A model of plain charts on a hundred of diverse styles, against one trained on another hundred of diverse styles, and chance."""
+    diverse, n = training_points(spark, d, 4), 100
+    control = model_for(diverse, n, "wide", noise=60, epochs=20, seed=1, style="diverse")
+    test = held(first_charts(diverse, n, 1, n))
+    return _transfer("transfer_styles", plain_model(spark, d), control, test, test, palette="wide", plot_type="mixed", noise=60, style="diverse")
 
 
 @query
 def transfer_web(spark, d):
-    """The plain model on web-like charts; the control learns from one half of them and is tested on the other."""
-    web = first_charts(web_points(spark, d), 50)
-    return _transfer("transfer_web", model_for(balanced_points(spark, d, "nation", 2), 25, epochs=15), model_for(web, 25, "wide", noise=40, epochs=15), web, first_charts(web, 25, 0, 25), "wide", 40)
+    """The plain model on fifty web-like charts; the control learns from one half of them and is tested on the other."""
+    web = held(first_charts(web_points(spark, d), 50))
+    control = model_for(web, 25, "wide", noise=40, epochs=20)
+    return _transfer("transfer_web", plain_model(spark, d), control, web, first_charts(web, 25, 0, 25), palette="wide", plot_type="mixed", noise=40)
 
 
 @query
 def transfer_corpus(spark, d):
-    """The plain model on the first part of the filtered charts; the control learns from the second and is tested on the third."""
-    points = balanced_points(spark, d, "customer_status", 6)
+    """The plain model on the first hundred filtered charts; the control learns from the second and is tested on the third."""
+    points = steady(balanced_points(spark, d, "customer_status", 6), 2)
     ids = eligible(FAMILIES["customer_status"](spark, d))
-    use, n = points.join(ids, "chart_id", "left_semi"), max(1, min(100, ids.count() // 3))
-    return _transfer("transfer_corpus", model_for(balanced_points(spark, d, "nation", 2), 25, epochs=15), model_for(use, n, "wide", epochs=15, skip=n), first_charts(use, n), first_charts(use, n, 0, 2 * n), "wide", 0)
+    use = held(points.join(ids, "chart_id", "left_semi"))
+    n = max(1, min(100, use.select("chart_id").distinct().count() // 3))  # a hundred each wherever the corpus has three hundred
+    control = model_for(use, n, "drawn", "line", epochs=20, skip=n)
+    return _transfer("transfer_corpus", plain_model(spark, d), control, first_charts(use, n), first_charts(use, n, 0, 2 * n), palette="drawn", plot_type="line")
 
 
 @query
 def rotation_ablation(spark, d):
     """Axis accuracy with the vertical label turned by us, tried four ways by the reader, or left as it is."""
     points = FAMILIES["supplier"](spark, d)
-    labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label")
+    labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label", *text.PLACES)
     images, _ = text.annotated(rendered(points), labels, true_series(points))
-    images = images.persist()
+    images = held(images)
     found = text.detect(images)
     return union([scored(measure.axis(text.labels_of(text.extract(images, found, m)), labels), "rotation_ablation", m) for m in ("manual", "auto", "none")])
 
@@ -292,9 +350,9 @@ def rotation_ablation(spark, d):
 def facet_detection(spark, d):
     """Mean overlap of found and true boxes by detector, and axis accuracy that follows from each."""
     points = FAMILIES["supplier"](spark, d)
-    labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label")
+    labels = synth.styles(points).select("chart_id", "title", "x_label", "y_label", *text.PLACES)
     images, facets = text.annotated(rendered(points), labels, true_series(points))
-    images, facets = images.persist(), facets.persist()
+    images, facets = held(images), held(facets)
     learn = max(1, min(40, points.select("chart_id").distinct().count() // 2))
     first = F.broadcast(first_charts(points, learn).select("chart_id").distinct())
     rows, ssd = [], trained_detector(images.join(first, "chart_id", "left_semi"), facets)
@@ -333,7 +391,7 @@ def cleaning_ablation(spark, d):
     points = balanced_points(spark, d, "supplier", 1)
     true, rows = true_series(points, "wide"), []
     for noise in (0, 60, 15):
-        images = rendered(points, "wide", noise=noise).persist()
+        images = held(rendered(points, "wide", noise=noise))
         for clean in (True, False):
             pred = learned.predict(images, clean=clean)
             rows.append(scored(measure.series_no_ocr(pred, true), "cleaning_ablation", f"noise_{noise}_{'on' if clean else 'off'}"))
@@ -344,7 +402,7 @@ def cleaning_ablation(spark, d):
 def saturation_sweep(spark, d):
     """Accuracy by saturation threshold."""
     points = balanced_points(spark, d, "supplier", 1)
-    images, true = rendered(points, "wide", noise=30).persist(), true_series(points, "wide")
+    images, true = held(rendered(points, "wide", noise=30)), true_series(points, "wide")
     return union([scored(measure.series_no_ocr(learned.predict(images, threshold=t), true), "saturation_sweep", f"threshold_{t}") for t in (0, 32, 64, 128, 250)])
 
 
@@ -352,7 +410,7 @@ def saturation_sweep(spark, d):
 def width_sweep(spark, d):
     """Accuracy by half-widths of the colour ranges."""
     points = balanced_points(spark, d, "supplier", 1)
-    images, true = rendered(points, "wide").persist(), true_series(points, "wide")
+    images, true = held(rendered(points, "wide")), true_series(points, "wide")
     return union([scored(measure.series_no_ocr(learned.predict(images, widths=w), true), "width_sweep", "_".join(map(str, w))) for w in ((2, 25, 40), (10, 10, 40), (10, 25, 40), (40, 25, 40), (90, 25, 40))])
 
 
@@ -384,38 +442,48 @@ def chance_level(spark, d):
 
 @query
 def training_size(spark, d):
-    """Held-out accuracy of the network by number of training charts."""
-    points = balanced_points(spark, d, "customer", 8)
+    """Held-out and validation accuracy of the network by number of training charts, over two seeds."""
+    points = steady(balanced_points(spark, d, "customer", 8))
     test = charts_behind(points, 300)
-    images, true = rendered(test).persist(), true_series(test)
-    return union([scored(measure.series_no_ocr(learned.predict(images, model_for(points, n, epochs=15)), true), "training_size", f"train_{n}") for n in (25, 100, 300)])
+    images, true, rows = held(rendered(test)), true_series(test), []
+    for n in (25, 100, 300):
+        for seed in (0, 1):
+            model = model_for(points, n, plot_type="line", epochs=15, seed=seed)
+            rows += [scored(measure.series_no_ocr(learned.predict(images, model), true), "training_size", f"train_{n}_seed_{seed}"), validation(points, model, "training_size", f"train_{n}_seed_{seed}", n // 2)]
+    return union(rows)
 
 
 @query
 def fine_tuning(spark, d):
-    """A plain model on diverse charts before and after a short training on a few of them."""
-    plain, diverse = balanced_points(spark, d, "nation", 2), balanced_points(spark, d, "supplier", 3)
-    model = model_for(plain, 25, epochs=15)
-    tuned = model_for(diverse, 30, "wide", noise=60, epochs=6, seed=1, start=model)
+    """A plain model on diverse charts before and after a short training on thirty of them."""
+    diverse = training_points(spark, d, 4)
+    model = plain_model(spark, d)
+    tuned = model_for(diverse, 30, "wide", noise=60, epochs=8, seed=1, start=model, style="diverse")
     test = charts_behind(diverse, 30, 1)
-    images, true = rendered(test, "wide", noise=60).persist(), true_series(test, "wide")
+    images, true = held(rendered(test, "wide", "mixed", 60, "diverse")), true_series(test, "wide")
     return union([scored(measure.series_no_ocr(learned.predict(images, m), true), "fine_tuning", name) for name, m in (("before", model), ("after", tuned))])
 
 
 @query
 def learning_alone(spark, d):
-    """The network on whole charts without separating series, against the full chain, by counts of relations."""
-    points = balanced_points(spark, d, "supplier", 1)
-    model = model_for(balanced_points(spark, d, "nation", 2), 25, epochs=15)
-    images, true = rendered(points).persist(), true_series(points)
-    return union([scored(measure.raw(learned.predict(images, model), true), "learning_alone", "full_chain"), scored(measure.raw(learned.count_head(images, model), true), "learning_alone", "network_only")])
+    """A network trained to count relations on whole charts, against the full chain, by the counts of each chart."""
+    points, train = balanced_points(spark, d, "supplier", 1), training_points(spark, d)
+    use = first_charts(train, 300)
+    counter = learned.train(learned.count_examples(rendered(use), true_series(use)), epochs=25, validate=True)
+    images, true = held(rendered(points)), true_series(points)
+    chain = scored(measure.raw(learned.predict(images, model_for(train, 100, plot_type="line", epochs=20)), true), "learning_alone", "full_chain")
+    return union([chain, scored(measure.raw(learned.count_head(images, counter), true), "learning_alone", "network_only"), validation(use, counter, "learning_alone", "network_only", 150)])
 
 
 @query
-def single_shot_end_to_end(spark, d):
-    """The end-to-end measures with true facets and with the programmed detector: what the detector costs."""
+def detector_cost(spark, d):
+    """The end-to-end measures with true facets, with the programmed detector and with the single-shot detector: what each costs."""
     points = balanced_points(spark, d, "supplier", 1)
-    return _end_to_end(points, None, "single_shot_end_to_end", "layout").unionByName(_end_to_end(points, None, "single_shot_end_to_end", "truth", detector="truth"))
+    learn = max(1, min(40, points.select("chart_id").distinct().count() // 2))
+    first = first_charts(points, learn)
+    images, facets = text.annotated(rendered(first), synth.styles(first).select("chart_id", "title", "x_label", "y_label", *text.PLACES), true_series(first))
+    ssd, test = trained_detector(images, facets), charts_behind(points, learn)
+    return union([_end_to_end(test, None, "detector_cost", name, detector=name, ssd=ssd) for name in ("truth", "layout", "ssd")])
 
 
 @query

