@@ -1,8 +1,10 @@
 """Toxicity by a bidirectional gated recurrent network with attention pooling, written and trained in numpy.
 
-Inputs of a word are its own log odds, the strongest and the mean log odds of its character 3- to 5-grams, and a hashed
-projection of those n-grams. Windows of 32 words start every 24 words, so all overlap; each is scored, and the strongest
-window, calibrated on the training rows, is the score of the whole text. Labels are learned from a bounded sample of the
+Inputs of a word are a learned vector of its own, the mean of learned vectors of its character 3- to 5-grams (one hashed table,
+trained with the network), its log odds, and the strongest and the mean log odds of its n-grams. Odds that the network
+learns from are counted without the text's own part of the sample, so no input holds its own label, and a part of the sample
+that neither counts nor trains calibrates the score. Windows of 32 words start every 20 words, so all overlap; each is scored, and the strongest
+window, calibrated, is the score of the whole text. Labels are learned from a bounded sample of the
 training rows, and the intercept is moved from the sample's share of toxic rows to that of all training labels; every
 word of every document is scored. A word of more than ``LONGEST`` letters and digits is read as overlapping pieces, each
 a step of the network, so a text without blanks is scored to its end.
@@ -23,7 +25,7 @@ from pyspark.sql import functions as F
 
 from .common import fold, mix, sliced, slices, text_batches, trim
 
-WINDOW, STRIDE, HIDDEN, HASHED = 32, 24, 8, 12
+WINDOW, STRIDE, HIDDEN, VECTOR = 32, 20, 8, 8
 GRAMS = (3, 4, 5)
 TABLE = 1 << 20
 #: Bounds of the training sample: toxic rows, other rows, and the characters up to which a text is eligible for it.
@@ -31,7 +33,9 @@ POSITIVES, NEGATIVES, TRAIN_CHARS = 1000, 2000, 20_000
 THRESHOLD = 0.3
 #: Words of a worker's table, words brought to it at once, windows scored at once.
 VOCABULARY, TOKENS, AT_ONCE = 60_000, 50_000, 1024
-INPUTS = 4 + HASHED
+INPUTS = 4 + 2 * VECTOR
+#: Slots of the learned table; parts of the sample whose odds are counted without them; one text of so many calibrates.
+SLOTS, PARTS, HELD = 1 << 14, 4, 5
 #: Letters and digits of one step at most, those that neighbouring pieces of a longer word share, characters whose inputs are made at once.
 LONGEST, SHARED, CHARS = 200, 8, 1 << 19
 
@@ -77,34 +81,39 @@ def words_of(text: str | None) -> list[str]:
     return out
 
 
+def _marks(words: list[str], plain: list[str]) -> np.ndarray:
+    """Signs of a word that are no letters or digits, up to four of them."""
+    return np.clip([(len(w) - len(p)) / 4 for w, p in zip(words, plain)], 0, 1).astype(np.float32)
+
+
+def _odds_of(odds: np.ndarray, whole: np.ndarray, grams: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """Log odds of each word, the strongest and the mean of its n-grams."""
+    got = odds[(grams & np.uint64(TABLE - 1)).astype(np.int64)]
+    count = np.diff(np.append(start, len(grams)))
+    return np.stack((odds[(whole & np.uint64(TABLE - 1)).astype(np.int64)], np.maximum.reduceat(got, start), np.add.reduceat(got, start) / count), axis=1).astype(np.float32) / 3
+
+
+def _slot(h: np.ndarray) -> np.ndarray:
+    return ((h >> np.uint64(40)) % np.uint64(SLOTS)).astype(np.int64)
+
+
 @dataclass
 class Network:
     odds: np.ndarray  # log odds by hash of a word or n-gram
     weights: dict[str, np.ndarray]
     slope: float = 1.0
     shift: float = 0.0
+    table: np.ndarray | None = None  # learned vectors by slot of a word or n-gram
 
     def inputs(self, words: list[str]) -> np.ndarray:
         """One row of inputs per word."""
-        out = np.zeros((len(words), INPUTS), np.float32)
         plain = [_plain(w)[:LONGEST] or "\x04" for w in words]
-        whole, grams, start = _hashed(plain)
         if not len(words):
-            return out
-        odds = self.odds[(grams & np.uint64(TABLE - 1)).astype(np.int64)]
+            return np.zeros((0, INPUTS), np.float32)
+        whole, grams, start = _hashed(plain)
         count = np.diff(np.append(start, len(grams))).astype(np.float32)
-        out[:, 0] = self.odds[(whole & np.uint64(TABLE - 1)).astype(np.int64)]
-        out[:, 1] = np.maximum.reduceat(odds, start)
-        out[:, 2] = np.add.reduceat(odds, start) / count
-        out[:, 3] = [(len(w) - len(p)) / 4 for w, p in zip(words, plain)]
-        np.clip(out[:, 3], 0, 1, out=out[:, 3])
-        out[:, :3] /= 3
-        sign = np.where(grams >> np.uint64(63), 1, -1).astype(np.float32)
-        slot = ((grams >> np.uint64(32)) % np.uint64(HASHED)).astype(np.int64)
-        owner = np.repeat(np.arange(len(words)), count.astype(np.int64))
-        np.add.at(out, (owner, 4 + slot), sign)
-        out[:, 4:] /= 2 * np.sqrt(count)[:, None]
-        return out
+        mean = np.add.reduceat(self.table[_slot(grams)], start) / count[:, None]
+        return np.hstack((_odds_of(self.odds, whole, grams, start), _marks(words, plain)[:, None], self.table[_slot(whole)], mean))
 
 
 class Vocabulary(dict):
@@ -188,6 +197,7 @@ def backward(net: Network, rows: np.ndarray, tape, dlogit: np.ndarray) -> dict[s
     """Gradients of all weights for d loss / d logit."""
     w, (idx, mask, h, alpha, pooled, tapes) = net.weights, tape
     grad = {k: np.zeros_like(v) for k, v in w.items()}
+    grad["rows"] = np.zeros_like(rows)  # what the inputs learn
     grad["o"] += pooled.T @ dlogit
     grad["k"][0] += dlogit.sum()
     dpool = dlogit[:, None] * w["o"][None]
@@ -208,6 +218,7 @@ def backward(net: Network, rows: np.ndarray, tape, dlogit: np.ndarray) -> dict[s
             grad["u" + d][:, 2 * HIDDEN :] += h0.T @ (dc * r)
             grad["w" + d] += rows[idx[:, t]].T @ dx
             grad["c" + d] += dx.sum(axis=0)
+            np.add.at(grad["rows"], idx[:, t], dx @ w["w" + d].T)
             dnext = np.where(m, dt * (1 - z), dt) + da @ u[:, : 2 * HIDDEN].T + (dc * r) @ u[:, 2 * HIDDEN :].T
     return grad
 
@@ -241,64 +252,119 @@ def _logits(net: Network, rows: np.ndarray, idx: np.ndarray) -> np.ndarray:
     return np.concatenate([forward(net, rows, idx[i : i + AT_ONCE], projected=projected)[0] for i in range(0, len(idx), AT_ONCE)])
 
 
+def _log_odds(bags: list[np.ndarray], labels: np.ndarray) -> np.ndarray:
+    """Smoothed log odds of the toxic class per slot, shrunk where few texts have it; bags: distinct slots of each text."""
+    seen = np.zeros((2, TABLE), np.float32)
+    for at, y in zip(bags, labels.tolist()):
+        seen[y, at] += 1
+    pos, neg = int(labels.sum()), int((1 - labels).sum())
+    both = seen[0] + seen[1]
+    return ((np.log((seen[1] + 1) / (pos + 2)) - np.log((seen[0] + 1) / (neg + 2))) * both / (both + 4)).astype(np.float32)
+
+
+def _calibrated(top: np.ndarray, y: np.ndarray) -> tuple[float, float]:
+    """Slope and shift of a logistic curve through logits, with a mild pull to the raw logit."""
+    a, b = 1.0, 0.0
+    for _ in range(400):
+        p = _sigmoid(np.clip(a * top + b, -30, 30))
+        a -= 0.5 * (np.mean((p - y) * top) / max(1.0, float(np.mean(top * top))) + 1e-3 * (a - 1))
+        b -= 0.5 * float(np.mean(p - y))
+    return max(a, 0.05), b
+
+
 def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int = 10, least_steps: int = 500) -> Network:
     """The network for labelled texts (0 or 1), both classes present."""
     rng = np.random.default_rng(seed)
-    bag = {1: np.zeros(TABLE, np.int32), 0: np.zeros(TABLE, np.int32)}
-    for t, y in zip(texts, labels.tolist()):
-        whole, grams, _ = _hashed(sorted({_plain(w)[:LONGEST] or "\x04" for w in words_of(t)}))
-        bag[y][np.unique(np.concatenate((whole, grams)) & np.uint64(TABLE - 1)).astype(np.int64)] += 1
-    pos, neg = int(labels.sum()), int((1 - labels).sum())
-    seen = bag[0] + bag[1]
-    odds = (np.log((bag[1] + 1) / (pos + 2)) - np.log((bag[0] + 1) / (neg + 2))) * seen / (seen + 4)
+    part = np.zeros(len(texts), np.int64)
+    for y in (0, 1):  # every class dealt evenly: part -1 calibrates, if both classes have texts for it
+        mine = rng.permutation(np.flatnonzero(labels == y))
+        part[mine] = np.arange(len(mine)) % PARTS
+        if min(labels.sum(), (1 - labels).sum()) >= 4 * HELD:
+            part[mine[::HELD]] = -1
+    learn = np.flatnonzero(part >= 0)
+    cut = [words_of(t) for t in texts]
+    words = sorted({w for i in learn.tolist() for w in cut[i]})
+    code = {w: k for k, w in enumerate(words, 1)}
+    plain = [_plain(w)[:LONGEST] or "\x04" for w in words]
+    whole, grams, start = _hashed(plain)
+    ends = np.append(start, len(grams))
+    count = np.diff(ends)
+    slots = (np.concatenate((whole, grams)) & np.uint64(TABLE - 1)).astype(np.int64)
+    bags = {}
+    for i in learn.tolist():
+        own = np.unique([code[w] - 1 for w in cut[i]]).astype(np.int64)
+        at = np.concatenate([own, *(len(whole) + np.arange(ends[k], ends[k + 1]) for k in own.tolist())]) if len(own) else own
+        bags[i] = np.unique(slots[at])
+    counted = lambda use: _log_odds([bags[i] for i in use.tolist()], labels[use])
+    foreign = np.concatenate([_odds_of(counted(learn[part[learn] != k]), whole, grams, start) for k in range(PARTS)])  # part after part
+    marks, v = _marks(words, plain)[:, None], len(words)
     normal = lambda *s: (rng.normal(size=s) * 0.3).astype(np.float32)
     weights = {"o": normal(2 * HIDDEN), "a": normal(2 * HIDDEN), "k": np.zeros(1, np.float32)}
     for d in ("f", "b"):
         weights |= {"w" + d: normal(INPUTS, 3 * HIDDEN), "u" + d: normal(HIDDEN, 3 * HIDDEN), "c" + d: np.zeros(3 * HIDDEN, np.float32)}
-    net = Network(odds.astype(np.float32), weights)
-    vocab = Vocabulary(net, limit=1 << 40)
+    net = Network(counted(learn), weights, table=normal(SLOTS, VECTOR))
+    own_slot, gram_slot = _slot(whole), _slot(grams)
+
+    def gathered(k: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """n-gram numbers of words k, and where each word's begin."""
+        first = np.cumsum(count[k]) - count[k]
+        return np.arange(count[k].sum()) - np.repeat(first - start[k], count[k]), first
+
+    def rows_of(seen: np.ndarray) -> np.ndarray:
+        """Inputs of words as a part of the sample sees them: row 1 + part * words + word."""
+        k = (seen - 1) % v
+        at, first = gathered(k)
+        mean = np.add.reduceat(net.table[gram_slot[at]], first) / count[k][:, None]
+        return np.hstack((foreign[seen - 1], marks[k], net.table[own_slot[k]], mean)).astype(np.float32)
+
     idx, text = [], []
-    for i, ws in enumerate(map(words_of, texts)):
-        ids = np.concatenate((vocab.ids(ws), [0]))
-        at, _ = windows(np.array([len(ws)]))
+    for i in learn.tolist():
+        ids = np.array([*(code[w] + part[i] * v for w in cut[i]), 0])
+        at, _ = windows(np.array([len(cut[i])]))
         idx.append(ids[at].astype(np.int32))
         text += [i] * len(at)
     idx, text = np.concatenate(idx), np.array(text)
     first = np.searchsorted(text, np.unique(text))
-    y_of, rows = labels[text[first]], vocab.rows
+    y_of = labels[text[first]]
     bounds = np.append(first, len(text))
-    score = rows[idx, 1].max(axis=1)
-    m = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in weights.items()}
-    step = 0
+    pad = np.zeros((1, INPUTS), np.float32)
+    score = np.concatenate((np.zeros(1, np.float32), foreign[:, 1]))[idx].max(axis=1)
+    m = {k: (np.zeros_like(w), np.zeros_like(w)) for k, w in weights.items()}
+    power, step = np.full_like(net.table, 1e-6), 0
     batches = max(1, (len(first) + int((y_of == 0).sum())) // 96)
     epochs = max(least_epochs, -(-least_steps // batches))
     for epoch in range(epochs):
         if epoch and epoch % max(3, epochs // 4) == 0:
-            score = _logits(net, rows, idx)
+            score = _logits(net, np.vstack((pad, rows_of(np.arange(1, PARTS * v + 1)))), idx)
         chosen = np.array([a + int(score[a:b].argmax()) for a, b in zip(bounds[:-1], bounds[1:])])
         extra = rng.integers(bounds[:-1], bounds[1:])[y_of == 0]
         use, y = np.concatenate((chosen, extra)), np.concatenate((y_of, np.zeros(len(extra))))
-        for part in np.array_split(rng.permutation(len(use)), batches):
-            seen, own = np.unique(idx[use[part]], return_inverse=True)  # only the rows that the batch has
-            own, few = own.reshape(idx[use[part]].shape), rows[seen]
-            if seen[0] != 0:  # row 0 stays padding
-                own, few = own + 1, np.concatenate((rows[:1], few))
+        for some in np.array_split(rng.permutation(len(use)), batches):
+            seen, own = np.unique(idx[use[some]], return_inverse=True)  # only the rows that the batch has
+            own = own.reshape(idx[use[some]].shape)
+            if seen[0] == 0:  # row 0 stays padding
+                seen = seen[1:]
+            else:
+                own = own + 1
+            few = np.vstack((pad, rows_of(seen)))
             logit, tape = forward(net, few, own, keep=True)
-            grad = backward(net, few, tape, ((_sigmoid(logit) - y[part]) / len(part)).astype(np.float32))
+            grad = backward(net, few, tape, ((_sigmoid(logit) - y[some]) / len(some)).astype(np.float32))
             step += 1
-            for k, g in grad.items():
+            for k in weights:
                 m1, m2 = m[k]
-                m1 += 0.1 * (g - m1)
-                m2 += 0.001 * (g * g - m2)
+                m1 += 0.1 * (grad[k] - m1)
+                m2 += 0.001 * (grad[k] * grad[k] - m2)
                 weights[k] -= (0.01 * (m1 / (1 - 0.9**step)) / (np.sqrt(m2 / (1 - 0.999**step)) + 1e-8)).astype(np.float32)
-    score = _logits(net, rows, idx)
-    top = np.maximum.reduceat(score, first)
-    a, b = 1.0, 0.0
-    for _ in range(200):  # two-parameter logistic calibration with a mild pull to the raw logit
-        p = _sigmoid(np.clip(a * top + b, -30, 30))
-        a -= 0.5 * (np.mean((p - y_of) * top) / max(1.0, float(np.mean(top * top))) + 1e-3 * (a - 1))
-        b -= 0.5 * float(np.mean(p - y_of))
-    net.slope, net.shift = max(a, 0.05), b
+            k, d = (seen - 1) % v, grad["rows"][1:]
+            at, _ = gathered(k)
+            dt = np.zeros_like(net.table)
+            np.add.at(dt, own_slot[k], d[:, 4 : 4 + VECTOR])
+            np.add.at(dt, gram_slot[at], np.repeat(d[:, 4 + VECTOR :] / count[k][:, None], count[k], axis=0))
+            power += dt * dt
+            net.table -= 0.02 * dt / np.sqrt(power)
+    judge = np.flatnonzero(part < 0) if (part < 0).any() else learn
+    top, _ = strongest(net, Vocabulary(net, limit=1 << 40), [cut[i] for i in judge.tolist()])
+    net.slope, net.shift = _calibrated(np.maximum(top, -30.0), labels[judge])
     return net
 
 
