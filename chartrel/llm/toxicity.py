@@ -252,14 +252,11 @@ def _logits(net: Network, rows: np.ndarray, idx: np.ndarray) -> np.ndarray:
     return np.concatenate([forward(net, rows, idx[i : i + AT_ONCE], projected=projected)[0] for i in range(0, len(idx), AT_ONCE)])
 
 
-def _log_odds(bags: list[np.ndarray], labels: np.ndarray) -> np.ndarray:
-    """Smoothed log odds of the toxic class per slot, shrunk where few texts have it; bags: distinct slots of each text."""
-    seen = np.zeros((2, TABLE), np.float32)
-    for at, y in zip(bags, labels.tolist()):
-        seen[y, at] += 1
-    pos, neg = int(labels.sum()), int((1 - labels).sum())
+def _log_odds(seen: np.ndarray, texts: np.ndarray) -> np.ndarray:
+    """Smoothed log odds of the toxic class per slot, shrunk where few texts have it; counts by class of the texts that hold a slot, and of all."""
     both = seen[0] + seen[1]
-    return ((np.log((seen[1] + 1) / (pos + 2)) - np.log((seen[0] + 1) / (neg + 2))) * both / (both + 4)).astype(np.float32)
+    odds = np.log((seen[1] + 1) / (texts[1] + 2)) - np.log((seen[0] + 1) / (texts[0] + 2))
+    return (odds * both / (both + 4)).astype(np.float32)
 
 
 def _calibrated(top: np.ndarray, y: np.ndarray) -> tuple[float, float]:
@@ -282,47 +279,71 @@ def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int =
         if min(labels.sum(), (1 - labels).sum()) >= 4 * HELD:
             part[mine[::HELD]] = -1
     learn = np.flatnonzero(part >= 0)
-    cut = [words_of(t) for t in texts]
-    words = sorted({w for i in learn.tolist() for w in cut[i]})
-    code = {w: k for k, w in enumerate(words, 1)}
+    code: dict[str, int] = {}
+    ids = {i: np.array([code.setdefault(w, len(code) + 1) for w in words_of(texts[i])], np.int32) for i in learn.tolist()}
+    words = list(code)
+    del code
     plain = [_plain(w)[:LONGEST] or "\x04" for w in words]
     whole, grams, start = _hashed(plain)
     ends = np.append(start, len(grams))
     count = np.diff(ends)
-    slots = (np.concatenate((whole, grams)) & np.uint64(TABLE - 1)).astype(np.int64)
-    bags = {}
+    slot_of = lambda h: (h & np.uint64(TABLE - 1)).astype(np.int32)
+    word_at, gram_at = slot_of(whole), slot_of(grams)
+    seen, many = np.zeros((PARTS, 2, TABLE), np.float32), np.zeros((PARTS, 2))
     for i in learn.tolist():
-        own = np.unique([code[w] - 1 for w in cut[i]]).astype(np.int64)
-        at = np.concatenate([own, *(len(whole) + np.arange(ends[k], ends[k + 1]) for k in own.tolist())]) if len(own) else own
-        bags[i] = np.unique(slots[at])
-    counted = lambda use: _log_odds([bags[i] for i in use.tolist()], labels[use])
-    foreign = np.concatenate([_odds_of(counted(learn[part[learn] != k]), whole, grams, start) for k in range(PARTS)])  # part after part
+        own = np.unique(ids[i]).astype(np.int64) - 1
+        at = np.unique(np.concatenate([word_at[own], *(gram_at[ends[k] : ends[k + 1]] for k in own.tolist())]))
+        seen[part[i], labels[i], at] += 1
+        many[part[i], labels[i]] += 1
+    every, all_of = seen.sum(axis=0), many.sum(axis=0)
+    foreign = np.concatenate([_odds_of(_log_odds(every - seen[k], all_of - many[k]), whole, grams, start) for k in range(PARTS)])  # part after part
+    odds = _log_odds(every, all_of)
+    del seen, every
     marks, v = _marks(words, plain)[:, None], len(words)
+    del words
     normal = lambda *s: (rng.normal(size=s) * 0.3).astype(np.float32)
     weights = {"o": normal(2 * HIDDEN), "a": normal(2 * HIDDEN), "k": np.zeros(1, np.float32)}
     for d in ("f", "b"):
         weights |= {"w" + d: normal(INPUTS, 3 * HIDDEN), "u" + d: normal(HIDDEN, 3 * HIDDEN), "c" + d: np.zeros(3 * HIDDEN, np.float32)}
-    net = Network(counted(learn), weights, table=normal(SLOTS, VECTOR))
-    own_slot, gram_slot = _slot(whole), _slot(grams)
+    net = Network(odds, weights, table=normal(SLOTS, VECTOR))
+    own_slot, gram_slot = _slot(whole).astype(np.int32), _slot(grams).astype(np.int32)
+    del whole, grams, word_at, gram_at, plain
 
     def gathered(k: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """n-gram numbers of words k, and where each word's begin."""
         first = np.cumsum(count[k]) - count[k]
         return np.arange(count[k].sum()) - np.repeat(first - start[k], count[k]), first
 
+    def vectors_of(k: np.ndarray) -> np.ndarray:
+        """Learned inputs of words k."""
+        at, first = gathered(k)
+        return np.hstack((net.table[own_slot[k]], np.add.reduceat(net.table[gram_slot[at]], first) / count[k][:, None])).astype(np.float32)
+
     def rows_of(seen: np.ndarray) -> np.ndarray:
         """Inputs of words as a part of the sample sees them: row 1 + part * words + word."""
         k = (seen - 1) % v
-        at, first = gathered(k)
-        mean = np.add.reduceat(net.table[gram_slot[at]], first) / count[k][:, None]
-        return np.hstack((foreign[seen - 1], marks[k], net.table[own_slot[k]], mean)).astype(np.float32)
+        return np.hstack((foreign[seen - 1], marks[k], vectors_of(k)))
+
+    def window_scores() -> np.ndarray:
+        """Logits of all windows, part by part, so that one part's inputs are held at a time."""
+        out, rows = np.empty(len(idx), np.float32), np.zeros((1 + v, INPUTS), np.float32)
+        rows[1:, 3] = marks[:, 0]
+        for lo in range(0, v, 4096):  # words in short runs
+            k = np.arange(lo, min(v, lo + 4096))
+            rows[1 + k, 4:] = vectors_of(k)
+        for p in range(PARTS):
+            mine = np.flatnonzero(part[text] == p)
+            if len(mine):
+                rows[1:, :3] = foreign[p * v : (p + 1) * v]
+                out[mine] = _logits(net, rows, np.where(idx[mine] > 0, idx[mine] - p * v, 0))
+        return out
 
     idx, text = [], []
     for i in learn.tolist():
-        ids = np.array([*(code[w] + part[i] * v for w in cut[i]), 0])
-        at, _ = windows(np.array([len(cut[i])]))
-        idx.append(ids[at].astype(np.int32))
+        at, _ = windows(np.array([len(ids[i])]))
+        idx.append(np.append(ids[i] + np.int32(part[i] * v), np.int32(0))[at])
         text += [i] * len(at)
+    del ids
     idx, text = np.concatenate(idx), np.array(text)
     first = np.searchsorted(text, np.unique(text))
     y_of = labels[text[first]]
@@ -335,7 +356,7 @@ def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int =
     epochs = max(least_epochs, -(-least_steps // batches))
     for epoch in range(epochs):
         if epoch and epoch % max(3, epochs // 4) == 0:
-            score = _logits(net, np.vstack((pad, rows_of(np.arange(1, PARTS * v + 1)))), idx)
+            score = window_scores()
         chosen = np.array([a + int(score[a:b].argmax()) for a, b in zip(bounds[:-1], bounds[1:])])
         extra = rng.integers(bounds[:-1], bounds[1:])[y_of == 0]
         use, y = np.concatenate((chosen, extra)), np.concatenate((y_of, np.zeros(len(extra))))
@@ -363,7 +384,9 @@ def fit(texts: list[str], labels: np.ndarray, seed: int = 5, least_epochs: int =
             power += dt * dt
             net.table -= 0.02 * dt / np.sqrt(power)
     judge = np.flatnonzero(part < 0) if (part < 0).any() else learn
-    top, _ = strongest(net, Vocabulary(net, limit=1 << 40), [cut[i] for i in judge.tolist()])
+    top, vocab = np.empty(len(judge)), Vocabulary(net)
+    for lo in range(0, len(judge), 64):
+        top[lo : lo + 64] = strongest(net, vocab, [words_of(texts[i]) for i in judge[lo : lo + 64].tolist()])[0]
     net.slope, net.shift = _calibrated(np.maximum(top, -30.0), labels[judge])
     return net
 
