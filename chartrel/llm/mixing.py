@@ -205,10 +205,12 @@ def shuffled_mix(docs: DataFrame, layout: DataFrame, by_source: DataFrame, block
 
     This is what a writer of training files reads. Blank runs inside a block become one blank.
     """
-    key = ["doc_id", "source", "digest"]
-    own = docs.filter("text is not null").select("doc_id", "source", F.xxhash64("text").alias("digest"), "text").dropDuplicates(key)
-    wanted = layout.join(by_source.select("code", "source"), "code").select("doc_id", "source", "digest", "twin", "block", "epoch", "shard", "place")
-    met = wanted.join(own, [wanted[c].eqNullSafe(own[c]) for c in key])
-    words = F.slice(F.regexp_extract_all("text", F.lit(f"({WORD})")), F.col("block") * block_words + 1, F.lit(block_words))
-    met = met.select("shard", "place", "epoch", wanted["doc_id"], "twin", "block", F.array_join(words, " ").alias("text"))
+    name = [F.xxhash64(F.lit(k), "doc_id", "source", "digest").alias(f"_n{k}") for k in (1, 2)]  # 128 bits, never null
+    own = docs.filter("text is not null").select("doc_id", "source", F.xxhash64("text").alias("digest"), F.regexp_extract_all("text", F.lit(f"({WORD})")).alias("_w")).filter(F.size("_w") > 0)
+    # Words are cut once per text, blocks travel on their own: a long text is no task of its own.
+    last = F.floor((F.size("_w") - 1) / block_words).cast("int")
+    cut = F.transform(F.sequence(F.lit(0), last), lambda i: F.array_join(F.slice("_w", i * block_words + 1, F.lit(block_words)), " "))
+    own = own.select(*name, F.posexplode(cut).alias("block", "text")).dropDuplicates(["_n1", "_n2", "block"])
+    wanted = layout.join(by_source.select("code", "source"), "code").select(*name, "doc_id", "twin", "block", "epoch", "shard", "place")
+    met = wanted.join(own, ["_n1", "_n2", "block"]).select("shard", "place", "epoch", "doc_id", "twin", "block", "text")
     return met.repartition(parts(docs.sparkSession), "shard").sortWithinPartitions("shard", "place", "epoch", "doc_id", "twin", "block")
