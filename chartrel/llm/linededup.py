@@ -70,7 +70,7 @@ def dedup_lines(docs: DataFrame, min_tokens: int = MIN_TOKENS) -> DataFrame:
     """``docs`` with the text less its dropped lines, and ``dropped_lines``, the number dropped."""
     gone = dropped_lines(docs.select("doc_id", "text"), min_tokens).withColumnRenamed("doc_id", "__chartrel_id").withColumnRenamed("lines", "__chartrel_gone")
     names = [c for c in docs.columns if c != "dropped_lines"]
-    full = docs.join(gone, F.col("doc_id") == F.col("__chartrel_id"), "left")
+    full = docs.join(gone.hint("merge"), F.col("doc_id") == F.col("__chartrel_id"), "left")  # what goes grows with the texts: one plan at every size
     full = full.withColumn("__chartrel_lines", F.when(F.col("__chartrel_gone").isNotNull(), F.split("text", "\n")))
     left = F.array_except(F.sequence(F.lit(0), F.size("__chartrel_lines") - 1), "__chartrel_gone")  # a set difference: linear in the lines
     full = full.withColumn("__chartrel_left", F.when(F.col("__chartrel_lines").isNotNull(), left))
