@@ -63,7 +63,8 @@ def cells(hist: DataFrame) -> DataFrame:
 
 
 def distances(x: np.ndarray, c: np.ndarray) -> np.ndarray:
-    return ((x[:, None, :] - c[None]) ** 2).sum(axis=2)
+    """Squared distances, centre by centre: memory of a few columns for any number of colours."""
+    return np.stack([((x - one) ** 2).sum(axis=1) for one in c], axis=1)
 
 
 def _groupings(n: int) -> list[tuple[int, ...]]:
@@ -301,11 +302,6 @@ def np_series(img: np.ndarray, rule: str = "corrected", threshold: int = SATURAT
     """k, and the colour and mask of every series of one image: the whole chain from pixels to single-series images."""
     use = np_saturate(img, threshold) if clean else img
     x, w = np_histogram(use)
-    if len(x) > 4096:  # an uncleaned photograph: merge colours to 5 bits a channel, weights summed
-        key, where = np.unique(x // 8, axis=0, return_inverse=True)
-        x, w = key * 8 + 4, np.bincount(where.ravel(), weights=w)
-        at = np.argsort(-w, kind="stable")
-        x, w = x[at], w[at]
     errors, fits = sweep(x, w)
     k = chosen(errors, rule)
     c, own = fits[k - 1]

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.color import with_hsv
+from .truth import against
 
 
 def label_within(a: Column, b: Column, limit: int) -> Column:
@@ -89,12 +90,8 @@ def raw(pred: DataFrame, truth: DataFrame) -> DataFrame:
 
 def boundary(rho: DataFrame, low: tuple[int, int] = (1, 4), high: tuple[int, int] = (11, 20)) -> DataFrame:
     """Series with low <= |rho| <= high (the cut 0.4 give or take 0.15), by exact ratios; rho: output of ``truth.spearman``."""
-    d = "decimal(38,0)"
-    sq = F.col("num").cast("decimal(18,0)") * F.col("num").cast("decimal(18,0)")
-    den = F.col("den").cast("decimal(34,0)")
-    above = (F.lit(low[1] ** 2).cast("decimal(4,0)") * sq.cast("decimal(34,0)")).cast(d) >= (F.lit(low[0] ** 2).cast("decimal(4,0)") * den).cast(d)
-    below = (F.lit(high[1] ** 2).cast("decimal(4,0)") * sq.cast("decimal(34,0)")).cast(d) <= (F.lit(high[0] ** 2).cast("decimal(4,0)") * den).cast(d)
-    return rho.filter((F.col("den") > 0) & above & below)
+    sums = F.col("xy"), F.col("xx"), F.col("yy")
+    return rho.filter((F.col("xx") > 0) & (F.col("yy") > 0) & (against(*sums, low) >= 0) & (against(*sums, high) <= 0))
 
 
 def without_boundary(df: DataFrame, rho: DataFrame, unit: str = "chart") -> DataFrame:

@@ -9,44 +9,69 @@ from pyspark.sql import functions as F
 
 UP, DOWN, FLAT, NONE = "increasing", "decreasing", "neutral", "undefined"
 SERIES = ("chart_id", "series_key")
-#: Points of a series up to which the exact test fits 38 digits; beyond it doubles decide.
-EXACT_POINTS = 10_000
+#: Products of ranks are summed as two longs, their bits above and below this one.
+LOW_BITS = 31
 
 
 def rank_sums(points: DataFrame, by: tuple[str, ...] = SERIES) -> DataFrame:
-    """n and sums of doubled mid-ranks a (of x) and b (of y): one exchange, two sorts, for any number of series."""
+    """n and, about their means, the sums of products of doubled mid-ranks of x and y (xy, xx, yy): one exchange, two sorts.
+
+    Exact up to a thousand million points a series. The mean of doubled mid-ranks is n + 1, ties or not.
+    """
     def doubled(c: str) -> Column:
         w = Window.partitionBy(*by).orderBy(c)
         return (2 * F.rank().over(w) + F.count("*").over(w.rangeBetween(0, 0)) - 1).cast("long")
 
     ranked = points.select(*by, doubled("x").alias("a"), doubled("y").alias("b"))
-    s = lambda e: F.sum(e)
-    return ranked.groupBy(*by).agg(F.count("*").alias("n"), s("a").alias("sa"), s("b").alias("sb"), s(F.col("a") * F.col("b")).alias("sab"), s(F.col("a") * F.col("a")).alias("saa"), s(F.col("b") * F.col("b")).alias("sbb"))
+    products = {"xy": F.col("a") * F.col("b"), "xx": F.col("a") * F.col("a"), "yy": F.col("b") * F.col("b")}
+    halves = [e for name, p in products.items() for e in (F.sum(F.shiftright(p, LOW_BITS)).alias(f"{name}_high"), F.sum(p.bitwiseAND(F.lit((1 << LOW_BITS) - 1))).alias(f"{name}_low"))]
+    sums = ranked.groupBy(*by).agg(F.count("*").alias("n"), *halves)
+    whole = lambda c: F.col(c).cast("decimal(19,0)")
+    mean = ((whole("n") + 1) * (whole("n") + 1)).cast("decimal(20,0)")
+    about = lambda s: (whole(f"{s}_high") * F.lit(1 << LOW_BITS) + whole(f"{s}_low") - whole("n") * mean).cast("decimal(30,0)")
+    return sums.select(*by, "n", *(about(s).alias(s) for s in products))
+
+
+def against(num: Column, vx: Column, vy: Column, ratio: tuple[int, int]) -> Column:
+    """Sign of num^2 / (vx vy) less the square of p / q, exactly: integers of up to 30 digits, multiplied in halves of 15."""
+    p, q = ratio
+    base = F.lit(10**15).cast("decimal(16,0)")
+
+    def halves(v: Column) -> tuple[Column, Column]:
+        low = F.pmod(v, base)
+        return ((v - low) / base).cast("decimal(15,0)"), low.cast("decimal(15,0)")
+
+    (a, b), (c, d), (e, f) = halves(F.abs(num)), halves(vx), halves(vy)
+    left, right = F.lit(q * q).cast("decimal(4,0)"), F.lit(p * p).cast("decimal(4,0)")
+    wide = lambda v: v.cast("decimal(36,0)")
+    digits = [wide(left * wide(x)) - wide(right * wide(y)) for x, y in ((b * b, d * f), (2 * a * b, c * f + d * e), (a * a, c * e))]
+    rest, carry = [], F.lit(0).cast("decimal(36,0)")
+    for v in digits[:2]:
+        v = wide(v + carry)
+        low = F.pmod(v, base)
+        rest.append(low)
+        carry = wide((v - low) / base)
+    top = wide(digits[2] + carry)
+    return F.when(top != 0, F.signum(top.cast("double"))).when((rest[0] > 0) | (rest[1] > 0), F.lit(1.0)).otherwise(F.lit(0.0)).cast("int")
 
 
 def spearman(points: DataFrame, by: tuple[str, ...] = SERIES, ties: str = "mid") -> DataFrame:
-    """by, n, num, den (rho = num / sqrt(den)), rho; ``ties="none"`` is the formula for distinct ranks."""
+    """by, n, xy, xx, yy (rho = xy / sqrt(xx yy)), rho; ``ties="none"`` is the formula for distinct ranks."""
     if ties == "none":
         def plain(c: str) -> Column:
             return F.row_number().over(Window.partitionBy(*by).orderBy(c, *(x for x in ("x", "y") if x != c)))
 
         d = points.select(*by, (plain("x") - plain("y")).cast("long").alias("d")).groupBy(*by).agg(F.count("*").alias("n"), F.sum(F.col("d") * F.col("d")).alias("dd"))
         return d.withColumn("rho", F.when(F.col("n") > 1, 1 - 6 * F.col("dd") / (F.col("n") * (F.col("n") * F.col("n") - 1))))
-    d = "decimal(38,0)"
-    n = F.col("n").cast("decimal(19,0)")
-    var = lambda s, q: (n * F.col(q).cast("decimal(19,0)") - F.col(s).cast("decimal(19,0)") * F.col(s).cast("decimal(19,0)")).cast("decimal(19,0)")
-    out = rank_sums(points, by)
-    out = out.withColumn("num", (n * F.col("sab").cast("decimal(19,0)") - F.col("sa").cast("decimal(19,0)") * F.col("sb").cast("decimal(19,0)")).cast(d))
-    out = out.withColumn("den", (var("sa", "saa") * var("sb", "sbb")).cast(d))
-    return out.withColumn("rho", F.when(F.col("den") > 0, F.col("num").cast("double") / F.sqrt(F.col("den").cast("double")))).withColumn("_flat_x", var("sa", "saa") == 0).withColumnRenamed("_flat_x", "flat_x")
+    s = rank_sums(points, by)
+    root = F.sqrt(F.col("xx").cast("double")) * F.sqrt(F.col("yy").cast("double"))
+    return s.withColumn("rho", F.when((F.col("xx") > 0) & (F.col("yy") > 0), F.col("xy").cast("double") / root))
 
 
 def classified(rho: DataFrame, cut: tuple[int, int] = (2, 5)) -> DataFrame:
     """``relation`` by rho beyond +-cut (a ratio), strictly; constant y is neutral, under two points or constant x undefined."""
-    p, q = cut
-    d = "decimal(38,0)"
-    beyond = F.when(F.col("n") <= EXACT_POINTS, (F.lit(q * q).cast("decimal(4,0)") * (F.col("num") * F.col("num")).cast("decimal(34,0)")).cast(d) > (F.lit(p * p).cast("decimal(4,0)") * F.col("den").cast("decimal(34,0)")).cast(d)).otherwise(F.abs("rho") > p / q)
-    label = F.when((F.col("n") < 2) | F.col("flat_x"), NONE).when(F.col("den") == 0, FLAT).when(beyond & (F.col("num") > 0), UP).when(beyond & (F.col("num") < 0), DOWN).otherwise(FLAT)
+    beyond = against(F.col("xy"), F.col("xx"), F.col("yy"), cut) > 0
+    label = F.when((F.col("n") < 2) | (F.col("xx") == 0), NONE).when(F.col("yy") == 0, FLAT).when(beyond & (F.col("xy") > 0), UP).when(beyond & (F.col("xy") < 0), DOWN).otherwise(FLAT)
     return rho.withColumn("relation", label)
 
 

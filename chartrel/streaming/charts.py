@@ -61,22 +61,31 @@ def batch_relations(sink: Callable[[DataFrame, int], None]) -> Callable[[DataFra
     return one
 
 
-def stateful_relations(df: DataFrame, most: int = 500, idle: str = "1 day") -> DataFrame:
-    """user_id, event_type, n, relation, re-emitted whenever points arrive; state keeps the latest ``most`` points per key and ends after ``idle`` without any."""
+def _step(most: int | None, idle: str, key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+    if state.hasTimedOut:
+        state.remove()
+        return
+    x, y = (list(v) for v in state.get) if state.exists else ([], [])
+    for f in frames:
+        x += [int(v) for v in f["x"]]
+        y += [int(v) for v in f["y"]]
+    if most is not None and len(x) > most:
+        order = sorted(range(len(x)), key=lambda i: (x[i], y[i]))[len(x) - most :]
+        x, y = [x[i] for i in order], [y[i] for i in order]
+    state.update((x, y))
+    state.setTimeoutDuration(86_400_000 if idle == "1 day" else int(idle))
+    yield pd.DataFrame({"user_id": [key[0]], "event_type": [key[1]], "n": [len(x)], "relation": [relation(x, y)]})
+
+
+def stateful_relations(df: DataFrame, most: int | None = None, idle: str = "1 day") -> DataFrame:
+    """user_id, event_type, n, relation, re-emitted whenever points arrive; state ends after ``idle`` without any.
+
+    A rank correlation needs every point, so state holds all of a key until then and the stream ends where a batch does;
+    ``most`` bounds it to the latest points where that is wanted, and the relation is then theirs alone.
+    """
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        if state.hasTimedOut:
-            state.remove()
-            return
-        x, y = (list(v) for v in state.get) if state.exists else ([], [])
-        for f in frames:
-            x += [int(v) for v in f["x"]]
-            y += [int(v) for v in f["y"]]
-        order = sorted(range(len(x)), key=lambda i: (x[i], y[i]))[-most:]
-        x, y = [x[i] for i in order], [y[i] for i in order]
-        state.update((x, y))
-        state.setTimeoutDuration(86_400_000 if idle == "1 day" else int(idle))
-        yield pd.DataFrame({"user_id": [key[0]], "event_type": [key[1]], "n": [len(x)], "relation": [relation(x, y)]})
+        yield from _step(most, idle, key, frames, state)
 
     points = df.select("user_id", "event_type", F.unix_micros("ts").alias("x"), F.round(F.col("value") * 100).cast("long").alias("y"))
     return points.groupBy("user_id", "event_type").applyInPandasWithState(step, "user_id long, event_type string, n long, relation string", "x array<long>, y array<long>", "update", GroupStateTimeout.ProcessingTimeTimeout)

@@ -28,6 +28,51 @@ def test_relation_boundary_cases(spark):
     assert by[1, "const"] == "neutral" and by[1, "one"] == "undefined" and by[1, "up"] == "increasing" and by[1, "down"] == "decreasing"
 
 
+def test_long_series_are_decided_exactly(spark):
+    n = 150_000
+    spread = F.col("id") * 104_729 % n
+    rising = spark.range(n).select(F.lit(1).cast("long").alias("chart_id"), F.lit("up").alias("series_key"), F.col("id").alias("x"), (spread + F.col("id")).alias("y"))
+    mixed = spark.range(n).select(F.lit(1).cast("long").alias("chart_id"), F.lit("flat").alias("series_key"), F.col("id").alias("x"), spread.alias("y"))
+    got = {r["series_key"]: r for r in truth.relations(rising.unionByName(mixed)).collect()}
+    x, s = np.arange(n), np.arange(n) * 104_729 % n
+    for name, y in (("up", s + x), ("flat", s)):
+        assert got[name]["n"] == n and got[name]["relation"] == registry.relation(x, y) and abs(got[name]["rho"] - registry.rho(x, y)) < 1e-6
+    assert got["up"]["relation"] == "increasing" and got["flat"]["relation"] == "neutral"
+
+
+def test_cut_is_exact_beyond_38_digits(spark):
+    rng = random.Random(4)
+    rows = []
+    for _ in range(200):
+        z = rng.choice((10**3, 10**14, 10**15, 10**27))
+        v = rng.randrange(1, z)
+        rows.append((2 * v, 5 * v, 5 * v))  # at the cut
+        rows += [(2 * v + d, 5 * v, 5 * v + e) for d, e in ((1, 0), (-1, 0), (0, 1), (0, -1))]
+        rows += [(-2 * v, 25 * v, v), (rng.randrange(-z, z), rng.randrange(1, z + 1), rng.randrange(1, z + 1))]
+    df = spark.createDataFrame([tuple(str(x) for x in r) for r in rows], "a string, b string, c string").select(*(F.col(c).cast("decimal(30,0)") for c in "abc"))
+    for p, q in ((2, 5), (11, 20)):
+        for r in df.withColumn("s", truth.against(F.col("a"), F.col("b"), F.col("c"), (p, q))).collect():
+            a, b, c = int(r["a"]), int(r["b"]), int(r["c"])
+            d = q * q * a * a - p * p * b * c
+            assert r["s"] == (d > 0) - (d < 0)
+
+
+def test_uncleaned_colours_are_not_merged():
+    rng = np.random.default_rng(2)
+    img = np.full((120, 120, 3), 255, np.uint8)
+    img[20:100, 20:100] = (250, 3, 1)
+    img[:80, 100:] = rng.integers(0, 256, (80, 20, 3))
+    img[100:, :] = rng.integers(0, 256, (20, 120, 3))
+    x, w = cluster.np_histogram(img)
+    assert len(x) > 3000 and w.sum() == 120 * 120
+    k, found = cluster.np_series(img, clean=False)
+    errors, fits = cluster.sweep(x, w)
+    c, own = fits[k - 1]
+    weight = np.array([w[own == j].sum() for j in range(len(c))])
+    order = [j for j in np.argsort(-weight, kind="stable").tolist() if weight[j] > 0][1:]
+    assert k == cluster.chosen(errors) and {rgb for rgb, _ in found} <= {tuple(np.rint(c[j]).astype(int).tolist()) for j in order}
+
+
 def test_exact_tie_of_five_is_neutral(spark):
     for ys in itertools.permutations(range(1, 6)):
         if sum((i + 1 - y) ** 2 for i, y in enumerate(ys)) == 12:

@@ -1,6 +1,8 @@
 """Streams give what batches give."""
 
 import numpy as np
+import pandas as pd
+import pytest
 from pyspark.sql import functions as F
 
 from chartrel.operators import learned
@@ -36,6 +38,28 @@ def test_stateful_relations_reach_the_batch(spark, small, tmp_path):
     assert got == want
 
 
+class Held:
+    """State of one key, kept between batches."""
+
+    exists, hasTimedOut, get = False, False, None
+
+    def update(self, value):
+        self.exists, self.get = True, value
+
+    def setTimeoutDuration(self, _):
+        pass
+
+
+@pytest.mark.parametrize("most,n,relation", [(None, 1200, "increasing"), (400, 400, "decreasing")])
+def test_state_keeps_every_point_unless_bounded(most, n, relation):
+    x = np.arange(1200)
+    y = np.where(x < 800, x, 2000 - x)  # rises for 800 points, falls for 400
+    state, out = Held(), None
+    for part in np.array_split(x, 7):
+        out = pd.concat(charts._step(most, "1 day", (7, "view"), iter([pd.DataFrame({"x": part, "y": y[part]})]), state))
+    assert out.to_dict("records") == [{"user_id": 7, "event_type": "view", "n": n, "relation": relation}]
+
+
 def test_chart_files_stream(spark, tmp_path):
     src = tmp_path / "in"
     src.mkdir()
