@@ -1,12 +1,21 @@
 """Workloads compute a table once, keep no images of whole corpora and run the pixel chain once per image and setting."""
 
 import numpy as np
+import pytest
 
 from chartrel.operators import cluster, learned, nn, raster
 from chartrel.plans import experiments
 from chartrel.sources.families import FAMILIES
 
 
+@pytest.fixture
+def kept(monkeypatch):
+    """Columns of what a workload keeps."""
+    out, held = [], experiments.held
+    monkeypatch.setattr(experiments, "held", lambda df: out.append(df.columns) or held(df))
+    return out
+
+
 def test_what_is_held_has_no_lineage(spark, small):
     df = experiments.held(experiments.training_points(spark, small))
     assert "Window" not in df._jdf.queryExecution().withCachedData().toString() and df.count() > 0
@@ -22,6 +31,11 @@ def test_variants_are_the_single_predictions(spark, small):
         assert rows(got.filter(got["variant"] == name).drop("variant")) == rows(learned.predict(images, **how))
 
 
+def test_cleaning_keeps_no_images(spark, small, kept):
+    rows = experiments.cleaning_ablation(spark, small).collect()
+    assert len(rows) == 6 and kept and not any("data" in c for c in kept)
+
+
 def test_a_colour_is_measured_once(monkeypatch):
     img = np.full((raster.H, raster.W, 3), 255, np.uint8)
     for k, c in enumerate(((255, 0, 0), (0, 160, 0), (250, 4, 4))):
