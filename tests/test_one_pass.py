@@ -36,6 +36,12 @@ def test_cleaning_keeps_no_images(spark, small, kept):
     assert len(rows) == 6 and kept and not any("data" in c for c in kept)
 
 
+def test_detectors_share_one_prediction(spark, small, monkeypatch):
+    calls, predict = [], learned.predict
+    monkeypatch.setattr(learned, "predict", lambda *a, **k: calls.append(1) or predict(*a, **k))
+    assert len(experiments.detector_cost(spark, small).collect()) == 15 and len(calls) == 1
+
+
 def test_a_colour_is_measured_once(monkeypatch):
     img = np.full((raster.H, raster.W, 3), 255, np.uint8)
     for k, c in enumerate(((255, 0, 0), (0, 160, 0), (250, 4, 4))):
