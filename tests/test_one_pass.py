@@ -53,3 +53,10 @@ def test_a_colour_is_measured_once(monkeypatch):
     use = cluster.np_saturate(img)
     for rgb, mask in found:
         assert (mask == cluster.np_mask(hsv(use), cluster.np_boxes(np.array([rgb]))[0])).all()
+
+
+def test_sizes_of_training_share_one_pass(spark, small, monkeypatch, kept):
+    calls, each = [], learned.predict_each
+    monkeypatch.setattr(experiments, "model_for", lambda points, n, seed=0, **_: nn.Cnn(1, seed))
+    monkeypatch.setattr(learned, "predict_each", lambda images, variants: calls.append(len(variants)) or each(images, variants))
+    assert len(experiments.training_size(spark, small).collect()) == 12 and calls == [6] and not any("data" in c for c in kept)
