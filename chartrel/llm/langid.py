@@ -4,7 +4,7 @@ Letters are lower-cased, every other run of characters becomes one blank. Counts
 rows and are summed by Spark; lower orders follow from them, in Spark, as continuation counts. The finished models are one table:
 sorted 64-bit n-gram hashes beside a row of log probabilities, one column per language, so one binary search scores a
 character in all languages. The language of lowest mean cross-entropy wins; texts whose cross-entropy lies above the
-calibrated bound of the winner are marked ``rejected``.
+bound of the winner, calibrated on all training rows, are marked ``rejected``.
 
 Defined results: a null text, or one without a letter, is ``und`` with score 0 and is rejected. Ties go to the language
 first by code point. Rows of null language or null text are not learned from; repeated rows count as often as they
@@ -23,15 +23,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, fold, mix, sliced, slices, text_batches
+from .common import Scratch, fold, mix, sliced, slices, stored, text_batches
 
 ORDER = 4
 BLANK = 32
-#: Rows per language that calibrate score and rejection.
-CALIBRATION_ROWS = 400
+#: Cells per nat in which cross-entropies and margins of training rows are counted.
+CELLS = 4096
 CHARS = 1 << 19
-#: Languages whose sampling bounds are broadcast.
-BROADCAST_LANGUAGES = 100_000
 
 _FIRST = 1 << 16
 _AHEAD = np.full(ORDER - 1, BLANK, np.uint32)
@@ -239,72 +237,125 @@ def entropies(model: KneserNey, texts: list[str]) -> tuple[np.ndarray, np.ndarra
     return -out / np.maximum(size, 1)[:, None], size
 
 
-def calibration_sample(rows: DataFrame, n: int) -> dict[str, list[str]]:
-    """About ``n`` texts per language by a bound on the hash of id and text: one pass over all languages. Equal rows count once."""
-    many = {r["lang"]: r["count"] for r in rows.groupBy("lang").count().collect()}
-    bounds = rows.sparkSession.createDataFrame([(g, int(min(1.0, n / c) * (1 << 30))) for g, c in many.items()], "lang string, _bound long")
-    bounds = F.broadcast(bounds) if len(many) <= BROADCAST_LANGUAGES else bounds
-    h = F.pmod(F.xxhash64(F.lit(11), "doc_id", "text"), F.lit(1 << 30))
-    out: dict[str, list[str]] = {g: [] for g in many}
-    for r in rows.select("doc_id", "lang", "text").join(bounds, "lang").filter(h < F.col("_bound")).drop("_bound").dropDuplicates().select("lang", "text").collect():
-        out[r["lang"]].append(r["text"])
-    return out
+def train(rows: DataFrame, calibration: int | None = None) -> KneserNey | None:
+    """Models of all counts over ``rows`` (doc_id, lang, text), calibrated on all of them; ``calibration`` is read no more."""
+    rows = rows.filter("lang is not null and text is not null")
+    model = _models(rows)
+    if model is not None:
+        keep = Scratch(rows.sparkSession)
+        calibrate(model, keep(scored(rows.withColumn("held_out", F.lit(False)), model), "entropies"))
+        keep.clear()
+    return model
 
 
-def train(rows: DataFrame, calibration: int = CALIBRATION_ROWS) -> KneserNey | None:
-    """Models of all counts over ``rows`` (doc_id, lang, text); score and rejection from a bounded sample by hash."""
-    rows = rows.filter("lang is not null and text is not null")
+def _models(rows: DataFrame) -> KneserNey | None:
+    """The same without score and rejection."""
     keep = Scratch(rows.sparkSession)
     levels = []
     for level in levels_of(keep(count_grams(rows), "gram-counts")):
         got = level.toArrow()
         levels.append((got.column("lang").to_pylist(), got.column("gram").to_pylist(), got.column("n").to_numpy()))
     keep.clear()
-    if not levels[-1][0]:
-        return None
-    model = assembled(levels)
-    gaps = []
-    for g, texts in sorted(calibration_sample(rows, calibration).items()):
-        ce, size = entropies(model, sorted(t for t in texts if len(letters(t)) > ORDER))
-        if not len(ce) or g not in model.langs:
-            continue
-        l = model.langs.index(g)
-        model.bound[l] = np.quantile(ce[:, l], 0.995) * 1.25
-        if ce.shape[1] > 1:
-            other = np.delete(ce, l, axis=1).min(axis=1)
-            gaps += (other - ce[:, l]).tolist()
-    margin = float(np.median(np.abs(gaps))) if gaps else 1.0
-    model.scale = 4.0 / max(margin, 1e-6)
-    return model
+    return assembled(levels) if levels[-1][0] else None
 
 
-def predictor(shared):
+def scored(rows: DataFrame, model: KneserNey | None) -> DataFrame:
+    """doc_id, held_out, lang, size and mean cross-entropies in every language (h) of whole texts."""
+    shared = rows.sparkSession.sparkContext.broadcast(model)  # grows with the distinct four-grams of the languages, not with rows
+
     def run(batches):
-        model: KneserNey = shared.value
         for batch in sliced(batches):
             texts = [t or "" for t in batch.column("text").to_pylist()]
-            if model is None:
-                lang, score, ce, no = ["und"] * len(texts), np.zeros(len(texts)), [None] * len(texts), [True] * len(texts)
+            h, size = entropies(shared.value, texts) if shared.value is not None else (np.zeros((len(texts), 0)), np.zeros(len(texts)))
+            ends = np.arange(len(texts) + 1, dtype=np.int32) * h.shape[1]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), batch.column("lang"), pa.array(size, pa.float64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(h.ravel(), pa.float64()))], names=["doc_id", "held_out", "lang", "size", "h"])
+
+    return rows.select("doc_id", "held_out", "lang", "text").mapInArrow(run, "doc_id long, held_out boolean, lang string, size double, h array<double>")
+
+
+def _cells(langs: list[str]):
+    at = {g: i for i, g in enumerate(langs)}
+
+    def run(batches):
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            own = np.array([at[g] for g in batch.column("lang").to_pylist()])
+            h = batch.column("h").flatten().to_numpy().reshape(batch.num_rows, len(langs))
+            i = np.arange(len(own))
+            mine = h[i, own]
+            kinds = [(own, mine)]
+            if len(langs) > 1:
+                rest = h.copy()
+                rest[i, own] = np.inf
+                kinds.append((np.full(len(own), -1), np.abs(rest.min(axis=1) - mine)))
+            for kind, v in kinds:
+                pair, n = np.unique(np.stack((kind, np.rint(v * CELLS).astype(np.int64))), axis=1, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(pair[0], pa.int64()), pa.array(pair[1], pa.int64()), pa.array(n, pa.int64())], names=["kind", "cell", "n"])
+
+    return run
+
+
+def quantile(cells: np.ndarray, n: np.ndarray, q: float) -> float:
+    """A quantile, interpolated between neighbours, of values counted in cells (sorted)."""
+    ends = np.cumsum(n)
+    at = q * (ends[-1] - 1)
+    low, high = (cells[np.searchsorted(ends, k, side="right")] / CELLS for k in (np.floor(at), np.ceil(at)))
+    return float(low + (high - low) * (at - np.floor(at)))
+
+
+def calibrate(model: KneserNey, entropy: DataFrame) -> None:
+    """Bound of rejection per language and scale of the score from every training row (not held out, of known language, with a letter).
+
+    Values are counted in cells of 1 / CELLS nat in Spark, so the driver gets cells, whose number is bounded by the range of
+    cross-entropies and not by rows: at most some ten thousand for each language and as many for the margins.
+    """
+    rows = entropy.filter("not held_out and lang is not null and size > 1")
+    got = rows.select("lang", "h").mapInArrow(_cells(model.langs), "kind long, cell long, n long").groupBy("kind", "cell").agg(F.sum("n").alias("n")).orderBy("kind", "cell").toArrow()
+    kind, cell, n = (got.column(c).to_numpy() for c in ("kind", "cell", "n"))
+    for l in range(len(model.langs)):
+        if (mine := kind == l).any():
+            model.bound[l] = quantile(cell[mine], n[mine], 0.995) * 1.25
+    margin = quantile(cell[kind == -1], n[kind == -1], 0.5) if (kind == -1).any() else 1.0
+    model.scale = 4.0 / max(margin, 1e-6)
+
+
+def predictor(model: KneserNey | None):
+    """Predictions from ``scored`` rows; only names, bounds and scale of the models go along."""
+    langs, bound, scale = (model.langs, model.bound, model.scale) if model is not None else ([], None, 1.0)
+
+    def run(batches):
+        for batch in batches:
+            m = batch.num_rows
+            if not m:
+                continue
+            if not langs:
+                lang, score, ce, no = ["und"] * m, np.zeros(m), [None] * m, [True] * m
             else:
-                h, size = entropies(model, texts)
+                h, size = batch.column("h").flatten().to_numpy().reshape(m, len(langs)), batch.column("size").to_numpy()
                 best = h.argmin(axis=1)
-                own = h[np.arange(len(best)), best]
-                rel = np.exp(-(h - own[:, None]) * model.scale)
+                own = h[np.arange(m), best]
+                rel = np.exp(-(h - own[:, None]) * scale)
                 score = 1 / rel.sum(axis=1)
                 none = size <= 1  # only the blank behind: no letter
-                lang = ["und" if z else model.langs[b] for b, z in zip(best.tolist(), none.tolist())]
+                lang = ["und" if z else langs[b] for b, z in zip(best.tolist(), none.tolist())]
                 score = np.where(none, 0.0, score)
                 ce = [None if z else float(v) for v, z in zip(own.tolist(), none.tolist())]
-                no = [bool(z or v > model.bound[b]) for v, z, b in zip(own.tolist(), none.tolist(), best.tolist())]
+                no = [bool(z or v > bound[b]) for v, z, b in zip(own.tolist(), none.tolist(), best.tolist())]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(ce, pa.float64()), pa.array(no, pa.bool_())], names=["doc_id", "held_out", "lang_pred", "score", "cross_entropy", "rejected"])
 
     return run
 
 
 def identify(docs: DataFrame, folds: int = 5) -> DataFrame:
-    """Prediction for every document; rows of fold 0 (by hashed id) are held out of training."""
+    """Prediction for every document; rows of fold 0 (by hashed id) are held out of training.
+
+    Every text is scored once: the cross-entropies are stored, calibrate on the training rows and become the predictions.
+    """
     text_batches(docs.sparkSession)
     rows = docs.select("doc_id", "text", "lang", (fold("doc_id", folds) == 0).alias("held_out"))
-    model = train(rows.filter(~F.col("held_out")))
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # grows with the distinct four-grams of the languages, not with rows
-    return rows.select("doc_id", "held_out", "text").mapInArrow(predictor(shared), "doc_id long, held_out boolean, lang_pred string, score double, cross_entropy double, rejected boolean")
+    model = _models(rows.filter("not held_out and lang is not null and text is not null"))
+    entropy = stored(scored(rows, model), "entropies")
+    if model is not None:
+        calibrate(model, entropy)
+    return entropy.select("doc_id", "held_out", "size", "h").mapInArrow(predictor(model), "doc_id long, held_out boolean, lang_pred string, score double, cross_entropy double, rejected boolean")

@@ -656,3 +656,14 @@ def test_crowded_bucket_in_blocks(spark, monkeypatch):
         rows.append((k, " ".join(w)))
     got = {r["doc_id"]: r["class_id"] for r in minhash.classes(frame(spark, rows)).collect()}
     assert got == brute_classes(rows)
+
+
+def test_language_calibration_takes_every_row(spark):
+    """Bounds and scale are the quantile and the median over all 3000 rows."""
+    rows = [(i, "aa" if i % 2 else "bb", ("abab bab abba " if i % 2 else "cdcd dcd cddc ") * (1 + i % 5) + chr(97 + i % 4)) for i in range(3000)]
+    model = langid.train(spark.createDataFrame(rows, "doc_id long, lang string, text string"))
+    h, _ = langid.entropies(model, [t for _, _, t in rows])
+    own = np.array([model.langs.index(g) for _, g, _ in rows])
+    mine, other = h[np.arange(len(own)), own], h[np.arange(len(own)), 1 - own]
+    assert all(abs(model.bound[k] - 1.25 * np.quantile(mine[own == k], 0.995)) < 1e-3 for k in (0, 1))
+    assert abs(4 / model.scale - np.median(np.abs(other - mine))) < 1e-3
