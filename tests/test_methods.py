@@ -370,4 +370,6 @@ def test_rotation_helps(spark):
 
 def test_failure_catalog(spark, small):
     rows = QUERIES["failure_catalog"](spark, small).collect()
-    assert len(rows) == 8 and all(r["found"] == r["expected"] for r in rows)
+    charts = {r["chart_id"] for r in rows}
+    assert charts == {r[0] for r in FAMILIES["nation"](spark, small).filter("series_key = 'F'").select("chart_id").distinct().collect()}
+    assert len(rows) == 8 * len(charts) and all(r["found"] == r["expected"] for r in rows)
