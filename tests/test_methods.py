@@ -373,3 +373,9 @@ def test_failure_catalog(spark, small):
     charts = {r["chart_id"] for r in rows}
     assert charts == {r[0] for r in FAMILIES["nation"](spark, small).filter("series_key = 'F'").select("chart_id").distinct().collect()}
     assert len(rows) == 8 * len(charts) and all(r["found"] == r["expected"] for r in rows)
+
+
+def test_hues_about_red_come_from_vectors(spark, small):
+    ids = {r[0] for r in spark.read.parquet(f"{small}/embeddings.parquet").select("vec_id").collect()}
+    rows = QUERIES["hsv_ranges_wrap"](spark, small).collect()
+    assert {r["chart_id"] for r in rows} <= ids and {r["part"] for r in rows} == {1, 2} and any("embeddings" in f for f in QUERIES["hsv_ranges_wrap"](spark, small).inputFiles())
