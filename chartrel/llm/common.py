@@ -91,13 +91,22 @@ def trim() -> None:
         pass
 
 
-def sliced(batches, rows: int = 512):
-    """Arrow batches in short runs of rows, so that few texts are Python objects at a time."""
-    trim()
+def sliced(batches, rows: int = 512, least: int = 0):
+    """Arrow batches in short runs of rows, so that few texts are Python objects at a time.
+
+    ``least``: bytes of input up to which a task leaves memory as it is, as trimming takes longer than a small task's work.
+    """
+    seen = 0
+    if not least:
+        trim()
     for batch in batches:
+        if seen < least <= seen + batch.nbytes:
+            trim()
+        seen += batch.nbytes
         for lo in range(0, batch.num_rows, rows):
             yield batch.slice(lo, rows)
-    trim()
+    if seen >= least:
+        trim()
 
 
 def text_batches(spark: SparkSession) -> None:

@@ -11,7 +11,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import corpus_pipeline
-from chartrel.llm import decontam, embeddup, langid, linededup, minhash, mixing, pii, quality, queries, tokencounts, toxicity
+from chartrel.llm import common, decontam, embeddup, langid, linededup, minhash, mixing, pii, quality, queries, tokencounts, toxicity
 from chartrel.llm.common import table
 from chartrel.llm.components import components
 
@@ -667,3 +667,53 @@ def test_language_calibration_takes_every_row(spark):
     mine, other = h[np.arange(len(own)), own], h[np.arange(len(own)), 1 - own]
     assert all(abs(model.bound[k] - 1.25 * np.quantile(mine[own == k], 0.995)) < 1e-3 for k in (0, 1))
     assert abs(4 / model.scale - np.median(np.abs(other - mine))) < 1e-3
+
+
+def test_few_edges_on_the_driver_equal_stars(spark):
+    rng = np.random.default_rng(5)
+    chain = [(3000 - i, 2999 - i) for i in range(40)]
+    for edges in ([], [(7, 7)], chain, [(int(a), int(b)) for a, b in rng.integers(-60, 60, (70, 2))] + [(500, i) for i in range(600, 640)]):
+        rows = spark.createDataFrame(edges, "a long, b long")
+        assert sorted(components(rows, few=1 << 10).collect()) == sorted(components(rows).collect())
+
+
+def near_rows(n):
+    """Near copies in crowds of nine."""
+    rows = []
+    for k in range(n):
+        w = [f"w{k // 9}x{i}" for i in range(60)]
+        for j in range(1 + k % 3):
+            w[(k * 7 + j * 17) % 60] = f"e{k}{j}"
+        rows.append((k, " ".join(w)))
+    return rows
+
+
+def test_few_links_take_no_star_rounds(spark, monkeypatch):
+    """Every table that a run writes costs a stage of all shuffle partitions, however few rows it has."""
+    names, rows, write = [], near_rows(63), common.Scratch.__call__
+    monkeypatch.setattr(common.Scratch, "__call__", lambda self, df, name: names.append(name) or write(self, df, name))
+    got = sorted(minhash.classes(frame(spark, rows)).collect())
+    assert "edges" not in names and len(names) <= 16
+    assert {r["doc_id"]: r["class_id"] for r in got} == brute_classes(rows)
+    monkeypatch.setattr(minhash, "FEW_LINKS", 0)  # as with many links
+    monkeypatch.setattr(minhash, "BLOCK_PAIRS", 3)
+    assert sorted(minhash.classes(frame(spark, rows)).collect()) == got and "edges" in names
+
+
+def test_small_verification_leaves_memory_as_it_is(monkeypatch):
+    trims, texts = [], [t for _, t in near_rows(30)] + ["", "one two"]
+    monkeypatch.setattr(common, "trim", lambda: trims.append(1))
+    monkeypatch.setattr(minhash, "CACHED", 150)
+    monkeypatch.setattr(minhash, "PIECE", 1500)
+    known = minhash.Weights(np.zeros(0, np.uint64), np.zeros(0), 32, 2)
+    pairs = [(i, j) for i in range(32) for j in range(i)]
+    a, b = zip(*pairs)
+    columns = {"a": a, "b": b, "ca": [100 + i for i in a], "cb": [100 + j for j in b], "ta": [texts[i] for i in a], "tb": [texts[j] for j in b]}
+    batch = pa.RecordBatch.from_pydict(columns)
+    vec = [(h, tf * known.of(h)) for _, h, tf in (minhash.shingled(*minhash.encoded([t])) for t in texts)]
+    want = [(100 + i, 100 + j) for i, j in pairs if minhash.weighted_jaccard(vec[i], vec[j]) >= 0.3]
+    run = minhash._verifier(SimpleNamespace(value=known), 0.3)
+    got = [tuple(r.values()) for out in run(iter([batch])) for r in out.to_pylist()]
+    assert got == want and 0 < len(want) < len(pairs) and not trims
+    monkeypatch.setattr(minhash, "TRIM", batch.nbytes)  # beyond the bound at the start and at the end
+    assert sum(out.num_rows for out in minhash._verifier(SimpleNamespace(value=known), 0.3)(iter([batch, batch]))) == 2 * len(want) and len(trims) == 2
